@@ -254,7 +254,7 @@ def _deal(length: int, buckets: int):
     return run
 
 
-def _meet(key, table: pa.Table) -> pa.Table:
+def _meet(key, table):
     kind = np.dtype([(x, "u8") for x in ("k1", "k2")] + [(x, "i8") for x in ("d", "t", "s", "own")])
     x = np.concatenate([np.frombuffer(p, kind) for p in table.column("packed").to_pylist()])
     order = np.lexsort((x["k2"], x["k1"]))
