@@ -185,33 +185,37 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks:
     involved = stored(shared.select("id").distinct(), "involved")
     seqs = slim.join(small(involved.withColumnRenamed("id", "doc_id")), "doc_id", "left_semi")
     seqs = stored(seqs.mapInArrow(_sequences, "id long, seq binary").groupBy("id").agg(F.max("seq").alias("seq")), "sequences")
-    copies = keyed.join(reps.filter("n > 1"), "tag").filter("id <> rep").select(F.col("rep").alias("a"), F.col("id").alias("b")).distinct()
-    comp, tested, links, turn = None, None, None, 0
+    pool = shared.select("key", F.col("id").alias("c"), "id")
+    maps: list[DataFrame] = []  # node -> component, then component -> component, round by round
+    tested, turn = None, 0
     while True:
-        if comp is None:
-            pool = shared.withColumn("c", F.col("id"))
-        else:
-            pool = shared.join(comp.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("c", F.coalesce("component", "id"))
-        pool = pool.groupBy("key", "c").agg(F.min("id").alias("id"))
+        # in the first round the smallest id leads; later, seeded hashes of components, over unsettled buckets alone
         rank = F.col("id") if not turn else F.xxhash64("c", F.lit(turn))
-        lead = pool.groupBy("key").agg(F.min(F.struct(rank.alias("r"), "id")).alias("l"), F.count("*").alias("n")).filter("n > 1").select("key", F.col("l.id").alias("lead"))
+        lead = pool.groupBy("key").agg(F.min(F.struct(rank.alias("r"), "id")).alias("l")).select("key", F.col("l.id").alias("lead"))
         cand = pool.join(lead, "key").filter("id <> lead").select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")).distinct()
         if tested is not None:
             cand = cand.join(tested, ["a", "b"], "left_anti")
         got = cand.join(seqs.select(F.col("id").alias("a"), F.col("seq").alias("a_seq")), "a").join(seqs.select(F.col("id").alias("b"), F.col("seq").alias("b_seq")), "b")
         got = stored(got.mapInPandas(_verify(similarity), "a long, b long, ok boolean"), "checked")
         new = got.filter("ok").select("a", "b")
-        tested = got.select("a", "b") if tested is None else tested.union(got.select("a", "b"))
-        found = new.limit(1).count()
-        links = new if links is None else links.union(new)
-        if found:
-            comp = components(links, "a", "b")
-        turn += 1
-        if not found or turn == 1 and not pool.limit(1).count():
+        if not new.limit(1).count():
             break
-    final = components(links.union(copies), "a", "b")
-    out = keyed.select("id").distinct().join(final.withColumnRenamed("node", "id"), "id", "left")
-    return out.select("id", F.coalesce("component", "id").alias("class_id"))
+        if turn:  # ends are members: lift them to their components
+            ends = pool.select("id", "c").distinct()
+            new = new.join(ends.withColumnsRenamed({"id": "a", "c": "ca"}), "a").join(ends.withColumnsRenamed({"id": "b", "c": "cb"}), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+        step = components(new, "a", "b")
+        maps.append(step)
+        moved = pool.join(step.withColumnRenamed("node", "c"), "c", "left").select("key", F.coalesce("component", "c").alias("c"), "id")
+        moved = stored(moved.groupBy("key", "c").agg(F.min("id").alias("id")), "members")
+        open_ = moved.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
+        pool = stored(moved.join(open_, "key"), "pool")
+        seen = got.select("a", "b")
+        tested = seen if tested is None else tested.union(seen)
+        turn += 1
+    nodes = reps.select("tag", F.col("rep").alias("class_id"))
+    for step in maps:
+        nodes = nodes.join(step.select(F.col("node").alias("class_id"), "component"), "class_id", "left").select("tag", F.coalesce("component", "class_id").alias("class_id"))
+    return keyed.select("id", "tag").join(nodes, "tag").groupBy("id").agg(F.min("class_id").alias("class_id"))
 
 
 def drop_near(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
