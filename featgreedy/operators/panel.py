@@ -118,20 +118,24 @@ def forecast(design, target: str, k: int | None) -> list[tuple[str, float]]:
     z, ztest = np.hstack(zs), np.hstack(zt)
     g, c = z.T @ z, z.T @ yc
     pred = np.empty_like(yt)
+    zk, ck = z[keep].T @ z[keep], z[keep].T @ yc[keep]
     for i in range(12):
-        levels = sparse.level_grid(c[:, i], len(yc), 12)
-        best = min(levels, key=lambda lv: float(((yc[held, i] - z[held] @ sparse.lasso_gram(z[keep].T @ z[keep], z[keep].T @ yc[keep, i], len(keep), lv, tol=1e-5)) ** 2).sum()))
-        pred[:, i] = ztest @ sparse.lasso_gram(g, c[:, i], len(yc), best, tol=1e-5) + mean_y[i]
+        levels, b, best = sparse.level_grid(c[:, i], len(yc), 8), None, None
+        for lv in levels:
+            b = sparse.lasso_gram(zk, ck[:, i], len(keep), lv, b, tol=1e-4)
+            e = float(((yc[held, i] - z[held] @ b) ** 2).sum())
+            best = (e, lv) if best is None or e < best[0] else best
+        pred[:, i] = ztest @ sparse.lasso_gram(g, c[:, i], len(yc), best[1], tol=1e-4) + mean_y[i]
     out.append(("lasso", measures.rmse(pred, yt)))
     tm = _moments(zt, yt - mean_y)
     from featgreedy.operators.model import rmse_moments
 
     top = max(np.linalg.norm(m.block(m.c0, j), 2) for j in m.ids) / m.n
-    grid = top * 0.6 ** np.arange(10)
-    scored = [(rmse_moments(cut(held), coef), lv) for lv, coef in lowrank.multiview_admm(cut(keep), grid, rounds=200, tol=1e-4)]
-    *_, (_, coef) = lowrank.multiview_admm(m, [lv for lv in grid if lv >= min(scored)[1]], rounds=200, tol=1e-4)
+    grid = top * 0.5 ** np.arange(7)
+    scored = [(rmse_moments(cut(held), coef), lv) for lv, coef in lowrank.multiview_admm(cut(keep), grid, rounds=100, tol=1e-3)]
+    *_, (_, coef) = lowrank.multiview_admm(m, [lv for lv in grid if lv >= min(scored)[1]], rounds=100, tol=1e-3)
     out.append(("splitting", rmse_moments(tm, coef)))
-    config = SRGConfig(radius="auto", cap=100, refit_iters=300)
+    config = SRGConfig(radius="auto", cap=60, refit_iters=150)
     t, _ = tune(cut(keep), cut(held), config, GRID_PANEL)
     out.append(("two_phase", rmse_moments(tm, from_moments(m, config, t).coef)))
     return out
