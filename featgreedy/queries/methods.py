@@ -478,3 +478,53 @@ def auto_threshold(spark, d):
     return spark.createDataFrame([(n, default_threshold(n)) for n in (100, 1000, 10000)], "n int, threshold double")
 
 
+
+
+@query()
+def udf_leading_triple(spark, d):
+    """The scalar Arrow function on per-block products, through SQL."""
+    from featgreedy.functions import registered
+    from featgreedy.operators.moments import cross
+
+    registered.register(spark)
+    b, s = label_blocks(spark, d)
+    cross(b, s.select("h", F.col("d").alias("k"), F.col("y").alias("a"))).createOrReplaceTempView("fg_products")
+    return spark.sql("SELECT j, round(r.s, 6) AS s1, size(r.u) AS q, size(r.v) AS d FROM (SELECT j, leading_triple(c, q) AS r FROM fg_products)")
+
+
+@query("SELECT 8::BIGINT AS rows, 4::BIGINT AS columns, 28.0::DOUBLE AS total")
+def udtf_explode_block(spark, d):
+    from featgreedy.functions import registered
+
+    registered.register(spark)
+    g = spark.sql("SELECT * FROM explode_block(transform(sequence(0, 7), x -> CAST(x AS DOUBLE)), 2, 10)")
+    return g.agg(F.count("*").alias("rows"), F.count_distinct("l").alias("columns"), F.sum("v").alias("total"))
+
+
+@query()
+def udtf_power_trace(spark, d):
+    from featgreedy.functions import registered
+
+    registered.register(spark)
+    return spark.sql("SELECT k, round(s, 8) AS s FROM power_trace(array(3.0D, 0.0D, 1.0D, 2.0D), 2, 12)")
+
+
+@query("SELECT label, round(avg(list_sum(list_transform(embedding, lambda x: x::DOUBLE))), 6) + 0.0 AS mean_total FROM embeddings GROUP BY label")
+def udf_grouped_sum(spark, d):
+    """Grouped aggregate Arrow function: element sums, then their mean total."""
+    from featgreedy.functions.registered import sum_arrays
+
+    e = t(spark, d, "embeddings").select("label", doubles(F.col("embedding")).alias("f"))
+    g = e.groupBy("label").agg(sum_arrays("f").alias("s"))
+    n = e.groupBy("label").agg(F.count("*").alias("n"))
+    return g.join(n, "label").select("label", (F.round(F.aggregate("s", F.lit(0.0), lambda a, x: a + x) / F.col("n"), 6) + 0.0).alias("mean_total"))
+
+
+@query()
+def ml_estimator(spark, d):
+    from featgreedy.ml.estimator import TwoPhaseRegression
+
+    w = scalar_wide(spark, d).select("f", F.col("y")[0].alias("label"))
+    m = TwoPhaseRegression(featuresCol="f", labelCol="label", radius=50.0, cap=20).fit(w)
+    p = m.transform(w)
+    return p.agg(F.round(F.sqrt(F.avg(F.pow(F.col("prediction") - F.col("label"), 2))), 6).alias("rmse"), F.count("*").alias("rows"))

@@ -163,7 +163,7 @@ def two_factor(fail: bool = False, n: int = 500, d: int = 6, q: int = 8) -> Plan
     else:
         first = 5 * orthonormal("tf|w", q, 1) @ v[:, :1].T
     y = x[:, :q] @ first + x[:, q:] @ second + 0.5 * t_noise("tf|noise", n, d)
-    return _split(x, y, {0: first, 1: second}, q, None)
+    return Planted(x, y, x, y, {0: first, 1: second}, q)
 
 
 ship(__name__)
