@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from featgreedy.llm.common import ship
 from featgreedy.llm.toxicity import held_out, training_rows
 
-BUCKETS = 4096
+BUCKETS = 2048
 _RUN = re.compile(r"(.)\1+")
 
 
@@ -61,15 +61,12 @@ class Terms:
         return out if scale is None else out * scale
 
 
-def fit(rows: list[tuple[str, int]], dim: int = 48, seed: int = 5) -> dict:
-    """Term scales, latent basis, unit labelled vectors and labels."""
-    terms = Terms()
-    x = np.stack([terms.vector(t) for t, _ in rows]).astype(np.float32) if rows else np.zeros((0, BUCKETS), np.float32)
-    y = np.array([r[1] for r in rows], np.float32)
+def fit(x: np.ndarray, y: np.ndarray, dim: int = 48, seed: int = 5) -> dict:
+    """Term scales, latent basis, unit labelled vectors and labels, from term vectors (changed in place) and labels."""
     idf = np.log((1 + len(x)) / (1 + (x > 0).sum(0))) + 1
     x *= idf.astype(np.float32)
     rng = np.random.default_rng(seed)
-    basis = np.linalg.qr(x.T @ (x @ rng.standard_normal((BUCKETS, min(dim + 8, BUCKETS))).astype(np.float32)))[0] if len(x) else np.zeros((BUCKETS, dim), np.float32)
+    basis = np.linalg.qr(x.T @ (x @ rng.standard_normal((BUCKETS, dim + 8)).astype(np.float32)))[0] if len(x) else np.zeros((BUCKETS, dim), np.float32)
     for _ in range(3 if len(x) else 0):
         basis = np.linalg.qr(x.T @ (x @ basis))[0]
     if len(x):
@@ -102,12 +99,21 @@ def _scores(texts: list, model: dict, terms: Terms, block: int = 128) -> np.ndar
 
 
 def trained(docs: DataFrame, labels: DataFrame, max_docs: int, seed: str):
-    """The broadcast model; at most ``max_docs`` labelled rows reach the driver."""
-    rows = [(r["text"], r["y"]) for r in training_rows(docs, labels, "quality", max_docs, seed).toLocalIterator()]
-    return docs.sparkSession.sparkContext.broadcast(fit(rows))
+    """The broadcast model; term vectors of at most ``max_docs`` labelled rows, made on the executors, reach the driver."""
+
+    def run(batches):
+        terms = Terms()
+        for pdf in batches:
+            pdf["v"] = [terms.vector(t).astype(np.float32).tobytes() for t in pdf.pop("text")]
+            yield pdf[["doc_id", "y", "v"]]
+
+    rows = training_rows(docs, labels, "quality", max_docs, seed).mapInPandas(run, "doc_id long, y int, v binary")
+    got = sorted(((r["doc_id"], r["y"], r["v"]) for r in rows.toLocalIterator()), key=lambda r: (r[0], r[2]))
+    x = np.frombuffer(b"".join(r[2] for r in got), np.float32).reshape(len(got), BUCKETS).copy()
+    return docs.sparkSession.sparkContext.broadcast(fit(x, np.array([r[1] for r in got], np.float32)))
 
 
-def score_documents(docs: DataFrame, labels: DataFrame, max_docs: int = 4000, seed: str = "quality") -> DataFrame:
+def score_documents(docs: DataFrame, labels: DataFrame, max_docs: int = 3000, seed: str = "quality") -> DataFrame:
     """``doc_id, score`` for every row of ``docs``."""
     shared = trained(docs, labels, max_docs, seed)
 
@@ -120,7 +126,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, max_docs: int = 4000, se
     return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, score double")
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.7, max_docs: int = 4000, seed: str = "quality") -> DataFrame:
+def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.7, max_docs: int = 3000, seed: str = "quality") -> DataFrame:
     """Rows of ``docs`` whose score reaches ``least``, all columns kept."""
     import pyarrow as pa
 
