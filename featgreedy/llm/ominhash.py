@@ -3,9 +3,9 @@
 Words are lower-cased runs between white space. Every k-mer is labelled by its occurrence number; each of
 ``sketches`` seeded orders picks the ``picks`` smallest labelled k-mers, and their k-mers in text order make one
 bucket key: equal keys ask for common k-mers in the same order, so they follow edit similarity rather than
-shared content alone. In a bucket the members are linked as a star to a leader, first the smallest id, then,
-among what is still in different components, leaders by seeded hashes, until a round brings no new link: a bucket of
-``n`` members costs ``n - 1`` checks a round and is never expanded into all pairs.
+shared content alone. In a bucket every member is checked against the smallest id; then, in buckets whose members are still
+in different components, one member of each against ``leaders`` others chosen by seeded hashes. So a bucket of ``n``
+members costs ``n - 1`` and at most ``leaders * n`` checks and is never expanded into all pairs.
 
 A candidate pair is linked when its words' edit distance is at most ``(1 - similarity)`` of the longer text; the
 distance is computed in bit-parallel columns confined to the band which that bound allows.
@@ -174,7 +174,7 @@ def _verify(similarity: float):
     return run
 
 
-def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks: int = 2) -> DataFrame:
+def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks: int = 2, leaders: int = 8) -> DataFrame:
     """``id, class_id`` for every document that has words and an id."""
     slim = docs.filter("doc_id IS NOT NULL").select("doc_id", "text")
     keyed = stored(slim.mapInArrow(_sketches(sketches, picks), "id long, tag binary, keys array<long>"), "sketches")
@@ -185,36 +185,32 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks:
     involved = stored(shared.select("id").distinct(), "involved")
     seqs = slim.join(small(involved.withColumnRenamed("id", "doc_id")), "doc_id", "left_semi")
     seqs = stored(seqs.mapInArrow(_sequences, "id long, seq binary").groupBy("id").agg(F.max("seq").alias("seq")), "sequences")
-    pool = shared.select("key", F.col("id").alias("c"), "id")
-    maps: list[DataFrame] = []  # node -> component, then component -> component, round by round
-    tested, turn = None, 0
-    while True:
-        # in the first round the smallest id leads; later, seeded hashes of components, over unsettled buckets alone
-        rank = F.col("id") if not turn else F.xxhash64("c", F.lit(turn))
-        lead = pool.groupBy("key").agg(F.min(F.struct(rank.alias("r"), "id")).alias("l")).select("key", F.col("l.id").alias("lead"))
-        cand = pool.join(lead, "key").filter("id <> lead").select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b")).distinct()
-        if tested is not None:
-            cand = cand.join(tested, ["a", "b"], "left_anti")
-        got = cand.join(seqs.select(F.col("id").alias("a"), F.col("seq").alias("a_seq")), "a").join(seqs.select(F.col("id").alias("b"), F.col("seq").alias("b_seq")), "b")
-        got = stored(got.mapInPandas(_verify(similarity), "a long, b long, ok boolean"), "checked")
-        new = got.filter("ok").select("a", "b")
-        if not new.limit(1).count():
-            break
-        if turn:  # ends are members: lift them to their components
-            ends = pool.select("id", "c").distinct()
-            new = new.join(ends.withColumnsRenamed({"id": "a", "c": "ca"}), "a").join(ends.withColumnsRenamed({"id": "b", "c": "cb"}), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-        step = components(new, "a", "b")
-        maps.append(step)
-        moved = pool.join(step.withColumnRenamed("node", "c"), "c", "left").select("key", F.coalesce("component", "c").alias("c"), "id")
-        moved = stored(moved.groupBy("key", "c").agg(F.min("id").alias("id")), "members")
-        open_ = moved.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
-        pool = stored(moved.join(open_, "key"), "pool")
-        seen = got.select("a", "b")
-        tested = seen if tested is None else tested.union(seen)
-        turn += 1
-    nodes = reps.select("tag", F.col("rep").alias("class_id"))
-    for step in maps:
-        nodes = nodes.join(step.select(F.col("node").alias("class_id"), "component"), "class_id", "left").select("tag", F.coalesce("component", "class_id").alias("class_id"))
+    by = lambda c: seqs.select(F.col("id").alias(c), F.col("seq").alias(f"{c}_seq"))
+
+    def links(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(by("a"), "a").join(by("b"), "b")
+        return stored(both.mapInPandas(_verify(similarity), "a long, b long, ok boolean"), "checked")
+
+    pair = (F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b"))
+    # first round: the smallest id leads its bucket
+    lead = shared.groupBy("key").agg(F.min("id").alias("lead"))
+    first = links(shared.join(lead, "key").filter("id <> lead").select(*pair).distinct())
+    one = components(first.filter("ok").select("a", "b"), "a", "b")
+    # second round, over buckets that still hold several components: each component's smallest member there meets
+    # ``leaders`` members chosen by seeded hashes
+    pool = shared.join(one.withColumnRenamed("node", "id"), "id", "left").select("key", F.coalesce("component", "id").alias("c"), "id")
+    pool = stored(pool.groupBy("key", "c").agg(F.min("id").alias("id")), "members")
+    several = pool.groupBy("key").agg(F.count("*").alias("n"), *[F.min(F.struct(F.xxhash64("c", F.lit(i)).alias("r"), "id", "c")).alias(f"l{i}") for i in range(leaders)]).filter("n > 1")
+    several = several.select("key", F.array_distinct(F.array(*[F.struct(f"l{i}.id", f"l{i}.c") for i in range(leaders)])).alias("leads"))
+    cand = pool.join(several, "key").select("id", "c", F.explode("leads").alias("l")).filter("c <> l.c").select("id", F.col("l.id").alias("lead"), "c", F.col("l.c").alias("d"))
+    cand = cand.select(*pair, F.when(F.col("id") < F.col("lead"), F.col("c")).otherwise(F.col("d")).alias("ca"), F.when(F.col("id") < F.col("lead"), F.col("d")).otherwise(F.col("c")).alias("cb")).distinct()
+    cand = stored(cand.join(first.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+    found = links(cand.select("a", "b")).filter("ok").join(cand, ["a", "b"]).select("ca", "cb")
+    two = components(found, "ca", "cb")
+    top = one.join(two.select(F.col("node").alias("component"), F.col("component").alias("top")), "component", "left").select("node", F.coalesce("top", "component").alias("component"))
+    lone = two.join(one.select("node"), "node", "left_anti")
+    final = top.unionByName(lone)
+    nodes = reps.join(final.withColumnRenamed("node", "rep"), "rep", "left").select("tag", F.coalesce("component", "rep").alias("class_id"))
     return keyed.select("id", "tag").join(nodes, "tag").groupBy("id").agg(F.min("class_id").alias("class_id"))
 
 
