@@ -80,7 +80,7 @@ def _tables(bits: int, tables: int, seed: int):
 
 
 def _link(threshold: float, eps: float, side: int = 1024):
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key, pdf):
         t, same = int(key[2]), int(key[4]) == int(key[5])
         none = pd.DataFrame({"rep": pd.Series(dtype="int64"), "n": pd.Series(dtype="int64"), "root": pd.Series(dtype="int64")})
         if len(pdf) < 2:
