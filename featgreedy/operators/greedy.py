@@ -120,3 +120,27 @@ def rga(moments, radius: float, cap: int = 200, stop=None, ledger=None, wire: st
         ledger.flush(1, fit.stop_index, n, d)
     fit.passes = getattr(moments, "passes", 0)
     return fit
+
+
+def rga_rank_k(moments, radius: float, cap: int, k: int) -> list[float]:
+    """Losses of the comparator whose atoms have rank ``k``: the leading ``k`` pairs of the winner share the radius in
+    proportion to their singular values. It needs ``k`` pairs a step and ships ``k`` times the vectors."""
+    n, d = moments.n, moments.d
+    yg = gg = 0.0
+    losses = []
+    for _ in range(cap):
+        j, _, _, _ = moments.best()
+        c = moments.block(moments.c, j)
+        u, s, vt = np.linalg.svd(c, full_matrices=False)
+        r = min(k, int((s > 1e-12 * s[0]).sum()))
+        b = radius * (u[:, :r] * (s[:r] / s[:r].sum())) @ vt[:r]
+        ua, ya = float((b * c).sum()), float((b * moments.block(moments.c0, j)).sum())
+        aa, ga = float((b * (moments.gram(j) @ b)).sum()), ya - ua
+        lam = line_search(ua, ga, aa, yg, gg)
+        i, e = moments.range[j]
+        moments.c *= 1 - lam
+        moments.c += lam * (moments.c0 - moments.g[:, i:e] @ b)
+        gg = (1 - lam) ** 2 * gg + 2 * lam * (1 - lam) * ga + lam * lam * aa
+        yg = (1 - lam) * yg + lam * ya
+        losses.append(max(0.0, (moments.yy - 2 * yg + gg) / (n * d)))
+    return losses

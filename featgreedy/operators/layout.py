@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from featgreedy.session import ship
+from featgreedy.session import ship, stored
 
 BLOCKS = "j int, h int, t0 long, n_h int, q int, x array<double>"
 SEGMENTS = "h int, t0 long, n_h int, d int, y array<double>"
@@ -96,7 +96,8 @@ def blocks_to_cells(blocks: DataFrame) -> DataFrame:
 
 def numbered(df: DataFrame, *order: str) -> DataFrame:
     """``t`` = rank by ``order``, from 0, without a single-task sort: range-partition, count, then number in parts."""
-    spread = df.repartitionByRange(*order).withColumn("_p", F.spark_partition_id())
+    # the ranges are sampled, so the dealt rows are kept: both readings below must see the same ranges
+    spread = stored(df.repartitionByRange(*order).withColumn("_p", F.spark_partition_id()), "numbered")
     spread = spread.withColumn("_r", F.row_number().over(Window.partitionBy("_p").orderBy(*order)))
     sizes = spread.groupBy("_p").agg(F.count("*").alias("_n"))
     base = sizes.withColumn("_b", F.coalesce(F.sum("_n").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))

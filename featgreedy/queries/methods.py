@@ -528,3 +528,50 @@ def ml_estimator(spark, d):
     m = TwoPhaseRegression(featuresCol="f", labelCol="label", radius=50.0, cap=20).fit(w)
     p = m.transform(w)
     return p.agg(F.round(F.sqrt(F.avg(F.pow(F.col("prediction") - F.col("label"), 2))), 6).alias("rmse"), F.count("*").alias("rows"))
+
+
+@query()
+def rank_k_atoms(spark, d):
+    """Losses after ten steps with atoms of rank one, two and four, and the doubles each step ships."""
+    from featgreedy.operators.greedy import rga_rank_k
+
+    b, s = label_blocks(spark, d)
+    m = gram_moments(b, s)
+    rows = []
+    for k in (1, 2, 4):
+        m.reset()
+        rows.append((k, round(rga_rank_k(m, 3 * 10**0.5, 10, k)[-1], 8), k * (m.n + m.d)))
+    return spark.createDataFrame(rows, "atom_rank int, loss double, doubles_per_step int")
+
+
+@query()
+def leading_pair_against_full(spark, d):
+    """Whether the leading pair takes less time than a full soft-thresholding decomposition, on wide blocks."""
+    import time
+
+    from featgreedy.operators.kernel import soft_singular, top_triple
+
+    rng = np.random.default_rng(0)
+    mats = [rng.standard_normal((200, 150)) + 20 * np.outer(rng.standard_normal(200), rng.standard_normal(150)) / 12 for _ in range(8)]
+    t0 = time.perf_counter()
+    lead = [top_triple(m)[0] for m in mats]
+    t1 = time.perf_counter()
+    full = [np.linalg.norm(soft_singular(m, 1.0), 2) + 1.0 for m in mats]
+    t2 = time.perf_counter()
+    return spark.createDataFrame([(t1 - t0 < t2 - t1, bool(np.allclose(lead, full)))], "leading_is_faster boolean, same_value boolean")
+
+
+@query()
+def node_maps_agree(spark, d):
+    """Hashed, ranged and random assignments of blocks to nodes give one path; only who ships the atom differs."""
+    import zlib
+
+    b, s = label_blocks(spark, d)
+    m = gram_moments(b, s)
+    rows = []
+    for name, of in (("hash", lambda j: zlib.crc32(str(j).encode()) % 4), ("range", lambda j: j // 2), ("modulo", lambda j: j % 4)):
+        m.reset()
+        led = Ledger(name, 4)
+        f = rga(m, 3 * 10**0.5, 6, None, led, "lazy", of)
+        rows.append((name, ",".join(str(int(r["j"])) for r in f.trace), led.total()))
+    return spark.createDataFrame(rows, "node_map string, path string, bytes long")

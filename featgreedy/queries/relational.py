@@ -367,3 +367,86 @@ def filter_null_logic(spark, d):
 @query("SELECT i AS id, i * i AS sq FROM range(100) r(i)")
 def source_range(spark, d):
     return spark.range(100).select("id", (F.col("id") * F.col("id")).alias("sq"))
+
+
+# sources and sinks
+
+
+def _round_trip(spark, d, kind, **options):
+    import uuid
+
+    from featgreedy.session import shared_dir
+
+    df = t(spark, d, "nation").select("n_nationkey", "n_name", "n_regionkey")
+    path = f"{shared_dir(spark)}/featgreedy/io-{kind}-{uuid.uuid4().hex}"
+    df.write.format(kind).options(**options).save(path)
+    return spark.read.schema(df.schema).format(kind).options(**options).load(path)
+
+
+_NATION = "SELECT n_nationkey, n_name, n_regionkey FROM nation"
+
+
+@query(_NATION)
+def io_csv(spark, d):
+    return _round_trip(spark, d, "csv", header="true")
+
+
+@query(_NATION)
+def io_json(spark, d):
+    return _round_trip(spark, d, "json")
+
+
+@query(_NATION)
+def io_orc(spark, d):
+    return _round_trip(spark, d, "orc")
+
+
+@query("SELECT n_name AS value FROM nation")
+def io_text(spark, d):
+    import uuid
+
+    from featgreedy.session import shared_dir
+
+    path = f"{shared_dir(spark)}/featgreedy/io-text-{uuid.uuid4().hex}"
+    t(spark, d, "nation").select("n_name").write.text(path)
+    return spark.read.text(path)
+
+
+@query("SELECT l_returnflag, count(*) AS n FROM lineitem WHERE l_returnflag = 'A' GROUP BY 1")
+def io_partitioned_parquet(spark, d):
+    """Write by a partition column, read one partition back by a literal filter."""
+    import uuid
+
+    from featgreedy.session import shared_dir
+
+    path = f"{shared_dir(spark)}/featgreedy/io-part-{uuid.uuid4().hex}"
+    t(spark, d, "lineitem").select("l_returnflag", "l_orderkey").repartition("l_returnflag").write.partitionBy("l_returnflag").parquet(path)
+    return spark.read.parquet(path).filter("l_returnflag = 'A'").groupBy("l_returnflag").agg(F.count("*").alias("n"))
+
+
+@query("SELECT 'a' AS k, 1::BIGINT AS v UNION ALL SELECT 'b', 2")
+def io_in_memory(spark, d):
+    return spark.createDataFrame([("a", 1), ("b", 2)], "k string, v long")
+
+
+@query("SELECT event_type, sum(json_extract(props, '$.k')::BIGINT)::BIGINT AS k FROM events GROUP BY 1")
+def fn_variant(spark, d):
+    return t(spark, d, "events").select("event_type", F.variant_get(F.parse_json("props"), "$.k", "long").alias("k")).groupBy("event_type").agg(F.sum("k").alias("k"))
+
+
+@query("SELECT o_orderstatus, o_orderpriority, count(*) AS n, sum(count(*)) OVER (PARTITION BY o_orderstatus)::BIGINT AS status_total FROM orders GROUP BY 1, 2")
+def window_over_aggregate(spark, d):
+    g = t(spark, d, "orders").groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"))
+    return g.withColumn("status_total", F.sum("n").over(Window.partitionBy("o_orderstatus")))
+
+
+@query("SELECT c_mktsegment, k, v FROM (SELECT c_mktsegment, count(*) AS n, count(DISTINCT c_nationkey) AS nations FROM customer GROUP BY 1) UNPIVOT (v FOR k IN (n, nations))")
+def layout_unpivot(spark, d):
+    g = t(spark, d, "customer").groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.count_distinct("c_nationkey").alias("nations"))
+    return g.unpivot("c_mktsegment", ["n", "nations"], "k", "v")
+
+
+@query("SELECT s_nationkey AS k, 'supplier' AS who FROM supplier UNION ALL SELECT c_nationkey, 'customer' FROM customer")
+def set_union_by_name(spark, d):
+    a = t(spark, d, "supplier").select(F.col("s_nationkey").alias("k"), F.lit("supplier").alias("who"))
+    return a.unionByName(t(spark, d, "customer").select(F.lit("customer").alias("who"), F.col("c_nationkey").alias("k")))

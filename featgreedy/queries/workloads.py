@@ -408,3 +408,41 @@ def block_store_pruned_read(spark, d):
     blockstore.write_blocks(layout.to_blocks(e, [8] * 8, 125), path)
     b = blockstore.read_blocks(spark, path, [1, 4])
     return b.select("j", F.explode("x").alias("v")).groupBy("j").agg((F.round(F.sum("v"), 5) + 0.0).alias("total"))
+
+
+@query()
+def workload_large_trajectory(spark, d):
+    """Error by step of the two-phase fit and of the unconstrained refit of the given true blocks, against least squares."""
+    from featgreedy.baselines.lowrank import oracle_ls
+    from featgreedy.operators.greedy import PlateauStop, rga
+    from featgreedy.operators.refit import refit
+
+    b, s, truth = large_frames(spark, d, 600, 6, 12, 6)
+    m = gram_moments(b, s)
+    one = rga(m, 1e5, 60, PlateauStop(0.05))
+    two = refit(m.only(one.screened()), one.screened(), 1e5, 100, 0.0)
+    given = refit(m.only(truth), None, 1e5, 100, 0.0, total_rank=float("inf"))
+    ls = measures.err_root(oracle_ls(m, truth), truth)
+    rows = [("phase_one", k, round(e**0.5, 6)) for k, e in enumerate(ex._errors(one, truth), 1)]
+    rows += [("phase_two", k, round(e**0.5, 6)) for k, e in enumerate(ex._errors(two, truth), 1)]
+    rows += [("given_blocks", k, round(e**0.5, 6)) for k, e in enumerate(ex._errors(given, truth), 1)]
+    return spark.createDataFrame([*rows, ("least_squares", 0, round(ls, 6))], "method string, k int, error double")
+
+
+@query()
+def workload_grid_bytes(spark, d):
+    """Doubles of the joint second phase over one, two and four row segments, and its equality with one segment."""
+    from featgreedy.operators import grid
+    from featgreedy.operators.ledger import Ledger
+
+    x = planted.local(planted.predictors(spark, d, 240))
+    f = planted.plant_views(x, "grid", 10, 12, 1, 2, train=200)
+    rows, base = [], None
+    for h in (1, 2, 4):
+        by = {i: f.moments(r) for i, r in enumerate(np.array_split(np.arange(len(f.y)), h))}
+        ranks = grid.screen(by, 1e5, 40, 0.1, segments=[0])
+        led = Ledger("grid", h)
+        base = base or ranks
+        fit_ = grid.grid_refit(by, base, 1e5, 60, 0.0, led)
+        rows.append((h, len(ranks), led.total(), round(measures.err_root(fit_.coef(), f.truth), 6)))
+    return spark.createDataFrame(rows, "segments int, screened int, bytes long, error double")
