@@ -197,36 +197,64 @@ def pick_winner(scores: DataFrame):
     return scores.agg(F.max(F.struct("s1", (-F.col("j")).alias("minus"), "j", "u", "v")).alias("w")).select("w.*").first()
 
 
+def _columns(ids):
+    """Blocks of one segment, side by side, row-major."""
+
+    def run(key, table):
+        js, qs, n = table.column("j").to_pylist(), table.column("q").to_pylist(), table.column("n_h")[0].as_py()
+        pay = arrays(table.column("x"))
+        m = np.hstack([matrix(pay[js.index(j)], n, qs[js.index(j)]) for j in ids])
+        return pa.table({"h": pa.array([key[0].as_py()], pa.int32()), "k": pa.array([m.shape[1]], pa.int32()), "a": pa.array([m.ravel()], pa.list_(pa.float64()))})
+
+    return run
+
+
 class StateMoments:
-    """One matrix ``X_j' U`` per block, kept in Spark; a data pass only for winners met for the first time."""
+    """One matrix ``X_j' U`` per block, kept in Spark; a data pass only for winners met for the first time.
+
+    ``lookahead``: a pass for a new winner also fetches the products with the next best blocks not met yet, so fewer
+    passes serve the same path.
+    """
 
-    def __init__(self, blocks: DataFrame, segments: DataFrame):
-        self.blocks, self.segments = blocks, segments
+    def __init__(self, blocks: DataFrame, segments: DataFrame, lookahead: int = 1):
+        self.blocks, self.segments, self.lookahead = blocks, segments, lookahead
         self.d = segments.select("d").first()["d"]
         first = segments.agg(F.sum("n_h").alias("n"), F.sum(F.aggregate("y", F.lit(0.0), lambda s, x: s + x * x)).alias("yy")).first()
         self.n, self.yy = int(first["n"]), float(first["yy"])
         start = cross(blocks, segments.select("h", F.col("d").alias("k"), F.col("y").alias("a")))
         self.state = stored(start.withColumn("c0", F.col("c")), "state")
-        self.grams: dict[int, DataFrame] = {}
+        self.grams: dict[int, tuple[DataFrame, int, int, int]] = {}  # table of products, width, column range
         self.own: dict[int, np.ndarray] = {}
         self.start: dict[int, np.ndarray] = {}
         self.passes = 1
-        self.ids = None
+        self.next: list[int] = []
 
     def best(self):
-        w = pick_winner(score_blocks(self.state))
+        scores = score_blocks(self.state)
+        if self.lookahead > 1:
+            top = scores.orderBy(F.desc("s1"), "j").limit(self.lookahead).collect()  # a bounded few
+            self.next = [r["j"] for r in top]
+            w = top[0]
+        else:
+            w = pick_winner(scores)
         return w["j"], w["s1"], np.array(w["u"]), np.array(w["v"])
 
     def _meet(self, j: int) -> None:
         if j in self.grams:
             return
-        mine = self.blocks.filter(F.col("j") == j)
-        rows = mine.select("h", F.col("q").alias("k"), F.flatten(F.transform(F.sequence(F.lit(0), F.col("n_h") - 1), lambda i: F.transform(F.sequence(F.lit(0), F.col("q") - 1), lambda l: F.element_at("x", l * F.col("n_h") + i + 1)))).alias("a"))
-        self.grams[j] = stored(cross(self.blocks, rows).select("j", "q", F.col("k").alias("qi"), F.col("c").alias("xx")), "gram")
-        own = self.grams[j].filter(F.col("j") == j).first()
-        self.own[j] = np.array(own["xx"]).reshape(own["q"], own["qi"])
-        c0 = self.state.filter(F.col("j") == j).select("q", "k", "c0").first()
-        self.start[j] = np.array(c0["c0"]).reshape(c0["q"], c0["k"])
+        ids = [j] + [i for i in self.next if i != j and i not in self.grams]
+        some = self.blocks.filter(F.col("j").isin([int(i) for i in ids])).select("j", "h", "n_h", "q", "x")
+        rows = some.groupBy("h").applyInArrow(_columns(ids), "h int, k int, a array<double>")
+        table = stored(cross(self.blocks, rows).select("j", "q", F.col("k").alias("width"), F.col("c").alias("xx")), "gram")
+        mine = {r["j"]: r for r in table.filter(F.col("j").isin([int(i) for i in ids])).collect()}
+        starts = {r["j"]: r for r in self.state.filter(F.col("j").isin([int(i) for i in ids])).select("j", "q", "k", "c0").collect()}
+        at = 0
+        for i in ids:
+            q, width = mine[i]["q"], mine[i]["width"]
+            self.grams[i] = (table, width, at, at + q)
+            self.own[i] = np.array(mine[i]["xx"]).reshape(q, width)[:, at : at + q]
+            self.start[i] = np.array(starts[i]["c0"]).reshape(starts[i]["q"], starts[i]["k"])
+            at += q
         self.passes += 1
 
     def fit_norm(self, j, u):
@@ -239,6 +267,7 @@ class StateMoments:
 
     def advance(self, j, u, v, lam, radius):
         self._meet(j)
+        table, width, lo, hi = self.grams[j]
         up, vp, lam, radius = list(map(float, u)), list(map(float, v)), float(lam), float(radius)
 
         def run(batches):
@@ -246,11 +275,11 @@ class StateMoments:
             for batch in batches:
                 new = []
                 for c, c0, xx in zip(arrays(batch.column("c")), arrays(batch.column("c0")), arrays(batch.column("xx")), strict=True):
-                    w = xx.reshape(-1, len(uu)) @ uu
+                    w = xx.reshape(-1, width)[:, lo:hi] @ uu
                     new.append((1 - lam) * c + lam * (c0 - radius * np.outer(w, vv).ravel()))
                 yield pa.RecordBatch.from_arrays([batch.column("j"), batch.column("q"), batch.column("k"), pa.array(new, pa.list_(pa.float64())), batch.column("c0")], ["j", "q", "k", "c", "c0"])
 
-        both = self.state.join(self.grams[j].select("j", "xx"), "j").select("j", "q", "k", "c", "c0", "xx")
+        both = self.state.join(table.select("j", "xx"), "j").select("j", "q", "k", "c", "c0", "xx")
         self.state = stored(both.mapInArrow(run, "j int, q int, k int, c array<double>, c0 array<double>"), "state")
 
 

@@ -575,3 +575,31 @@ def node_maps_agree(spark, d):
         f = rga(m, 3 * 10**0.5, 6, None, led, "lazy", of)
         rows.append((name, ",".join(str(int(r["j"])) for r in f.trace), led.total()))
     return spark.createDataFrame(rows, "node_map string, path string, bytes long")
+
+
+@query()
+def lasso_two_solvers(spark, d):
+    """The library's L1 regression and covariance updates reach one solution (levels scaled alike)."""
+    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.regression import LinearRegression
+
+    w = scalar_wide(spark, d)
+    m = gram_moments(layout.to_blocks(w, [1] * 64), layout.to_segments(w))
+    lam = 0.1
+    own = sparse.lasso_gram(m.g, m.c0[:, 0], m.n, lam)
+    rows = w.select(array_to_vector("f").alias("features"), F.col("y")[0].alias("label"))
+    lib = LinearRegression(elasticNetParam=1.0, regParam=lam, standardization=False, fitIntercept=False, maxIter=500, tol=1e-10).fit(rows)
+    gap = float(np.abs(lib.coefficients.toArray() - own).max())
+    return spark.createDataFrame([(int((own != 0).sum()), gap < 1e-3)], "selected int, same boolean")
+
+
+@query()
+def lookahead_passes(spark, d):
+    """Data passes of per-block state with and without fetching the next best blocks' products."""
+    b, s = label_blocks(spark, d)
+    b.cache()
+    rows = []
+    for k in (1, 4):
+        m = StateMoments(b, s, k)
+        rows.append((k, ",".join(str(int(r["j"])) for r in rga(m, 3 * 10**0.5, 5).trace), m.passes))
+    return spark.createDataFrame(rows, "lookahead int, path string, passes int")

@@ -73,6 +73,8 @@ def test_all_modes_take_the_same_path(spark, small):
     state = StateMoments(b, s)
     assert gram == ref == [(t["j"], round(t["loss"], 9)) for t in rga(state, 30.0, 4).trace]
     assert state.passes == 1 + len({j for j, _ in ref})
+    ahead = StateMoments(b, s, lookahead=4)
+    assert ref == [(t["j"], round(t["loss"], 9)) for t in rga(ahead, 30.0, 4).trace] and ahead.passes == 2
     for lazy in (False, True):
         assert ref == [(j, round(loss, 9)) for j, _, loss in wired(b, s, 30.0, 4, 2, lazy)[0]]
 
@@ -187,3 +189,52 @@ def test_entry_works_without_the_subpackage(tmp_path):
     shutil.copy(os.path.join(here, "__spark_entry__.py"), tmp_path)
     code = "import __spark_entry__ as e; q = e.queries(); assert len(q) > 90 and not any(k.startswith('op') or k == 'pipeline' for k in q), list(q)"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, timeout=120, env={k: v for k, v in os.environ.items() if k != "PYTHONPATH"})
+
+
+def test_bucketed_tables_join_without_exchange(spark, tmp_path):
+    spark.sql("DROP TABLE IF EXISTS fg_blocks")
+    spark.sql("DROP TABLE IF EXISTS fg_coef")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for name, rows in (("fg_blocks", 40), ("fg_coef", 10)):
+            spark.range(rows).select((F.col("id") % 10).alias("j"), F.col("id").alias("v")).write.bucketBy(4, "j").sortBy("j").mode("overwrite").option("path", str(tmp_path / name)).saveAsTable(name)
+        j = spark.table("fg_blocks").join(spark.table("fg_coef"), "j")
+        assert j.count() == 40
+        assert "Exchange hashpartitioning(j" not in j._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.sql("DROP TABLE IF EXISTS fg_blocks")
+        spark.sql("DROP TABLE IF EXISTS fg_coef")
+
+
+def test_scans_are_pruned_and_aggregates_partial(spark):
+    from featgreedy.queries.relational import pooled_moments_by_year, scan_lineitem_pruned
+
+    sf = "/root/testdata/sf0.001"
+    plan = scan_lineitem_pruned(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "PushedFilters: [IsNotNull(l_shipdate)" in plan and "l_extendedprice" not in plan
+    plan = pooled_moments_by_year(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "partial_sum" in plan and plan.count("Exchange") == 1
+
+
+def test_one_block_fit(spark):
+    rng = np.random.default_rng(5)
+    x = rng.standard_normal((200, 6))
+    b = rng.standard_normal((6, 1)) @ rng.standard_normal((1, 5)) * 4
+    y = x @ b + rng.standard_normal((200, 5))
+    wide = spark.createDataFrame([(i, r.tolist(), z.tolist()) for i, (r, z) in enumerate(zip(x, y, strict=True))], "t long, f array<double>, y array<double>")
+    m = fit(layout.to_blocks(wide, [6]), layout.to_segments(wide), SRGConfig(radius=1e3, threshold=0.05))
+    assert m.support == [0] and m.summary()["ranks"][0] <= m.ranks[0] and m.summary()["bytes"] > 0
+    assert np.abs(m.coef[0] - b).max() < 0.6
+
+
+def test_node_maps_do_not_change_the_path(spark, small):
+    from featgreedy.operators.ledger import Ledger
+
+    _, _, wide = small
+    m = gram_moments(*frames(wide))
+    paths = []
+    for of in (lambda j: j % 2, lambda j: j // 2, lambda j: (7 * j + 3) % 2):
+        m.reset()
+        paths.append([t["j"] for t in rga(m, 30.0, 6, None, Ledger("n", 2), "lazy", of).trace])
+    assert paths[0] == paths[1] == paths[2]
