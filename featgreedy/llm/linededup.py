@@ -19,7 +19,10 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship, small, stored
+from featgreedy.llm.common import ship, stored
+
+#: Numbers in the table of deletions that may be broadcast (eight bytes each at most); beyond it a shuffle join is used.
+BROADCAST_CELLS = 4_000_000
 
 
 def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
@@ -121,7 +124,8 @@ def drop_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
     gone = find_blocks(docs, min_line_words, min_block_words)
     docs = docs.withColumnsRenamed({c: f"_{c}" for c in docs.columns if c in ("kept_text", "n_lines", "n_removed", "gone")})
     gone = gone.select(F.col("doc_id").alias("_d"), F.col("_t").alias("_u"), "gone")
-    out = docs.join(small(gone, 300_000), (F.col("doc_id") == F.col("_d")) & (F.xxhash64("text") == F.col("_u")), "left")
+    cells = gone.agg(F.sum(F.size("gone") + 4)).first()[0] or 0
+    out = docs.join(F.broadcast(gone) if cells <= BROADCAST_CELLS else gone, (F.col("doc_id") == F.col("_d")) & (F.xxhash64("text") == F.col("_u")), "left")
     keep = F.concat_ws("\n", F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("gone", i)))
     return out.select(
         *docs.columns,
