@@ -5,7 +5,8 @@ letters (inflected and joined forms share a stem); a document's is one
 minus the product of its sentences' complements. Weights are found by gradient ascent of the documents'
 likelihood with an L1 shrinkage, on at most ``max_docs`` labelled documents taken in the order of a seeded hash
 of their ids (the documented bound; beside it every document is scored whole). Words enter the vocabulary from
-``min_docs`` documents on, at most ``max_words`` by document frequency, which bounds the broadcast model.
+``min_docs`` documents on, at most ``max_words`` by document frequency, which bounds the broadcast model; words
+of more than ``max_share`` of the sample tell nothing and are left out.
 
 Scores use text alone. Null or empty text: score of no sentence, 0. Repeated rows are scored each by itself.
 Labels that are null, and label rows without a document, are left out of the training.
@@ -15,7 +16,8 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
+import zlib
+from array import array
 
 import numpy as np
 import pandas as pd
@@ -92,24 +94,53 @@ class NoisyOr:
         return [i for i, p in self.parts(text)[1] if p >= least]
 
 
-def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000, steps: int = 120, shrink: float = 2e-4) -> NoisyOr:
-    bags = [[sorted({f for w in set(s) for f in features(w)}) for s in sentences(t)] for t, _ in rows]
+def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000, steps: int = 120, shrink: float = 2e-4, max_share: float = 0.4) -> NoisyOr:
     y = np.array([r[1] for r in rows], np.float64)
     if not len(y) or y.min() == y.max():
         rate = float(np.clip(y.mean() if len(y) else 0.0, 1e-3, 1 - 1e-3))
         return NoisyOr(math.log(rate / (1 - rate)) - 3, {})
-    df = Counter(w for b in bags for w in {w for s in b for w in s})
-    vocab = {w: i for i, (w, c) in enumerate(sorted(df.items(), key=lambda x: (-x[1], x[0]))[:max_words]) if c >= min_docs}
-    word, sent, owner, k = [], [], [], 0
-    for d, b in enumerate(bags):
-        for s in b:
-            ids = [vocab[w] for w in s if w in vocab]
-            word += ids
-            sent += [k] * len(ids)
+    # words by number, sentence and document of each word; features by checksum, so that no feature's text is held
+    known: dict[str, int] = {}
+    token, sent, owner, doc_end = array("i"), array("i"), array("i"), [0]
+    for d, (text, _) in enumerate(rows):
+        for s in sentences(text):
+            token.extend(known.setdefault(w, len(known)) for w in s)
+            sent.extend([len(owner)] * len(s))
             owner.append(d)
-            k += 1
-    word, sent, owner = np.array(word, np.int64), np.array(sent, np.int64), np.array(owner, np.int64)
-    w, bias, m, v = np.zeros(len(vocab)), -6.0, np.zeros(len(vocab) + 1), np.zeros(len(vocab) + 1)
+        doc_end.append(len(token))
+    token, sent, owner = (np.frombuffer(x, np.int32) if len(x) else np.zeros(0, np.int32) for x in (token, sent, owner))
+    code = np.zeros((max(len(known), 1), 1 + len(STEMS)), np.uint32)
+    for w, i in known.items():
+        for j, f in enumerate(features(w)):
+            code[i, j] = zlib.crc32(f.encode("utf-8", "replace"))
+    value, count = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+    for lo in range(0, len(rows), 250):  # documents that hold each feature, summed part by part
+        part = [np.unique(code[np.unique(token[i:j])]) for i, j in zip(doc_end[lo : min(lo + 250, len(rows))], doc_end[lo + 1 : lo + 251], strict=True)]
+        some, times = np.unique(np.concatenate(part), return_counts=True)
+        value, back = np.unique(np.concatenate([value, some]), return_inverse=True)
+        count = np.bincount(back, np.concatenate([count, times]), len(value)).astype(np.int64)
+    keep = np.flatnonzero((count >= min_docs) & (count <= max(max_share * len(rows), min_docs)) & (value != 0))
+    keep = np.sort(value[keep[np.lexsort((value[keep], -count[keep]))][:max_words]])
+    words, sents = [np.zeros(0, np.int32)], [np.zeros(0, np.int32)]
+    for lo in range(0, len(rows), 250):  # parts end with a document, so with a sentence
+        i, j = doc_end[lo], doc_end[min(lo + 250, len(rows))]
+        c = code[token[i:j]]
+        at = np.minimum(np.searchsorted(keep, c), max(len(keep) - 1, 0))
+        ok = keep[at] == c if len(keep) else np.zeros(c.shape, bool)
+        pairs = np.unique(np.repeat(sent[i:j].astype(np.int64), c.shape[1])[ok.ravel()] << 32 | at[ok])
+        sents.append((pairs >> 32).astype(np.int32))
+        words.append((pairs & 0xFFFFFFFF).astype(np.int32))
+    sent, word, k = np.concatenate(sents), np.concatenate(words), len(owner)
+    del words, sents, token, code, value, count
+    vocab = {}
+    chosen = {int(c): j for j, c in enumerate(keep)}
+    for x in known:
+        for f in features(x):
+            j = chosen.get(zlib.crc32(f.encode("utf-8", "replace")))
+            if j is not None:
+                vocab[f] = j
+    del known
+    w, bias, m, v = np.zeros(len(keep)), -6.0, np.zeros(len(keep) + 1), np.zeros(len(keep) + 1)
     for step in range(1, steps + 1):
         p = 1 / (1 + np.exp(-np.clip(bias + np.bincount(sent, w[word], k), -30, 30)))
         clear = np.bincount(owner, np.log1p(-np.minimum(p, 1 - 1e-9)), len(y))
