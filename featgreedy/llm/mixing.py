@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import stored
+from featgreedy.llm.common import BROADCAST_ROWS, stored
 
 #: The weights that sources take in turn, by code point, null last.
 WEIGHTS = (3, 1, 2)
@@ -58,7 +58,8 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
     docs = docs.withColumnsRenamed({c: own[c] for c in docs.columns if c in own})  # clashing names keep their values
     slim = stored(docs.select("doc_id", "source", word_count("text").alias("size"), key.alias("_k"), F.xxhash64("text").alias("_t")), "sizes")
     base = slim
-    per = base.groupBy("source").agg(F.sum("size").alias("source_size"))
+    per = stored(base.groupBy("source").agg(F.sum("size").alias("source_size")), "sources")
+    few = per.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
     by_name = Window.orderBy(F.col("source").isNull(), F.encode("source", "utf-8"))
     per = per.withColumn("place", F.row_number().over(by_name))
     cycle = F.array(*[F.lit(float(w)) for w in weights])
@@ -69,7 +70,8 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
     cut = goal.filter("_left > 0").select("source", F.col("_left").alias("left"))
     # three rounds: 4096 bins of the hash, then 4096 bins inside the bin where the target is met, then rows
     state = cut.withColumn("prefix", F.lit(""))
-    named = lambda t: F.broadcast(t.withColumnRenamed("source", "_s"))  # one row per source
+    sent = lambda t: F.broadcast(t) if few else t  # one row per source: broadcast while sources are few, else joined
+    named = lambda t: sent(t.withColumnRenamed("source", "_s"))
     same = F.col("source").eqNullSafe(F.col("_s"))
     for at in (1, 4):
         inside = slim.join(named(state), same).filter(F.substring("_k", 1, at - 1) == F.col("prefix")).select("source", "size", F.substring("_k", 1, at + 2).alias("bin"), "left")
@@ -89,7 +91,7 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
         base = docs.withColumn("size", word_count("text")).withColumn("_k", key).withColumn("_t", F.xxhash64("text"))
     me = F.struct("_k", "doc_id", "_t")
     more = F.when(F.col("_left") <= 0, 0).when(F.substring("_k", 1, 6) < F.col("prefix"), 1).when((F.substring("_k", 1, 6) == F.col("prefix")) & F.col("edge").isNotNull() & (me <= F.col("edge")), 1).otherwise(0)
-    out = base.join(F.broadcast(g), F.col("source").eqNullSafe(F.col("_s")))
+    out = base.join(sent(g), F.col("source").eqNullSafe(F.col("_s")))
     return out.withColumn("taken", F.col("size") * (F.col("_whole") + more)).drop("_k", "_t", "_s", "_whole", "_left", "edge", "prefix")
 
 

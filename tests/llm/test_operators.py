@@ -281,6 +281,14 @@ def test_mixing_against_a_loop(spark):
     assert (again["taken"].sort_index() == got["taken"].sort_index()).all()
 
 
+def test_mixing_joins_when_sources_are_many(spark, monkeypatch):
+    rows = [(i, "w " * (i % 7), f"s{i % 5}" if i % 11 else None) for i in range(120)]
+    broadcast = mixing.contract(docs_frame(spark, rows)).toPandas().sort_values("doc_id").reset_index(drop=True)
+    monkeypatch.setattr(mixing, "BROADCAST_ROWS", 2)
+    joined = mixing.contract(docs_frame(spark, rows)).toPandas().sort_values("doc_id").reset_index(drop=True)
+    assert broadcast.equals(joined)
+
+
 def test_mixing_edges(spark):
     assert mixing.contract(docs_frame(spark, [])).count() == 0
     out = mixing.mix(docs_frame(spark, [(1, "a b", "s"), (1, "a b", "s"), (None, None, None)]).withColumn("size", F.lit("own")))
