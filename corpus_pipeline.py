@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from featgreedy.llm import decontam, linededup, mixing, ominhash, quality
 from featgreedy.llm.common import shared_dir, small, stored
@@ -21,11 +22,12 @@ def reject_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def remove_common_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Aligned common blocks go from the later document; a document that loses all its lines goes too."""
-    from pyspark.sql import functions as F
-
     out = linededup.drop_blocks(docs).filter("n_removed = 0 OR n_removed < n_lines")
-    changed = F.col("n_removed") > 0
-    return out.select(*[F.col("kept_text").alias("text") if c == "text" else F.when(changed, F.length("kept_text").cast(docs.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    held = {c: F.col(f"_{c}") if c in linededup.ADDED else F.col(c) for c in docs.columns}
+    held["text"] = F.col("kept_text")
+    if "n_chars" in held:
+        held["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))
+    return out.select(*[held[c].alias(c) for c in docs.columns])
 
 
 def drop_near_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,10 +38,8 @@ def drop_near_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item within its error budget go."""
     bad = decontam.contaminated(docs, _t(spark, sf_dir, "benchmark")).filter("contaminated")
-    bad = stored(bad.select("doc_id", "_t").distinct().withColumnsRenamed({"doc_id": "_d", "_t": "_u"}), "leaks")
-    from pyspark.sql import functions as F
-
-    same = F.col("doc_id").eqNullSafe(F.col("_d")) & F.xxhash64("text").eqNullSafe(F.col("_u"))
+    bad = stored(bad.select("doc_id", "_t").distinct().withColumnsRenamed({"doc_id": "__fg_d", "_t": "__fg_u"}), "leaks")
+    same = F.col("doc_id").eqNullSafe(F.col("__fg_d")) & F.xxhash64("text").eqNullSafe(F.col("__fg_u"))
     return docs.join(small(bad), same, "left_anti")
 
 

@@ -119,19 +119,24 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
     return stored(gone, "gone")
 
 
+#: Columns that :func:`drop_blocks` adds; input columns of these names keep their values under a leading underscore.
+ADDED = ("kept_text", "n_lines", "n_removed")
+
+
 def drop_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5) -> DataFrame:
     """``docs`` plus ``kept_text, n_lines, n_removed``."""
     gone = find_blocks(docs, min_line_words, min_block_words)
-    docs = docs.withColumnsRenamed({c: f"_{c}" for c in docs.columns if c in ("kept_text", "n_lines", "n_removed", "gone")})
-    gone = gone.select(F.col("doc_id").alias("_d"), F.col("_t").alias("_u"), "gone")
+    docs = docs.withColumnsRenamed({c: f"_{c}" for c in docs.columns if c in ADDED})
     cells = gone.agg(F.sum(F.size("gone") + 4)).first()[0] or 0
-    out = docs.join(F.broadcast(gone) if cells <= BROADCAST_CELLS else gone, (F.col("doc_id") == F.col("_d")) & (F.xxhash64("text") == F.col("_u")), "left")
-    keep = F.concat_ws("\n", F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("gone", i)))
+    gone = gone.select(F.col("doc_id").alias("__fg_d"), F.col("_t").alias("__fg_u"), F.col("gone").alias("__fg_gone"))
+    out = docs.join(F.broadcast(gone) if cells <= BROADCAST_CELLS else gone, (F.col("doc_id") == F.col("__fg_d")) & (F.xxhash64("text") == F.col("__fg_u")), "left")
+    keep = F.concat_ws("\n", F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__fg_gone", i)))
+    whole = F.col("__fg_gone").isNull()
     return out.select(
         *docs.columns,
-        F.when(F.col("gone").isNull(), F.col("text")).otherwise(keep).alias("kept_text"),
+        F.when(whole, F.col("text")).otherwise(keep).alias("kept_text"),
         F.when(F.col("text").isNull(), 0).otherwise(F.size(F.split("text", "\n"))).alias("n_lines"),
-        F.when(F.col("gone").isNull(), 0).otherwise(F.size("gone")).alias("n_removed"),
+        F.when(whole, 0).otherwise(F.size("__fg_gone")).alias("n_removed"),
     )
 
 

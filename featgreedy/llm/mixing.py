@@ -86,13 +86,16 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
     # a document on the edge is taken when its middle lies before the target
     edge = last.filter(F.col("before") + F.col("size") / 2 <= F.col("left")).groupBy("source").agg(F.max(F.struct("_k", "doc_id", "_t")).alias("edge"))
     goal = goal.join(named(edge), same, "left").drop("_s").join(named(state.select("source", "prefix")), same, "left").drop("_s")
-    g = goal.select(F.col("source").alias("_s"), "source_size", "target", "_whole", "_left", "edge", "prefix")
-    if not slim_only:
-        base = docs.withColumn("size", word_count("text")).withColumn("_k", key).withColumn("_t", F.xxhash64("text"))
-    me = F.struct("_k", "doc_id", "_t")
-    more = F.when(F.col("_left") <= 0, 0).when(F.substring("_k", 1, 6) < F.col("prefix"), 1).when((F.substring("_k", 1, 6) == F.col("prefix")) & F.col("edge").isNotNull() & (me <= F.col("edge")), 1).otherwise(0)
-    out = base.join(sent(g), F.col("source").eqNullSafe(F.col("_s")))
-    return out.withColumn("taken", F.col("size") * (F.col("_whole") + more)).drop("_k", "_t", "_s", "_whole", "_left", "edge", "prefix")
+    g = goal.select(F.col("source").alias("__fg_s"), "source_size", "target", *[F.col(c).alias(f"__fg{c}") for c in ("_whole", "_left")], *[F.col(c).alias(f"__fg_{c}") for c in ("edge", "prefix")])
+    if slim_only:
+        base = slim.withColumnsRenamed({"_k": "__fg_k", "_t": "__fg_t"})
+    else:
+        base = docs.withColumn("size", word_count("text")).withColumn("__fg_k", key).withColumn("__fg_t", F.xxhash64("text"))
+    me = F.struct(F.col("__fg_k").alias("_k"), "doc_id", F.col("__fg_t").alias("_t"))
+    bin_, cut_at = F.substring("__fg_k", 1, 6), F.col("__fg_prefix")
+    more = F.when(F.col("__fg_left") <= 0, 0).when(bin_ < cut_at, 1).when((bin_ == cut_at) & F.col("__fg_edge").isNotNull() & (me <= F.col("__fg_edge")), 1).otherwise(0)
+    out = base.join(sent(g), F.col("source").eqNullSafe(F.col("__fg_s")))
+    return out.withColumn("taken", F.col("size") * (F.col("__fg_whole") + more)).drop(*[f"__fg_{c}" for c in ("k", "t", "s", "whole", "left", "edge", "prefix")])
 
 
 def contract(docs: DataFrame) -> DataFrame:
