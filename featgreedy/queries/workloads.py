@@ -45,7 +45,7 @@ def docs_min_tokens(spark, d):
 def _lsi(spark, d, k=8):
     tok = text.tokenise(t(spark, d, "documents"))
     table = text.idf(tok)
-    left, scores, vals = text.lsi_fit(text.tfidf(tok, table), k)
+    left, scores, vals = text.lsi_fit(text.tfidf(tok, table), k, sweeps=1)
     return table, left, scores, vals
 
 
