@@ -4,8 +4,9 @@ Words are lower-cased runs between white space. Every k-mer is labelled by its o
 ``sketches`` seeded orders picks the ``picks`` smallest labelled k-mers, and their k-mers in text order make one
 bucket key: equal keys ask for common k-mers in the same order, so they follow edit similarity rather than
 shared content alone. In a bucket every member is checked against the smallest id; then, in buckets whose members are still
-in different components, one member of each against ``leaders`` others chosen by seeded hashes. So a bucket of ``n``
-members costs ``n - 1`` and at most ``leaders * n`` checks and is never expanded into all pairs.
+in different components, every pair of members in different components is either ruled out by lower bounds of its
+distance (lengths and bags of words) or checked. Buckets of more than ``block`` members are cut into blocks by a hash
+of the id, and each pair of blocks is a task, which returns a spanning forest of its links; no pair becomes a row.
 
 A candidate pair is linked when its words' edit distance is at most ``(1 - similarity)`` of the longer text; the
 distance is computed in bit-parallel columns confined to the band which that bound allows.
@@ -29,6 +30,8 @@ from pyspark.sql import functions as F
 from featgreedy.llm.common import components, forget, ship, small, stored
 
 K = 5
+#: Counters of a bag of words.
+BAG = 256
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -160,8 +163,88 @@ def _sketches(sketches: int, picks: int):
 def _sequences(batches):
     words = Words()
     for batch in batches:
-        blobs = [zlib.compress((words(t.as_py()) >> np.uint64(32)).astype(np.uint32).tobytes(), 1) for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(blobs, pa.binary())], ["id", "seq"])
+        seqs = [(words(t.as_py()) >> np.uint64(32)).astype(np.uint32) for t in batch.column("text")]
+        blobs = [zlib.compress(x.tobytes(), 1) for x in seqs]
+        sizes, bags = [len(x) for x in seqs], [bag(x).tobytes() for x in seqs]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(blobs, pa.binary()), pa.array(sizes, pa.int32()), pa.array(bags, pa.binary())], ["id", "seq", "n", "bag"])
+
+
+def bag(seq: np.ndarray) -> np.ndarray:
+    """Counts of words by hash, cut at 255. One edit moves each one-sided difference of two bags by at most one."""
+    return np.minimum(np.bincount(seq % BAG, minlength=BAG), 255).astype(np.uint8)
+
+
+def bounded_pairs(task: np.ndarray, n: np.ndarray, bags: np.ndarray, c: np.ndarray, own: np.ndarray, cross: np.ndarray, similarity: float):
+    """Index pairs of one task (equal ``task``, neighbours, ascending ``n``), of different components, that may be alike.
+
+    Pairs are ruled out by lengths and by the differences of their bags, both lower bounds of the edit distance;
+    where ``cross`` is set, pairs of one block belong to another task.
+    """
+    left = np.arange(len(task) - 1)
+    folded = bags.reshape(len(bags), 16, -1).sum(2, dtype=np.int32)
+    for d in range(1, len(task)):
+        left = left[left + d < len(task)]
+        right = left + d
+        most = ((1 - similarity) * n[right] + 1e-9).astype(np.int64)
+        left = left[(task[left] == task[right]) & (n[right] - n[left] <= most)]  # lengths only grow: others end here
+        if not len(left):
+            return
+        p = left[c[left] != c[left + d]]
+        p = p[~cross[p] | (own[p] != own[p + d])]
+        for part in np.array_split(p, len(p) // 4000 + 1):
+            for x in (folded, bags):
+                gap = x[part].astype(np.int16) - x[part + d] if x is bags else x[part] - x[part + d]
+                over, under = np.maximum(gap, 0).sum(1), np.maximum(-gap, 0).sum(1)
+                part = part[np.maximum(over, under) <= ((1 - similarity) * n[part + d] + 1e-9).astype(np.int64)]
+            if len(part):
+                yield part, part + d
+
+
+def _merge(similarity: float):
+    """Per task, links between components (``ca``, ``cb``): a spanning forest, so pairs already joined are not checked."""
+
+    def merged(pdf):
+        task = pdf.groupby(["key", "i", "j"], sort=False).ngroup().to_numpy()
+        bags = np.frombuffer(b"".join(pdf["bag"]), np.uint8).reshape(len(pdf), BAG)
+        c, led, blobs = pdf["c"].to_numpy(), pdf["led"].to_numpy(), pdf["seq"].tolist()
+        cross = (pdf["i"] != pdf["j"]).to_numpy()
+        root, read, out = {}, {}, []
+
+        def find(x):
+            while root.setdefault(x, x) != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        def seq(k):
+            if k not in read:
+                if len(read) > 2000:
+                    read.clear()
+                read[k] = np.frombuffer(zlib.decompress(blobs[k]), np.uint32)
+            return read[k]
+
+        for p, q in bounded_pairs(task, pdf["n"].to_numpy().astype(np.int64), bags, c, pdf["own"].to_numpy(), cross, similarity):
+            fresh = ~(led[p] | led[q])  # the first round checked the bucket's leader with everyone
+            for k, m in zip(p[fresh].tolist(), q[fresh].tolist(), strict=True):
+                u, v = find(c[k]), find(c[m])
+                if u != v and alike(seq(k), seq(m), similarity):
+                    root[max(u, v)] = min(u, v)
+                    out.append((u, v))
+        return pd.DataFrame(out, columns=["ca", "cb"], dtype="int64")
+
+    def run(batches):
+        held = None  # the last task's rows, which the next batch may continue
+        for pdf in batches:
+            pdf = pdf if held is None else pd.concat([held, pdf], ignore_index=True)
+            end = pdf[["key", "i", "j"]].to_numpy()
+            last = int((end == end[-1]).all(1).argmax()) if len(pdf) else 0
+            held, pdf = pdf.iloc[last:], pdf.iloc[:last]
+            if len(pdf):
+                yield merged(pdf)
+        if held is not None and len(held):
+            yield merged(held)
+
+    return run
 
 
 def _verify(similarity: float):
@@ -174,7 +257,7 @@ def _verify(similarity: float):
     return run
 
 
-def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks: int = 2, leaders: int = 8) -> DataFrame:
+def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks: int = 2, block: int = 2048) -> DataFrame:
     """``id, class_id`` for every document that has words and an id."""
     slim = docs.filter("doc_id IS NOT NULL").select("doc_id", "text")
     keyed = stored(slim.mapInArrow(_sketches(sketches, picks), "id long, tag binary, keys array<long>"), "sketches")
@@ -184,7 +267,7 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks:
     shared = stored(each.join(counts, "key"), "buckets")
     involved = stored(shared.select("id").distinct(), "involved")
     seqs = slim.join(small(involved.withColumnRenamed("id", "doc_id")), "doc_id", "left_semi")
-    seqs = stored(seqs.mapInArrow(_sequences, "id long, seq binary").groupBy("id").agg(F.max("seq").alias("seq")), "sequences")
+    seqs = stored(seqs.mapInArrow(_sequences, "id long, seq binary, n int, bag binary").groupBy("id").agg(F.max(F.struct("seq", "n", "bag")).alias("s")).select("id", "s.*"), "sequences")
     by = lambda c: seqs.select(F.col("id").alias(c), F.col("seq").alias(f"{c}_seq"))
 
     def links(pairs: DataFrame) -> DataFrame:
@@ -196,16 +279,17 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks:
     lead = shared.groupBy("key").agg(F.min("id").alias("lead"))
     first = links(shared.join(lead, "key").filter("id <> lead").select(*pair).distinct())
     one = components(first.filter("ok").select("a", "b"), "a", "b")
-    # second round, over buckets that still hold several components: each component's smallest member there meets
-    # ``leaders`` members chosen by seeded hashes
+    # second round, over buckets that still hold several components: all pairs of components there, block by block
     pool = shared.join(one.withColumnRenamed("node", "id"), "id", "left").select("key", F.coalesce("component", "id").alias("c"), "id")
-    pool = stored(pool.groupBy("key", "c").agg(F.min("id").alias("id")), "members")
-    several = pool.groupBy("key").agg(F.count("*").alias("n"), *[F.min(F.struct(F.xxhash64("c", F.lit(i)).alias("r"), "id", "c")).alias(f"l{i}") for i in range(leaders)]).filter("n > 1")
-    several = several.select("key", F.array_distinct(F.array(*[F.struct(f"l{i}.id", f"l{i}.c") for i in range(leaders)])).alias("leads"))
-    cand = pool.join(several, "key").select("id", "c", F.explode("leads").alias("l")).filter("c <> l.c").select("id", F.col("l.id").alias("lead"), "c", F.col("l.c").alias("d"))
-    cand = cand.select(*pair, F.when(F.col("id") < F.col("lead"), F.col("c")).otherwise(F.col("d")).alias("ca"), F.when(F.col("id") < F.col("lead"), F.col("d")).otherwise(F.col("c")).alias("cb")).distinct()
-    cand = stored(cand.join(first.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
-    found = links(cand.select("a", "b")).filter("ok").join(cand, ["a", "b"]).select("ca", "cb")
+    pool = stored(pool, "members")
+    several = pool.groupBy("key").agg(F.count("*").alias("m"), F.min("id").alias("lead"), F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi")
+    several = several.select("key", "lead", F.ceil(F.col("m") / block).cast("int").alias("nb"))
+    each = pool.join(several, "key").withColumn("own", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int")).withColumn("led", F.col("id") == F.col("lead"))
+    mates = F.transform(F.sequence(F.lit(0), F.col("nb") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j")))
+    wide = each.filter("nb > 1").select("key", "c", "id", "led", "own", F.explode(mates).alias("ij")).select("key", "c", "id", "led", "own", "ij.i", "ij.j")
+    tasks = each.filter("nb = 1").select("key", "c", "id", "led", "own", F.lit(0).alias("i"), F.lit(0).alias("j")).unionByName(wide)
+    tasks = tasks.join(seqs, "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "id")
+    found = stored(tasks.mapInPandas(_merge(similarity), "ca long, cb long"), "merged")
     two = components(found, "ca", "cb")
     top = one.join(two.select(F.col("node").alias("component"), F.col("component").alias("top")), "component", "left").select("node", F.coalesce("top", "component").alias("component"))
     lone = two.join(one.select("node"), "node", "left_anti")

@@ -494,6 +494,21 @@ def test_sketches_see_order_and_repeats():
     assert len(ominhash.sketch(w(""), 8, 2)) == 0 and len(ominhash.sketch(w("one"), 8, 2)) == 8
 
 
+def test_hot_buckets_keep_their_linked_pairs(spark):
+    """A long template puts everything into hot buckets; edits of every fourth word leave linked pairs nothing else in common."""
+    rng = random.Random(29)
+    say = words(rng, 60, 4000, "abcdefghijkl")
+    template = say(120)
+    own = [say(60).split() for _ in range(300)]
+    near = {300 + i: 40 * i + 25 for i in range(6)}
+    texts = [template + " " + " ".join(x) for x in own]
+    texts += [template + " " + " ".join("edit" if k % 4 == 0 else w for k, w in enumerate(own[o])) for o in near.values()]
+    df = docs_frame(spark, [(i, t, "s") for i, t in enumerate(texts)])
+    for more in ({}, {"block": 64}):
+        got = {r["id"]: r["class_id"] for r in ominhash.classes(df, **more).collect()}
+        assert got == {i: near.get(i, i) for i in range(len(texts))}
+
+
 def test_documents_against_brute_force(spark):
     rng = random.Random(15)
     say = words(rng, 80, 3000, "abcdefghijkl")
