@@ -1,12 +1,12 @@
 """Line dedup by pairwise alignment: shared line hashes nominate pairs, patience diff aligns them, and aligned
 common blocks are deleted from the later document.
 
-Later means larger ``(doc_id, digest of the text)``. A line counts for nomination when it has at least
-``min_line_words`` words and occurs in more than one document; it nominates the pair (first document that has it,
-each later one). So a line of ``n`` documents gives ``n - 1`` pairs, rare or not, and no frequency cap is needed;
-the rarer the line, the fewer pairs it costs. Both documents of a pair are aligned whole, as sequences of hashes of
-trimmed lines: lines unique in both are matched, the longest increasing chain is kept, and gaps are aligned
-likewise, with equal ends joined on. An aligned run of neighbouring lines is a block; blocks of at least
+Later means larger ``(doc_id, digest of the text)``. Keys are lines of at least ``min_line_words`` words. A key in more than one document nominates the pair (first document that has it, each
+later one), so a key of ``n`` documents gives ``n - 1`` pairs at first and no frequency cap is needed. Where the
+alignment leaves a key in place, its next holders are asked, 1, 2, 4, ... more, until it is aligned or none is left.
+Both documents of a pair are aligned whole, as sequences of hashes of trimmed lines: lines unique in both are matched,
+the longest increasing chain is kept, and gaps are aligned likewise, with equal ends joined on; a gap without such
+lines is split at its longest common run. An aligned run of neighbouring lines is a block; blocks of at least
 ``min_block_words`` words go from the later document. All pairs are judged on the input texts.
 
 Null texts have no lines and stay null. Rows equal in id and text are not later than one another and all stay.
@@ -15,8 +15,9 @@ Texts emptied by deletion become the empty text. Lines repeated inside one docum
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from featgreedy.llm.common import ship, stored
@@ -46,6 +47,11 @@ def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
         unique = [(v[0], v[1]) for v in once.values() if v[2] == v[3] == 1]
         chain = _increasing(sorted(unique))
         if not chain:
+            block = _longest(a, b, i, i2, j, j2)
+            if block:
+                x, y, n = block
+                out += [(x + k, y + k) for k in range(n)]
+                work += [(i, x, j, y), (x + n, i2, y + n, j2)]
             continue
         pi, pj = i, j
         for x, y in chain:
@@ -56,6 +62,22 @@ def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
     return sorted(out)
 
 
+def _longest(a: list[int], b: list[int], i: int, i2: int, j: int, j2: int) -> tuple[int, int, int] | None:
+    """The longest common run of two ranges, the first of equal ones: its starts and its length."""
+    at: dict[int, list[int]] = {}
+    for y in range(j, j2):
+        at.setdefault(b[y], []).append(y)
+    best, runs = None, {}
+    for x in range(i, i2):
+        here = {}
+        for y in at.get(a[x], ()):
+            n = here[y] = runs.get(y - 1, 0) + 1
+            if best is None or n > best[2]:
+                best = (x - n + 1, y - n + 1, n)
+        runs = here
+    return best
+
+
 def _increasing(pairs: list[tuple[int, int]]) -> list[tuple[int, int]]:
     """Longest subsequence of ``pairs`` (sorted by the first) whose seconds increase."""
     import bisect
@@ -90,33 +112,110 @@ def doomed(a: list[int], b: list[int], words: list[int], least: int) -> list[int
     return out
 
 
-def _align(least: int):
+def windows(lines: np.ndarray, words: np.ndarray, line_words: int, block_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Keys that nominate (lines of ``line_words``), with the first line of each and the line after its last."""
+    start = np.flatnonzero(words >= line_words)
+    return lines[start], start, start + 1
+
+
+def _arrays(lines, words) -> tuple[np.ndarray, np.ndarray]:
+    return np.asarray(lines, np.int64), np.asarray(words, np.int64)
+
+
+def _nominate(line_words: int, block_words: int):
     def run(batches):
         for pdf in batches:
-            gone = [doomed(list(a), list(b), list(w), least) for a, b, w in zip(pdf["a_lines"], pdf["lines"], pdf["words"], strict=True)]
-            out = pd.DataFrame({"doc_id": pdf["doc_id"], "_t": pdf["_t"], "gone": gone})
-            yield out[out["gone"].map(len) > 0]
+            keys = [np.unique(windows(*_arrays(x, w), line_words, block_words)[0]) for x, w in zip(pdf["lines"], pdf["words"], strict=True)]
+            n = [len(k) for k in keys]
+            yield pd.DataFrame({"doc_id": np.repeat(pdf["doc_id"].to_numpy(), n), "_t": np.repeat(pdf["_t"].to_numpy(), n), "h": np.concatenate(keys) if keys else np.zeros(0, np.int64)})
 
     return run
 
 
+def _open(lines, words, gone, line_words: int, block_words: int) -> np.ndarray:
+    """Keys of a text of which no place has lost all its lines."""
+    key, start, end = windows(*_arrays(lines, words), line_words, block_words)
+    kept = np.ones(len(lines) + 1, np.int64)
+    kept[np.asarray(gone, np.int64)] = 0
+    upto = np.concatenate([[0], np.cumsum(kept)])
+    return np.setdiff1d(key, key[upto[end] == upto[start]])
+
+
+def _align(line_words: int, block_words: int):
+    def run(batches):
+        for pdf in batches:
+            out = []
+            for i, t, a, v, b, w in zip(*(pdf[c] for c in ("doc_id", "_t", "a_lines", "a_words", "lines", "words")), strict=True):
+                gone = doomed(list(a), list(b), list(w), block_words)
+                left = _open(b, w, gone, line_words, block_words)
+                left = left[np.isin(left, windows(*_arrays(a, v), line_words, block_words)[0])]
+                if gone or len(left):
+                    out.append((i, t, gone, left.tolist()))
+            yield pd.DataFrame(out, columns=["doc_id", "_t", "gone", "left"])
+
+    return run
+
+
+def _still(line_words: int, block_words: int):
+    def run(batches):
+        for pdf in batches:
+            out = []
+            for i, t, x, w, g, asked in zip(pdf["doc_id"], pdf["_t"], pdf["lines"], pdf["words"], pdf["gone"], pdf["asked"], strict=True):
+                left = np.intersect1d(_open(x, w, [] if g is None else g, line_words, block_words), asked)
+                out += [(i, t, int(h)) for h in left]
+            yield pd.DataFrame(out, columns=["doc_id", "_t", "h"])
+
+    return run
+
+
+def _length(line):
+    """Words of a line."""
+    return F.when(line == "", 0).otherwise(F.size(F.split(line, r"\s+")))
+
+
 def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5) -> DataFrame:
     """``doc_id, _t, gone`` (sorted line numbers to delete) for documents that lose lines."""
     lines = F.transform(F.split("text", "\n"), lambda x: F.trim(x))
     rows = docs.select("doc_id", F.xxhash64("text").alias("_t"), lines.alias("l"))
-    rows = rows.select("doc_id", "_t", F.transform("l", lambda x: F.xxhash64(x)).alias("lines"), F.transform("l", lambda x: F.when(x == "", 0).otherwise(F.size(F.split(x, r"\s+")))).alias("words"))
+    rows = rows.select("doc_id", "_t", F.transform("l", lambda x: F.xxhash64(x)).alias("lines"), F.transform("l", _length).alias("words"))
     rows = stored(rows.filter("lines IS NOT NULL AND doc_id IS NOT NULL").distinct(), "lines")
     me = F.struct("doc_id", "_t")
-    each = rows.select("doc_id", "_t", F.explode(F.array_distinct(F.arrays_zip("lines", "words"))).alias("e"))
-    each = each.filter(F.col("e.words") >= min_line_words).select(F.col("e.lines").alias("h"), me.alias("me")).distinct()
+    sizes = (min_line_words, min_block_words)
+    each = stored(rows.mapInPandas(_nominate(*sizes), "doc_id long, _t long, h long").select("h", me.alias("me")), "keys")
     first = each.groupBy("h").agg(F.min("me").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    pairs = each.join(first, "h").filter("me > first").select("first", "me").distinct()
-    a = rows.select(F.struct("doc_id", "_t").alias("first"), F.col("lines").alias("a_lines"))
+    asked = stored(each.join(first, "h").filter("me > first"), "asked")
+    a = rows.select(F.struct("doc_id", "_t").alias("first"), F.col("lines").alias("a_lines"), F.col("words").alias("a_words"))
     b = rows.select(F.struct("doc_id", "_t").alias("me"), "lines", "words")
-    both = pairs.join(a, "first").join(b, "me").select("me.doc_id", "me._t", "a_lines", "lines", "words")
-    gone = both.mapInPandas(_align(min_block_words), "doc_id long, _t long, gone array<int>")
-    gone = gone.select("doc_id", "_t", F.explode("gone").alias("g")).groupBy("doc_id", "_t").agg(F.sort_array(F.collect_set("g")).alias("gone"))
-    return stored(gone, "gone")
+
+    def align(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(a, "first").join(b, "me").select("me.doc_id", "me._t", "a_lines", "a_words", "lines", "words")
+        return stored(both.mapInPandas(_align(*sizes), "doc_id long, _t long, gone array<int>, left array<long>"), "aligned")
+
+    def union(parts: DataFrame) -> DataFrame:
+        each = parts.select("doc_id", "_t", F.explode("gone").alias("g"))
+        return stored(each.groupBy("doc_id", "_t").agg(F.sort_array(F.collect_set("g")).alias("gone")), "gone")
+
+    def unsettled(keys: DataFrame, gone: DataFrame) -> DataFrame:
+        mine = keys.groupBy("me").agg(F.collect_set("h").alias("asked")).select("me.doc_id", "me._t", "asked")
+        mine = mine.join(rows, ["doc_id", "_t"]).join(gone, ["doc_id", "_t"], "left")
+        return stored(mine.mapInPandas(_still(*sizes), "doc_id long, _t long, h long").select("h", me.alias("me")), "unsettled")
+
+    got = align(asked.select("first", "me").distinct())
+    gone = union(got)
+    left = got.select(me.alias("me"), F.explode("left").alias("h")).distinct().join(asked.select("me", "h"), ["me", "h"], "left_semi")
+    left = unsettled(left, gone)
+    # a key that its first holder did not settle asks the next ones, twice as many each time
+    rank = F.row_number().over(Window.partitionBy("h").orderBy("me"))
+    holders = stored(each.join(left.select("h").distinct(), "h", "left_semi").select("h", F.col("me").alias("first"), rank.alias("rank")), "holders")
+    done, step = 1, 1
+    while True:
+        more = left.join(holders.filter((F.col("rank") > done) & (F.col("rank") <= done + step)), "h").filter("first < me")
+        more = stored(more.select("first", "me").distinct(), "more")
+        if not more.limit(1).count():
+            return gone
+        gone = union(align(more).select("doc_id", "_t", "gone").unionByName(gone))
+        left = unsettled(left, gone)
+        done, step = done + step, 2 * step
 
 
 #: Columns that :func:`drop_blocks` adds; input columns of these names keep their values under a leading underscore.
