@@ -1,7 +1,9 @@
 """Line dedup by pairwise alignment: shared line hashes nominate pairs, patience diff aligns them, and aligned
 common blocks are deleted from the later document.
 
-Later means larger ``(doc_id, digest of the text)``. Keys are lines of at least ``min_line_words`` words. A key in more than one document nominates the pair (first document that has it, each
+Later means larger ``(doc_id, digest of the text)``. Keys are lines of at least ``min_line_words`` words and, from each
+shorter line on, the shortest window of neighbouring lines that reaches ``min_block_words``; characters of scripts
+without blanks count by twos. A key in more than one document nominates the pair (first document that has it, each
 later one), so a key of ``n`` documents gives ``n - 1`` pairs at first and no frequency cap is needed. Where the
 alignment leaves a key in place, its next holders are asked, 1, 2, 4, ... more, until it is aligned or none is left.
 Both documents of a pair are aligned whole, as sequences of hashes of trimmed lines: lines unique in both are matched,
@@ -113,9 +115,27 @@ def doomed(a: list[int], b: list[int], words: list[int], least: int) -> list[int
 
 
 def windows(lines: np.ndarray, words: np.ndarray, line_words: int, block_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Keys that nominate (lines of ``line_words``), with the first line of each and the line after its last."""
-    start = np.flatnonzero(words >= line_words)
-    return lines[start], start, start + 1
+    """Keys that nominate, with the first line of each and the line after its last.
+
+    A line of ``line_words`` is a key by itself. A shorter one starts the shortest window of neighbouring lines
+    that reaches ``block_words``, so every common run of that length has a key in common.
+    """
+    start = np.flatnonzero(words > 0)
+    key, end = lines[start].copy(), start + 1
+    total = words[start].astype(np.int64)
+    grow = np.flatnonzero((total < line_words) & (total < block_words))
+    lost = np.zeros(len(start), bool)
+    while len(grow):
+        over = end[grow] >= len(lines)
+        lost[grow[over]] = True
+        grow = grow[~over]
+        with np.errstate(over="ignore"):
+            key[grow] = (key[grow] ^ (key[grow] >> 29)) * np.int64(-7046029254386353131) + lines[end[grow]]
+        total[grow] += words[end[grow]]
+        end[grow] += 1
+        grow = grow[total[grow] < block_words]
+    lost |= (total < line_words) & (total < block_words)
+    return key[~lost], start[~lost], end[~lost]
 
 
 def _arrays(lines, words) -> tuple[np.ndarray, np.ndarray]:
@@ -169,8 +189,11 @@ def _still(line_words: int, block_words: int):
 
 
 def _length(line):
-    """Words of a line."""
-    return F.when(line == "", 0).otherwise(F.size(F.split(line, r"\s+")))
+    """Words of a line; two characters of a script written without blanks count as one more."""
+    unspaced = r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsThai}\p{IsLao}\p{IsKhmer}\p{IsMyanmar}]"
+    spaced = F.size(F.split(line, r"\s+"))
+    other = F.length(line) - F.length(F.regexp_replace(line, unspaced, ""))
+    return F.when(line == "", 0).when(line.rlike(unspaced), F.greatest(spaced, F.ceil(other / 2).cast("int"))).otherwise(spaced)
 
 
 def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5) -> DataFrame:

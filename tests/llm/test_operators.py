@@ -111,15 +111,19 @@ def test_patience_alignment():
     assert linededup.doomed([1, 2, 3], [7, 1, 2, 8, 3], [5, 1, 1, 5, 1], 8) == []
 
 
-def test_lines_are_asked_of_later_holders(spark):
+def test_lines_are_asked_of_later_holders_and_in_windows(spark):
     rng = random.Random(31)
     say = words(rng, 8, 3000, "abcdefghijkl")
     p, q = [say() for _ in range(6)], [say() for _ in range(9)]
+    short = [say(2) for _ in range(40)]
+    han = ["".join(chr(0x4E00 + rng.randrange(3000)) for _ in range(40)) for _ in range(3)]
     own = lambda *parts: "\n".join([say(), *[x for part in parts for x in [*part, say()]]])
     rows = [own(p, p), own(p), own(p)]  # the first holder repeats the passage
-    rows += [own(q), own(q[4:], q[:4]), own(q[4:], q[:4])]  # two blocks in another order
+    rows += [own(q, short[:3], han), own(q[4:], q[:4]), own(q[4:], q[:4])]  # two blocks in another order
+    rows += [own(short[3:]), own(short[3:])]
+    rows += [own(han)]
     got = {r["doc_id"]: r["n_removed"] for r in linededup.drop_blocks(docs_frame(spark, [(i, t, "s") for i, t in enumerate(rows)])).collect()}
-    assert got == {0: 0, 1: 6, 2: 6, 3: 0, 4: 5, 5: 9}
+    assert got == {0: 0, 1: 6, 2: 6, 3: 0, 4: 5, 5: 9, 6: 0, 7: 37, 8: 3}
 
 
 
