@@ -6,11 +6,10 @@ For any unit vector ``q`` the ratio <code(o), q> / f estimates <o, q> without bi
 ``eps * sqrt((1 - f^2) / f^2) / sqrt(dim - 1)`` but for a chance that vanishes with ``eps``. A pair whose upper
 bound is below the threshold is out; every other pair is computed again in double precision, so links are exact.
 
-Pairs are proposed by tables over bits of further rotations: the number of bits follows the largest label's
-count, the number of tables follows from the wanted recall of a pair that lies just on the threshold.
-Equal vectors are first collapsed to one. A bucket with more rows than ``block`` is cut into blocks, and each
-pair of blocks is a task of its own, so no bucket is gathered whole; no pair is ever emitted, only counts of
-links and a spanning forest.
+All pairs of a label are compared by their codes, so the bound alone decides. Equal vectors are first collapsed to
+one. A label with more rows than ``block`` is cut into blocks, and each pair of blocks is a task of its own, so no
+label is gathered whole; no pair is ever emitted, only counts of links and a spanning forest. A caller who can lose
+pairs may name a ``recall``: then only pairs that meet in tables over bits of further rotations are compared.
 
 Null, zero, or non-finite vectors and null labels link with nothing: ``n_links`` 0 and a component of their own.
 Vectors of unequal lengths never link. Repeated rows with one ``vec_id`` are one vector per distinct embedding.
@@ -130,16 +129,18 @@ def _link(threshold: float, eps: float, side: int = 1024):
     return run
 
 
-def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, eps: float = 4.5, block: int = 4096, recall: float = 0.998) -> DataFrame:
-    """``vec_id, label, embedding`` -> ``vec_id, n_links, component_id, kept``."""
+def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, eps: float = 4.5, block: int = 4096, recall: float | None = None) -> DataFrame:
+    """``vec_id, label, embedding`` -> ``vec_id, n_links, component_id, kept``; with ``recall``, pairs come from tables."""
     fine = F.col("label").isNotNull() & F.col("vec_id").isNotNull() & F.coalesce(
         F.forall("embedding", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v.cast("double")) < float("inf"))) & F.exists("embedding", lambda v: v != 0), F.lit(False)
     )
     rows = stored(vectors.select("vec_id", "label", "embedding", fine.alias("fine")).distinct(), "vectors")
     good = rows.filter("fine")
     reps = stored(good.groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("cnt")), "reps")
-    most = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 0
-    bits, tables = plan_tables(most, threshold, recall)
+    bits, tables = 0, 1
+    if recall is not None:
+        most = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 0
+        bits, tables = plan_tables(most, threshold, recall)
     keyed = reps.mapInPandas(_tables(bits, tables, 11), "label int, embedding array<float>, rep long, cnt long, keys array<int>")
     keyed = stored(keyed, "keyed")
     each = keyed.select("*", F.posexplode("keys").alias("t", "key"))

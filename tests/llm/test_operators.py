@@ -468,6 +468,22 @@ def test_vector_tables_keep_recall(spark, monkeypatch):
     assert embeddup.plan_tables.__name__ == "<lambda>"
 
 
+def test_large_labels_lose_no_pair_on_the_threshold(spark):
+    rng = np.random.default_rng(41)
+    base = rng.standard_normal((3000, 24))
+    base /= np.linalg.norm(base, axis=1, keepdims=True)
+    noise = rng.standard_normal((3000, 24))
+    noise -= (noise * base).sum(1, keepdims=True) * base
+    noise /= np.linalg.norm(noise, axis=1, keepdims=True)
+    near = 0.9301 * base + np.sqrt(1 - 0.9301**2) * noise
+    x = np.vstack([base, near]).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist(), 0) for i, v in enumerate(x)], "vec_id long, embedding array<float>, label int")
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    want = (unit @ unit.T >= 0.93).sum(1) - 1
+    got = {r["vec_id"]: r["n_links"] for r in embeddup.near_vectors(df).collect()}
+    assert [got[i] for i in range(len(x))] == want.tolist()
+
+
 def test_estimates_are_unbiased_and_bounded():
     rng = np.random.default_rng(13)
     x = rng.standard_normal((400, 64))
