@@ -303,7 +303,12 @@ def drop_near(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     losers = stored(classes(docs, similarity).filter("id <> class_id").select(F.col("id").alias("doc_id")), "losers")
     out = docs.join(small(losers), "doc_id", "left_anti").select(docs.columns)
     twice = docs.groupBy("doc_id").count().filter("count > 1 AND doc_id IS NOT NULL").limit(1).count()
-    return out.dropDuplicates(["doc_id"]) if twice else out
+    if not twice:
+        return out
+    # of rows that share an id the first by text, then by all values, stays; rows without an id all stay
+    order = F.struct("text", F.to_json(F.struct(*docs.columns)))
+    one = out.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min_by(F.struct(*docs.columns), order).alias("row"))
+    return one.select("row.*").unionByName(out.filter("doc_id IS NULL"))
 
 
 def contract(docs: DataFrame) -> DataFrame:

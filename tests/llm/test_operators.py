@@ -526,6 +526,12 @@ def test_sketches_see_order_and_repeats():
     assert len(ominhash.sketch(w(""), 8, 2)) == 0 and len(ominhash.sketch(w("one"), 8, 2)) == 8
 
 
+def test_rows_without_id_stay_where_an_id_repeats(spark):
+    rows = [(None, "one", "s"), (None, "two", "s"), (None, None, "s"), (1, "b c d", "s"), (1, "a c d", "s"), (2, "x y z", "s")]
+    got = [(r["doc_id"], r["text"]) for r in ominhash.drop_near(docs_frame(spark, rows).repartition(3)).collect()]
+    assert collections.Counter(got) == collections.Counter([(None, "one"), (None, "two"), (None, None), (1, "a c d"), (2, "x y z")])
+
+
 def test_hot_buckets_keep_their_linked_pairs(spark):
     """A long template puts everything into hot buckets; edits of every fourth word leave linked pairs nothing else in common."""
     rng = random.Random(29)
