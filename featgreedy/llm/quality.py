@@ -29,7 +29,7 @@ _RUN = re.compile(r"(.)\1+")
 
 def shape(word: str) -> str:
     """Kinds of characters with runs joined: ``Word!!`` -> ``Aa!``."""
-    kinds = "".join("a" if c.islower() else "A" if c.isupper() else "0" if c.isdigit() else "w" if c.isalpha() else c for c in word[:40])
+    kinds = "".join("a" if c.islower() else "A" if c.isupper() else "0" if c.isdigit() else "w" if c.isalpha() else c for c in word)
     return _RUN.sub(r"\1", kinds)
 
 

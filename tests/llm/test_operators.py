@@ -526,6 +526,10 @@ def test_sketches_see_order_and_repeats():
     assert len(ominhash.sketch(w(""), 8, 2)) == 0 and len(ominhash.sketch(w("one"), 8, 2)) == 8
 
 
+def test_shapes_read_whole_words():
+    assert quality.shape("a" * 60 + "!9") == "a!0" and quality.shape("Word!!") == "Aa!"
+
+
 def test_rows_without_id_stay_where_an_id_repeats(spark):
     rows = [(None, "one", "s"), (None, "two", "s"), (None, None, "s"), (1, "b c d", "s"), (1, "a c d", "s"), (2, "x y z", "s")]
     got = [(r["doc_id"], r["text"]) for r in ominhash.drop_near(docs_frame(spark, rows).repartition(3)).collect()]
