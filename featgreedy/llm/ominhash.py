@@ -55,6 +55,11 @@ class Words:
         return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
 
 
+def word_numbers(text: str | None) -> np.ndarray:
+    """A text's words as 32-bit hashes."""
+    return (Words()(text) >> np.uint64(32)).astype(np.uint32)
+
+
 def sketch(words: np.ndarray, sketches: int, picks: int) -> np.ndarray:
     """Bucket keys of one text."""
     k = min(K, len(words))
@@ -174,14 +179,16 @@ def bag(seq: np.ndarray) -> np.ndarray:
     return np.minimum(np.bincount(seq % BAG, minlength=BAG), 255).astype(np.uint8)
 
 
-def bounded_pairs(task: np.ndarray, n: np.ndarray, bags: np.ndarray, c: np.ndarray, own: np.ndarray, cross: np.ndarray, similarity: float):
+def bounded_pairs(task: np.ndarray, key: np.ndarray, n: np.ndarray, bags: np.ndarray, keys: np.ndarray, c: np.ndarray, own: np.ndarray, cross: np.ndarray, similarity: float):
     """Index pairs of one task (equal ``task``, neighbours, ascending ``n``), of different components, that may be alike.
 
-    Pairs are ruled out by lengths and by the differences of their bags, both lower bounds of the edit distance;
-    where ``cross`` is set, pairs of one block belong to another task.
+    Pairs are ruled out by lengths and by the differences of their bags, both lower bounds of the edit distance. Where
+    ``cross`` is set, pairs of one block belong to another task; a pair with several common ``keys`` (rows padded with
+    the largest number) belongs to the bucket of the smallest.
     """
     left = np.arange(len(task) - 1)
     folded = bags.reshape(len(bags), 16, -1).sum(2, dtype=np.int32)
+    none = np.iinfo(np.int64).max
     for d in range(1, len(task)):
         left = left[left + d < len(task)]
         right = left + d
@@ -196,8 +203,12 @@ def bounded_pairs(task: np.ndarray, n: np.ndarray, bags: np.ndarray, c: np.ndarr
                 gap = x[part].astype(np.int16) - x[part + d] if x is bags else x[part] - x[part + d]
                 over, under = np.maximum(gap, 0).sum(1), np.maximum(-gap, 0).sum(1)
                 part = part[np.maximum(over, under) <= ((1 - similarity) * n[part + d] + 1e-9).astype(np.int64)]
-            if len(part):
-                yield part, part + d
+            for few in np.array_split(part, len(part) // 500 + 1):
+                mine = keys[few]
+                common = (mine[:, :, None] == keys[few + d][:, None, :]).any(2)
+                few = few[np.where(common, mine, none).min(1) == key[few]]
+                if len(few):
+                    yield few, few + d
 
 
 def _merge(similarity: float):
@@ -207,7 +218,10 @@ def _merge(similarity: float):
         task = pdf.groupby(["key", "i", "j"], sort=False).ngroup().to_numpy()
         bags = np.frombuffer(b"".join(pdf["bag"]), np.uint8).reshape(len(pdf), BAG)
         c, led, blobs = pdf["c"].to_numpy(), pdf["led"].to_numpy(), pdf["seq"].tolist()
-        cross = (pdf["i"] != pdf["j"]).to_numpy()
+        cross, key = (pdf["i"] != pdf["j"]).to_numpy(), pdf["key"].to_numpy()
+        sizes = pdf["keys"].map(len).to_numpy()
+        keys = np.full((len(pdf), sizes.max()), np.iinfo(np.int64).max)
+        keys[np.arange(keys.shape[1]) < sizes[:, None]] = np.concatenate(pdf["keys"].to_list())
         root, read, out = {}, {}, []
 
         def find(x):
@@ -223,7 +237,7 @@ def _merge(similarity: float):
                 read[k] = np.frombuffer(zlib.decompress(blobs[k]), np.uint32)
             return read[k]
 
-        for p, q in bounded_pairs(task, pdf["n"].to_numpy().astype(np.int64), bags, c, pdf["own"].to_numpy(), cross, similarity):
+        for p, q in bounded_pairs(task, key, pdf["n"].to_numpy().astype(np.int64), bags, keys, c, pdf["own"].to_numpy(), cross, similarity):
             fresh = ~(led[p] | led[q])  # the first round checked the bucket's leader with everyone
             for k, m in zip(p[fresh].tolist(), q[fresh].tolist(), strict=True):
                 u, v = find(c[k]), find(c[m])
@@ -288,7 +302,8 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks:
     mates = F.transform(F.sequence(F.lit(0), F.col("nb") - 1), lambda o: F.struct(F.least("own", o).alias("i"), F.greatest("own", o).alias("j")))
     wide = each.filter("nb > 1").select("key", "c", "id", "led", "own", F.explode(mates).alias("ij")).select("key", "c", "id", "led", "own", "ij.i", "ij.j")
     tasks = each.filter("nb = 1").select("key", "c", "id", "led", "own", F.lit(0).alias("i"), F.lit(0).alias("j")).unionByName(wide)
-    tasks = tasks.join(seqs, "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "id")
+    open_keys = each.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one a sketch
+    tasks = tasks.join(seqs.join(open_keys, "id"), "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "id")
     found = stored(tasks.mapInPandas(_merge(similarity), "ca long, cb long"), "merged")
     two = components(found, "ca", "cb")
     top = one.join(two.select(F.col("node").alias("component"), F.col("component").alias("top")), "component", "left").select("node", F.coalesce("top", "component").alias("component"))
