@@ -5,10 +5,12 @@ weights; a source whose share exceeds ``max_epochs`` times its size is clamped t
 dealt again by weight among the rest until none exceeds its cap. Epochs = target / source size. A document
 is taken ``floor(epochs)`` whole times, and once more if it lies in the seeded order before the point where
 the fractional part of the target is used up. That point is found by three rounds of histograms over digits
-of the seeded hash, so no source, however large, is ever sorted in one task.
+of the seeded hash of id and text, so no source, however large, is ever sorted in one task; rows equal in both are
+one counted row there, and where the point falls among them their places in a stored table decide.
 
 Null or empty text: size 0, taken 0. Null source: a source of its own, last in order. Repeated rows take
-part each by itself. Empty tables give empty results.
+part each by itself, so some of a number of equal rows may be taken once more than others. Empty tables give
+empty results.
 """
 
 from __future__ import annotations
@@ -53,10 +55,10 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
 
     Texts are read once for the sizes (a small table of keys and sizes is kept) and once more for the result.
     """
-    key = F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
+    key = F.md5(F.concat(F.lit(f"{seed}|"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit("|"), F.md5(F.coalesce("text", F.lit("")))))
     own = {"size": "_size", "source_size": "_source_size", "target": "_target", "taken": "_taken"}
     docs = docs.withColumnsRenamed({c: own[c] for c in docs.columns if c in own})  # clashing names keep their values
-    slim = stored(docs.select("doc_id", "source", word_count("text").alias("size"), key.alias("_k"), F.xxhash64("text").alias("_t")), "sizes")
+    slim = stored(docs.select("doc_id", "source", word_count("text").alias("size"), key.alias("_k")), "sizes")
     base = slim
     per = stored(base.groupBy("source").agg(F.sum("size").alias("source_size")), "sources")
     few = per.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
@@ -80,22 +82,41 @@ def mix(docs: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights=WE
         bins = bins.withColumn("cum", F.sum("n").over(upto)).filter(F.col("cum") >= F.col("left"))
         state = bins.groupBy("source", "left").agg(F.min(F.struct("bin", "cum", "n")).alias("b")).select("source", (F.col("left") - (F.col("b.cum") - F.col("b.n"))).alias("left"), F.col("b.bin").alias("prefix"))
         state = state.withColumn("left", F.round("left", 6))
-    last = slim.join(named(state), same).filter(F.substring("_k", 1, 6) == F.col("prefix")).select("source", "doc_id", "size", "_k", "_t", "left")
-    order = Window.partitionBy("source").orderBy("_k", "doc_id", "_t").rowsBetween(Window.unboundedPreceding, 0)
-    last = last.withColumn("cum", F.sum("size").over(order)).withColumn("before", F.col("cum") - F.col("size"))
-    # a document on the edge is taken when its middle lies before the target
-    edge = last.filter(F.col("before") + F.col("size") / 2 <= F.col("left")).groupBy("source").agg(F.max(F.struct("_k", "doc_id", "_t")).alias("edge"))
+    # rows of one hash are equal in id and text: one row with their number, however many they are
+    last = slim.join(named(state), same).filter(F.substring("_k", 1, 6) == F.col("prefix")).groupBy("source", "left", "_k", "size").agg(F.count("*").alias("m"))
+    order = Window.partitionBy("source").orderBy("_k").rowsBetween(Window.unboundedPreceding, 0)
+    all_of = F.col("m") * F.col("size")
+    last = last.withColumn("rest", F.col("left") - (F.sum(all_of).over(order) - all_of))
+    # a document on the edge is taken when its middle lies before the target; of equal ones, so many as do
+    fit = F.when(F.col("size") > 0, F.least("m", F.floor(F.col("rest") / F.col("size") + 0.5))).otherwise(F.col("m"))
+    last = last.withColumn("fit", fit).filter("rest >= 0 AND fit > 0")
+    edge = last.groupBy("source").agg(F.max(F.struct("_k", "m", "fit")).alias("edge"))
     goal = goal.join(named(edge), same, "left").drop("_s").join(named(state.select("source", "prefix")), same, "left").drop("_s")
+    goal = stored(goal, "targets")
     g = goal.select(F.col("source").alias("__fg_s"), "source_size", "target", *[F.col(c).alias(f"__fg{c}") for c in ("_whole", "_left")], *[F.col(c).alias(f"__fg_{c}") for c in ("edge", "prefix")])
     if slim_only:
-        base = slim.withColumnsRenamed({"_k": "__fg_k", "_t": "__fg_t"})
+        base = slim.withColumnsRenamed({"_k": "__fg_k"})
     else:
-        base = docs.withColumn("size", word_count("text")).withColumn("__fg_k", key).withColumn("__fg_t", F.xxhash64("text"))
-    me = F.struct(F.col("__fg_k").alias("_k"), "doc_id", F.col("__fg_t").alias("_t"))
-    bin_, cut_at = F.substring("__fg_k", 1, 6), F.col("__fg_prefix")
-    more = F.when(F.col("__fg_left") <= 0, 0).when(bin_ < cut_at, 1).when((bin_ == cut_at) & F.col("__fg_edge").isNotNull() & (me <= F.col("__fg_edge")), 1).otherwise(0)
+        base = docs.withColumn("size", word_count("text")).withColumn("__fg_k", key)
+    bin_, cut_at, last_key = F.substring("__fg_k", 1, 6), F.col("__fg_prefix"), F.col("__fg_edge._k")
+    tied = (F.col("__fg_k") == last_key) & (F.col("__fg_edge.fit") < F.col("__fg_edge.m"))
+    more = F.when(F.col("__fg_left") <= 0, 0).when(bin_ < cut_at, 1).when((bin_ == cut_at) & (F.col("__fg_k") <= last_key), 1).otherwise(0)
     out = base.join(sent(g), F.col("source").eqNullSafe(F.col("__fg_s")))
-    return out.withColumn("taken", F.col("size") * (F.col("__fg_whole") + more)).drop(*[f"__fg_{c}" for c in ("k", "t", "s", "whole", "left", "edge", "prefix")])
+    if not goal.filter("edge.fit < edge.m AND _left > 0").limit(1).count():
+        out = out.withColumn("__fg_more", more)
+    else:  # equal rows across the edge, kept apart by their place in a stored table
+        ties = stored(out.filter(tied).withColumn("__fg_r", F.monotonically_increasing_id()), "ties")
+        part = F.shiftright("__fg_r", 33)
+        per_part = ties.groupBy("__fg_s", part.alias("__fg_p")).agg(F.count("*").alias("__fg_n"))
+        upto = Window.partitionBy("__fg_s").orderBy("__fg_p").rowsBetween(Window.unboundedPreceding, 0)
+        per_part = per_part.select(F.col("__fg_s").alias("__fg_s2"), "__fg_p", (F.sum("__fg_n").over(upto) - F.col("__fg_n")).alias("__fg_b"))
+        ties = ties.withColumn("__fg_q", part).join(per_part, F.col("__fg_s").eqNullSafe(F.col("__fg_s2")) & (F.col("__fg_q") == F.col("__fg_p")))
+        place = F.col("__fg_b") + F.row_number().over(Window.partitionBy("__fg_s", "__fg_q").orderBy("__fg_r"))
+        ties = ties.withColumn("__fg_more", F.when(F.col("__fg_left") > 0, (place <= F.col("__fg_edge.fit")).cast("int")).otherwise(0))
+        names = [*out.columns, "__fg_more"]
+        out = out.filter(~F.coalesce(tied, F.lit(False))).withColumn("__fg_more", more).select(names).union(ties.select(names))
+    out = out.withColumn("taken", F.col("size") * (F.col("__fg_whole") + F.col("__fg_more")))
+    return out.drop(*[f"__fg_{c}" for c in ("k", "s", "whole", "left", "edge", "prefix", "more")])
 
 
 def contract(docs: DataFrame) -> DataFrame:
@@ -104,7 +125,7 @@ def contract(docs: DataFrame) -> DataFrame:
 
 ORACLE = r"""
 WITH d AS (SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size,
-                  md5('mix|' || coalesce(doc_id::VARCHAR, 'null')) AS k FROM documents),
+                  md5('mix|' || coalesce(doc_id::VARCHAR, 'null') || '|' || md5(coalesce(text, ''))) AS k FROM documents),
 s AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 o AS (SELECT *, row_number() OVER (ORDER BY source IS NULL, encode(source)) AS place FROM s),
 w AS (SELECT *, [3.0::DOUBLE, 1.0::DOUBLE, 2.0::DOUBLE][((place - 1) % 3 + 1)::INT] AS weight, 2.0::DOUBLE * source_size AS cap,
@@ -117,7 +138,7 @@ t AS (SELECT source, source_size, CASE WHEN cap / weight >= from_ratio THEN leas
 g AS (SELECT d.*, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN floor(t.target / t.source_size) ELSE 0 END AS whole
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
 c AS (SELECT *, target - whole * source_size AS rest,
-             sum(size) OVER (PARTITION BY source ORDER BY k, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - size AS before FROM g)
+             sum(size) OVER (PARTITION BY source ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - size AS before FROM g)
 SELECT doc_id, size, source_size, target,
        (size * (whole + CASE WHEN rest > 0 AND before + size / 2.0 <= rest THEN 1 ELSE 0 END))::BIGINT AS taken FROM c
 """
