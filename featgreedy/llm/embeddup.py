@@ -12,7 +12,8 @@ label is gathered whole; no pair is ever emitted, only counts of links and a spa
 pairs may name a ``recall``: then only pairs that meet in tables over bits of further rotations are compared.
 
 Null, zero, or non-finite vectors and null labels link with nothing: ``n_links`` 0 and a component of their own.
-Vectors of unequal lengths never link. Repeated rows with one ``vec_id`` are one vector per distinct embedding.
+Vectors of unequal lengths never link. Rows equal in ``vec_id``, label and embedding are one vector, which is
+counted once and returned for each of its rows.
 """
 
 from __future__ import annotations
@@ -134,9 +135,10 @@ def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, eps: float =
     fine = F.col("label").isNotNull() & F.col("vec_id").isNotNull() & F.coalesce(
         F.forall("embedding", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v.cast("double")) < float("inf"))) & F.exists("embedding", lambda v: v != 0), F.lit(False)
     )
-    rows = stored(vectors.select("vec_id", "label", "embedding", fine.alias("fine")).distinct(), "vectors")
+    rows = stored(vectors.select("vec_id", "label", "embedding", fine.alias("fine")), "vectors")
     good = rows.filter("fine")
-    reps = stored(good.groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("cnt")), "reps")
+    held = good.select("label", "embedding", "vec_id").distinct()  # partial aggregates: repeated rows end before the shuffle
+    reps = stored(held.groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("cnt")), "reps")
     bits, tables = 0, 1
     if recall is not None:
         most = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 0
