@@ -7,9 +7,12 @@ Exact piece hits come from one automaton over all pieces; hits of one item whose
 substring of the window. Whole texts are scanned.
 
 Items are a query set: while their bytes are within ``block_bytes`` they are one broadcast block; more items
-are scanned block by block, and the blocks' findings are united. Items shorter than ``min_chars`` are skipped.
+are scanned block by block, and the blocks' findings are united. One block at a time is held by the driver and
+the executors. Every item is searched; one too short for any edit must stand between word boundaries.
 
-Null or empty texts have no hits. Repeated rows each get their own row. Result: one row per document.
+Null or empty texts have no hits, and empty or null items are in no text. Rows equal in id and text have equal
+findings, and each keeps its own row. Items that share an id are one item with several texts. Result: one row
+per row of ``docs``, the same however the items are cut into blocks.
 """
 
 from __future__ import annotations
@@ -18,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship
+from featgreedy.llm.common import ship, small, stored
 
 RATE = 0.06
 
@@ -68,19 +71,18 @@ def best_distance(masks: dict[str, int], m: int, text: str, stop: int) -> int:
     return best
 
 
-def build(items: list[tuple[int, str]], rate: float, min_chars: int):
-    """Automaton over the pieces and, for each item, what its check needs."""
+def build(items: list[tuple[int, str]], rate: float):
+    """Automaton over the pieces and, for each item text, what its check needs."""
     import ahocorasick
 
-    auto, checks, where = ahocorasick.Automaton(), {}, {}
-    for item_id, text in items:
-        t = plain(text)
-        if len(t) < min_chars:
+    auto, checks, where = ahocorasick.Automaton(), [], {}
+    for item_id, t in sorted({(i, plain(text)) for i, text in items}):
+        if not t:
             continue
         k = int(rate * len(t))
-        checks[item_id] = (len(t), k, pattern_masks(t), t)
         for at, piece in pieces(t, k):
-            where.setdefault(piece, []).append((item_id, at))
+            where.setdefault(piece, []).append((len(checks), at))
+        checks.append((len(t), k, pattern_masks(t), t, item_id))
     for piece, uses in where.items():
         auto.add_word(piece, (len(piece), uses))
     if where:
@@ -95,15 +97,19 @@ def find(auto, checks, text: str) -> dict[int, int]:
         return found
     done: dict[int, list[int]] = {}
     for end, (n, uses) in auto.iter(text):
-        for item_id, at in uses:
-            m, k, masks, whole = checks[item_id]
+        for x, at in uses:
+            m, k, masks, whole, item_id = checks[x]
             start = end - n + 1 - at
-            if found.get(item_id) == 0 or any(abs(start - s) <= k for s in done.get(item_id, ())):
+            if found.get(item_id) == 0 or any(abs(start - s) <= k for s in done.get(x, ())):
+                continue
+            if not k:  # the only piece is the item
+                if not (text[start - 1 : start].isalnum() and whole[0].isalnum() or text[end + 1 : end + 2].isalnum() and whole[-1].isalnum()):
+                    found[item_id] = 0
                 continue
             lo = max(0, start - 2 * k)  # starts within k of this one use the same window
             window = text[lo : max(0, start) + m + 3 * k + 1]
             d = 0 if whole in window else best_distance(masks, m, window, 0)
-            near = done.setdefault(item_id, [])
+            near = done.setdefault(x, [])
             near.append(start)
             if len(near) > 64:
                 del near[:32]
@@ -112,40 +118,58 @@ def find(auto, checks, text: str) -> dict[int, int]:
     return found
 
 
-def _scan(items, rate: float, min_chars: int):
+def _scan(items, rate: float, hits_only: bool):
     def run(batches):
-        auto, checks = build(items.value, rate, min_chars)
+        auto, checks = build(items.value, rate)
         for pdf in batches:
-            hits = [find(auto, checks, plain(t)) for t in pdf["text"]]
-            pdf = pdf.drop(columns="text")
+            hits = [find(auto, checks, plain(t)) for t in pdf.pop("text")]
             pdf["item_ids"] = [sorted(h) for h in hits]
             pdf["distances"] = [[h[i] for i in sorted(h)] for h in hits]
-            yield pdf
+            yield pdf[[bool(h) for h in hits]] if hits_only else pdf
 
     return run
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE, min_chars: int = 40, block_bytes: int = 8_000_000) -> DataFrame:
-    """``doc_id, _t`` (digest of the text) ``, item_ids, distances, contaminated`` for every row of ``docs``."""
-    spark = docs.sparkSession
-    slim = docs.select("doc_id", "text", F.xxhash64("text").alias("_t"))
-    held, out, block, size = [], None, [], 0
+_FOUND = "doc_id long, _t long, item_ids array<long>, distances array<int>"
 
-    def scan(block):
-        held.append(shared := spark.sparkContext.broadcast(block))
-        return slim.mapInPandas(_scan(shared, rate, min_chars), "doc_id long, _t long, item_ids array<long>, distances array<int>")
 
+def _blocks(benchmark: DataFrame, block_bytes: int):
+    """Lists of items of at most ``block_bytes``, or one longer item each."""
+    block, size = [], 0
     for item_id, text in benchmark.filter("item_id IS NOT NULL AND text IS NOT NULL").select("item_id", "text").toLocalIterator():
+        n = len(text.encode())
+        if block and size + n > block_bytes:
+            yield block
+            block, size = [], 0
         block.append((item_id, text))
-        size += len(text.encode())
-        if size >= block_bytes:
-            out, block, size = (scan(block) if out is None else out.union(scan(block))), [], 0
-    if out is None:
-        out = scan(block)
-    else:
-        out = out.union(scan(block)) if block else out
-        pairs = F.flatten(F.collect_list(F.arrays_zip("item_ids", "distances")))
-        out = out.groupBy("doc_id", "_t").agg(F.array_sort(F.array_distinct(pairs)).alias("p")).select("doc_id", "_t", F.col("p.item_ids").alias("item_ids"), F.col("p.distances").alias("distances"))
+        size += n
+    yield block
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE, block_bytes: int = 8_000_000) -> DataFrame:
+    """``doc_id, _t`` (digest of the text) ``, item_ids, distances, contaminated`` for every row of ``docs``."""
+    spark = docs.sparkSession
+    slim = docs.select("doc_id", "text", F.xxhash64("text").alias("_t"))
+    blocks = _blocks(benchmark, block_bytes)
+    block, after = next(blocks), next(blocks, None)
+    if after is None:
+        out = slim.mapInPandas(_scan(spark.sparkContext.broadcast(block), rate, False), _FOUND)
+        return out.withColumn("contaminated", F.size("item_ids") > 0)
+    hits = None
+    while block is not None:
+        held = spark.sparkContext.broadcast(block)
+        part = stored(slim.mapInPandas(_scan(held, rate, True), _FOUND), "hits")
+        held.destroy()
+        hits = part if hits is None else hits.union(part)
+        block, after = after, next(blocks, None) if after else None
+    each = hits.select("doc_id", "_t", F.explode(F.arrays_zip("item_ids", "distances")).alias("p"))
+    each = each.groupBy("doc_id", "_t", "p.item_ids").agg(F.min("p.distances").alias("distances"))
+    each = each.groupBy("doc_id", "_t").agg(F.array_sort(F.collect_list(F.struct("item_ids", "distances"))).alias("p"))
+    each = stored(each.select(F.col("doc_id").alias("_d"), F.col("_t").alias("_u"), F.col("p.item_ids").alias("item_ids"), F.col("p.distances").alias("distances")), "found")
+    same = F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_t") == F.col("_u"))
+    none = lambda c, kind: F.coalesce(c, F.array().cast(kind)).alias(c)
+    out = slim.select("doc_id", "_t").join(small(each), same, "left")
+    out = out.select("doc_id", "_t", none("item_ids", "array<long>"), none("distances", "array<int>"))
     return out.withColumn("contaminated", F.size("item_ids") > 0)
 
 
