@@ -2,8 +2,8 @@
 common blocks are deleted from the later document.
 
 Later means larger ``(doc_id, digest of the text)``. Keys are lines of at least ``min_line_words`` words and, from each
-shorter line on, the shortest window of neighbouring lines that reaches ``min_block_words``; characters of scripts
-without blanks count by twos. A key in more than one document nominates the pair (first document that has it, each
+shorter line on and up to it, the shortest windows of neighbouring lines that reach ``min_block_words``; characters of
+scripts without blanks count by twos. A key in more than one document nominates the pair (first document that has it, each
 later one), so a key of ``n`` documents gives ``n - 1`` pairs at first and no frequency cap is needed. Where the
 alignment leaves a key in place, its next holders are asked, 1, 2, 4, ... more, until it is aligned or none is left.
 Both documents of a pair are aligned whole, as sequences of hashes of trimmed lines: lines unique in both are matched,
@@ -11,7 +11,10 @@ the longest increasing chain is kept, and gaps are aligned likewise, with equal
 lines is split at its longest common run. An aligned run of neighbouring lines is a block; blocks of at least
 ``min_block_words`` words go from the later document. All pairs are judged on the input texts.
 
-Null texts have no lines and stay null. Rows equal in id and text are not later than one another and all stay.
+With ``spare``, a pair whose texts are near copies by that word similarity is no pair of a text and a shared block:
+its blocks stay, for an operator that drops the whole copy. Copies that lose the same blocks stay alike.
+
+Null texts have no lines and stay null. Rows with null ids are neither later nor earlier than others and stay whole. Rows equal in id and text are not later than one another and all stay.
 Texts emptied by deletion become the empty text. Lines repeated inside one document are left alone.
 """
 
@@ -19,10 +22,13 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship, stored
+from featgreedy.llm.common import ship, slices, stored, utf8
 
 #: Numbers in the table of deletions that may be broadcast (eight bytes each at most); beyond it a shuffle join is used.
 BROADCAST_CELLS = 4_000_000
@@ -114,40 +120,84 @@ def doomed(a: list[int], b: list[int], words: list[int], least: int) -> list[int
     return out
 
 
-def windows(lines: np.ndarray, words: np.ndarray, line_words: int, block_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def windows(lines: np.ndarray, words: np.ndarray, line_words: int, block_words: int, stop: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Keys that nominate, with the first line of each and the line after its last.
 
-    A line of ``line_words`` is a key by itself. A shorter one starts the shortest window of neighbouring lines
-    that reaches ``block_words``, so every common run of that length has a key in common.
+    A line of ``line_words`` is a key by itself. A shorter one begins the shortest window of neighbouring lines that
+    reaches ``block_words``, and ends another, so each line of a common run of that length is in a key inside the run.
+    Several texts may follow one another: ``stop`` then gives each line the end of its text.
     """
-    start = np.flatnonzero(words > 0)
-    key, end = lines[start].copy(), start + 1
-    total = words[start].astype(np.int64)
-    grow = np.flatnonzero((total < line_words) & (total < block_words))
-    lost = np.zeros(len(start), bool)
-    while len(grow):
-        over = end[grow] >= len(lines)
-        lost[grow[over]] = True
-        grow = grow[~over]
+    n = len(lines)
+    stop = np.full(n, n) if stop is None else stop
+    begin = np.searchsorted(stop, stop, "left")  # texts follow one another, so a text's first line is the first with its end
+    alone = np.flatnonzero(words >= max(line_words, 1))
+    short = np.flatnonzero((words > 0) & (words < line_words))
+    first, last = [alone], [alone + 1]
+    for step in (1, -1):
+        low, high, total = short.copy(), short + 1, words[short].astype(np.int64)
+        grow, lost = np.flatnonzero(total < block_words), np.zeros(len(short), bool)
+        while len(grow):
+            out = high[grow] >= stop[short[grow]] if step > 0 else low[grow] <= begin[short[grow]]
+            lost[grow[out]] = True
+            grow = grow[~out]
+            if step > 0:
+                total[grow] += words[high[grow]]
+                high[grow] += 1
+            else:
+                low[grow] -= 1
+                total[grow] += words[low[grow]]
+            grow = grow[total[grow] < block_words]
+        first.append(low[~lost])
+        last.append(high[~lost])
+    first, last = np.concatenate(first), np.concatenate(last)
+    key, end = lines[first].copy(), first + 1
+    while len(grow := np.flatnonzero(end < last)):
         with np.errstate(over="ignore"):
             key[grow] = (key[grow] ^ (key[grow] >> 29)) * np.int64(-7046029254386353131) + lines[end[grow]]
-        total[grow] += words[end[grow]]
         end[grow] += 1
-        grow = grow[total[grow] < block_words]
-    lost |= (total < line_words) & (total < block_words)
-    return key[~lost], start[~lost], end[~lost]
+    return key, first, last
 
 
 def _arrays(lines, words) -> tuple[np.ndarray, np.ndarray]:
     return np.asarray(lines, np.int64), np.asarray(words, np.int64)
 
 
-def _nominate(line_words: int, block_words: int):
+def measured(text: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes and word counts of the trimmed lines of all texts, one after the other, and each text's offset.
+
+    Two characters of a script written without blanks count as one word.
+    """
+    held = pc.split_pattern(text, "\n")
+    at = held.offsets.to_numpy() - held.offsets[0].as_py()
+    flat = pc.utf8_trim_whitespace(held.flatten())
+    coded = flat.dictionary_encode()
+    some = coded.dictionary
+    values = np.fromiter((xxhash.xxh3_64_intdigest(x) for x in some.cast(pa.binary()).to_pylist()), np.uint64, len(some)).view(np.int64)
+    count = pc.count_substring_regex(some, pattern=r"\S+").to_numpy().astype(np.int64)
+    if (np.frombuffer(some.buffers()[2] or b"", np.uint8) >= 0xE0).any():
+        other = pc.count_substring_regex(some, pattern=r"[\p{Han}\p{Hiragana}\p{Katakana}\p{Thai}\p{Lao}\p{Khmer}\p{Myanmar}]").to_numpy()
+        count = np.maximum(count, (other + 1) // 2)
+    which = coded.indices.to_numpy()
+    return values[which], count[which], at
+
+
+def _read(line_words: int, block_words: int):
+    """Lines, their words and the keys of each text."""
+
     def run(batches):
-        for pdf in batches:
-            keys = [np.unique(windows(*_arrays(x, w), line_words, block_words)[0]) for x, w in zip(pdf["lines"], pdf["words"], strict=True)]
-            n = [len(k) for k in keys]
-            yield pd.DataFrame({"doc_id": np.repeat(pdf["doc_id"].to_numpy(), n), "_t": np.repeat(pdf["_t"].to_numpy(), n), "h": np.concatenate(keys) if keys else np.zeros(0, np.int64)})
+        for batch in batches:
+            for i, j in slices(utf8(batch.column("text"))[1], 4_000_000):
+                part = batch.slice(i, j - i)
+                lines, words, at = measured(part.column("text"))
+                owner = np.repeat(np.arange(len(part)), np.diff(at))
+                key, first, _ = windows(lines, words, line_words, block_words, at[1:][owner])
+                order = np.lexsort((key, owner[first]))
+                key, mine = key[order], owner[first][order]
+                new = np.ones(len(key), bool)
+                new[1:] = (key[1:] != key[:-1]) | (mine[1:] != mine[:-1])
+                ends = np.concatenate([[0], np.cumsum(np.bincount(mine[new], minlength=len(part)))])
+                lists = [pa.ListArray.from_arrays(pa.array(e.astype(np.int32)), pa.array(x)) for e, x in ((at, lines), (at, words.astype(np.int32)), (ends, key[new]))]
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("_t"), *lists], ["doc_id", "_t", "lines", "words", "keys"])
 
     return run
 
@@ -161,17 +211,22 @@ def _open(lines, words, gone, line_words: int, block_words: int) -> np.ndarray:
     return np.setdiff1d(key, key[upto[end] == upto[start]])
 
 
-def _align(line_words: int, block_words: int):
+def _align(line_words: int, block_words: int, similarity: float | None):
     def run(batches):
         for pdf in batches:
             out = []
-            for i, t, a, v, b, w in zip(*(pdf[c] for c in ("doc_id", "_t", "a_lines", "a_words", "lines", "words")), strict=True):
+            for i, t, f, a, v, b, w in zip(*(pdf[c] for c in ("doc_id", "_t", "first", "a_lines", "a_words", "lines", "words")), strict=True):
                 gone = doomed(list(a), list(b), list(w), block_words)
                 left = _open(b, w, gone, line_words, block_words)
                 left = left[np.isin(left, windows(*_arrays(a, v), line_words, block_words)[0])]
-                if gone or len(left):
-                    out.append((i, t, gone, left.tolist()))
-            yield pd.DataFrame(out, columns=["doc_id", "_t", "gone", "left"])
+                copy = False
+                if similarity and gone:
+                    mine, other, same = int(w.sum()), int(v.sum()), int(w[gone].sum())
+                    most = (1 - similarity) * max(mine, other)
+                    copy = True if mine + other - 2 * same <= most else None if abs(mine - other) <= most and same >= 0.05 * max(mine, other) else False
+                if copy is not True and (gone or len(left)):
+                    out.append((i, t, (f["doc_id"], f["_t"]), gone, left.tolist(), copy is None))
+            yield pd.DataFrame(out, columns=["doc_id", "_t", "first", "gone", "left", "doubt"])
 
     return run
 
@@ -188,31 +243,30 @@ def _still(line_words: int, block_words: int):
     return run
 
 
-def _length(line):
-    """Words of a line; two characters of a script written without blanks count as one more."""
-    unspaced = r"[\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsThai}\p{IsLao}\p{IsKhmer}\p{IsMyanmar}]"
-    spaced = F.size(F.split(line, r"\s+"))
-    other = F.length(line) - F.length(F.regexp_replace(line, unspaced, ""))
-    return F.when(line == "", 0).when(line.rlike(unspaced), F.greatest(spaced, F.ceil(other / 2).cast("int"))).otherwise(spaced)
+_ROWS = "doc_id long, _t long, lines array<long>, words array<int>, keys array<long>"
+_PAIRS = "doc_id long, _t long, first struct<doc_id:long,_t:long>, gone array<int>, left array<long>, doubt boolean"
 
 
-def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5) -> DataFrame:
+def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5, spare: float | None = None) -> DataFrame:
     """``doc_id, _t, gone`` (sorted line numbers to delete) for documents that lose lines."""
-    lines = F.transform(F.split("text", "\n"), lambda x: F.trim(x))
-    rows = docs.select("doc_id", F.xxhash64("text").alias("_t"), lines.alias("l"))
-    rows = rows.select("doc_id", "_t", F.transform("l", lambda x: F.xxhash64(x)).alias("lines"), F.transform("l", _length).alias("words"))
-    rows = stored(rows.filter("lines IS NOT NULL AND doc_id IS NOT NULL").distinct(), "lines")
-    me = F.struct("doc_id", "_t")
     sizes = (min_line_words, min_block_words)
-    each = stored(rows.mapInPandas(_nominate(*sizes), "doc_id long, _t long, h long").select("h", me.alias("me")), "keys")
+    slim = docs.filter("text IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", F.xxhash64("text").alias("_t"), "text")
+    rows = stored(slim.mapInArrow(_read(*sizes), _ROWS).distinct(), "lines")
+    me = F.struct("doc_id", "_t")
+    each = rows.select(F.explode("keys").alias("h"), me.alias("me"))
     first = each.groupBy("h").agg(F.min("me").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
     asked = stored(each.join(first, "h").filter("me > first"), "asked")
     a = rows.select(F.struct("doc_id", "_t").alias("first"), F.col("lines").alias("a_lines"), F.col("words").alias("a_words"))
     b = rows.select(F.struct("doc_id", "_t").alias("me"), "lines", "words")
 
     def align(pairs: DataFrame) -> DataFrame:
-        both = pairs.join(a, "first").join(b, "me").select("me.doc_id", "me._t", "a_lines", "a_words", "lines", "words")
-        return stored(both.mapInPandas(_align(*sizes), "doc_id long, _t long, gone array<int>, left array<long>"), "aligned")
+        both = pairs.join(a, "first").join(b, "me").select("me.doc_id", "me._t", "first", "a_lines", "a_words", "lines", "words")
+        got = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
+        if not spare or not got.filter("doubt").limit(1).count():
+            return got
+        doubt = got.filter("doubt").select("first", me.alias("me"))
+        copies = stored(alike_pairs(slim, doubt, spare).select("first", "me.doc_id", "me._t"), "copies")
+        return stored(got.join(copies, ["first", "doc_id", "_t"], "left_anti").select(got.columns), "blocks")
 
     def union(parts: DataFrame) -> DataFrame:
         each = parts.select("doc_id", "_t", F.explode("gone").alias("g"))
@@ -220,7 +274,7 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
 
     def unsettled(keys: DataFrame, gone: DataFrame) -> DataFrame:
         mine = keys.groupBy("me").agg(F.collect_set("h").alias("asked")).select("me.doc_id", "me._t", "asked")
-        mine = mine.join(rows, ["doc_id", "_t"]).join(gone, ["doc_id", "_t"], "left")
+        mine = mine.join(rows, ["doc_id", "_t"]).join(gone, ["doc_id", "_t"], "left").drop("keys")
         return stored(mine.mapInPandas(_still(*sizes), "doc_id long, _t long, h long").select("h", me.alias("me")), "unsettled")
 
     got = align(asked.select("first", "me").distinct())
@@ -241,23 +295,47 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
         done, step = done + step, 2 * step
 
 
+def alike_pairs(docs: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
+    """Of ``first, me`` pairs, those whose texts are near copies by the edit distance of their words."""
+    from featgreedy.llm.ominhash import alike, word_numbers
+
+    def numbers(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("k"), pa.array([word_numbers(t.as_py()).tobytes() for t in batch.column("text")], pa.binary())], ["k", "seq"])
+
+    def check(batches):
+        for pdf in batches:
+            ok = [alike(np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32), similarity) for x, y in zip(pdf["a_seq"], pdf["b_seq"], strict=True)]
+            yield pdf.loc[ok, ["first", "me"]]
+
+    kind = pairs.schema["me"].dataType.simpleString()
+    some = stored(pairs.select(F.explode(F.array("first", "me")).alias("k")).distinct(), "named")
+    texts = docs.select(F.struct("doc_id", "_t").alias("k"), "text").join(some, "k", "left_semi").groupBy("k").agg(F.max("text").alias("text"))
+    seqs = stored(texts.mapInArrow(numbers, f"k {kind}, seq binary"), "numbers")
+    by = lambda c, s: seqs.select(F.col("k").alias(c), F.col("seq").alias(s))
+    both = pairs.join(by("first", "a_seq"), "first").join(by("me", "b_seq"), "me").select("first", "me", "a_seq", "b_seq")
+    return both.mapInPandas(check, f"first {kind}, me {kind}")
+
+
 #: Columns that :func:`drop_blocks` adds; input columns of these names keep their values under a leading underscore.
 ADDED = ("kept_text", "n_lines", "n_removed")
 
 
-def drop_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5) -> DataFrame:
+def drop_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5, spare: float | None = None) -> DataFrame:
     """``docs`` plus ``kept_text, n_lines, n_removed``."""
-    gone = find_blocks(docs, min_line_words, min_block_words)
+    gone = find_blocks(docs, min_line_words, min_block_words, spare)
     docs = docs.withColumnsRenamed({c: f"_{c}" for c in docs.columns if c in ADDED})
     cells = gone.agg(F.sum(F.size("gone") + 4)).first()[0] or 0
     gone = gone.select(F.col("doc_id").alias("__fg_d"), F.col("_t").alias("__fg_u"), F.col("gone").alias("__fg_gone"))
     out = docs.join(F.broadcast(gone) if cells <= BROADCAST_CELLS else gone, (F.col("doc_id") == F.col("__fg_d")) & (F.xxhash64("text") == F.col("__fg_u")), "left")
-    keep = F.concat_ws("\n", F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__fg_gone", i)))
+    out = out.withColumn("__fg_l", F.split("text", "\n"))  # a step of its own, so that the lambda below reads an array
+    numbers = F.sequence(F.lit(0), F.size("__fg_l") - 1)
+    keep = F.concat_ws("\n", F.transform(F.array_except(numbers, "__fg_gone"), lambda i: F.get("__fg_l", i)))
     whole = F.col("__fg_gone").isNull()
     return out.select(
         *docs.columns,
         F.when(whole, F.col("text")).otherwise(keep).alias("kept_text"),
-        F.when(F.col("text").isNull(), 0).otherwise(F.size(F.split("text", "\n"))).alias("n_lines"),
+        F.when(F.col("text").isNull(), 0).otherwise(F.size("__fg_l")).alias("n_lines"),
         F.when(whole, 0).otherwise(F.size("__fg_gone")).alias("n_removed"),
     )
 

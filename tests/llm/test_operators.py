@@ -126,30 +126,50 @@ def test_lines_are_asked_of_later_holders_and_in_windows(spark):
     assert got == {0: 0, 1: 6, 2: 6, 3: 0, 4: 5, 5: 9, 6: 0, 7: 37, 8: 3}
 
 
-
-def test_lines_against_brute_force(spark):
-    rng = random.Random(3)
-    say = words(rng, 8)
-    lines = [say() for _ in range(40)]
-    rows = [(i, "\n".join(rng.choice(lines) if rng.random() < 0.4 else say() for _ in range(rng.randrange(1, 9))), "s") for i in range(60)]
-    rows += [(60, rows[0][1], "s"), (61, None, "s"), (62, "", "s")]
-    got = {r["doc_id"]: r for r in linededup.drop_blocks(docs_frame(spark, rows)).collect()}
-    for i, t, _ in rows:
+@pytest.mark.parametrize("seed", [3, 4])
+def test_lines_against_all_earlier_documents(spark, seed):
+    """Each line that the alignment with any earlier document dooms goes; lines are unique within their documents."""
+    rng = random.Random(seed)
+    say = words(rng, 8, 3000, "abcdefghijkl")
+    pool = [say(rng.choice([1, 2, 3, 8, 9])) for _ in range(60)]
+    texts = []
+    for _ in range(70):
+        parts, used = [], set()
+        for _ in range(rng.randrange(1, 5)):
+            at, n = rng.randrange(60), rng.randrange(1, 9)
+            parts += [x for x in pool[at : at + n] if x not in used] + [say()]
+            used.update(pool[at : at + n])
+        texts.append("\n".join(parts))
+    texts += [texts[0], None, ""]
+    long = say(9)
+    texts += ["\n".join([long, say()]), "\n".join([long, "short x", say()]), "\n".join([long, "short x", say()])]
+    rows = [(i, t, "s") for i, t in enumerate(texts)]
+    got = {r["doc_id"]: r for r in linededup.drop_blocks(docs_frame(spark, rows).repartition(5)).collect()}
+    code = lambda t: [zlib.crc32(x.encode()) for x in t.split("\n")]
+    for i, t in enumerate(texts):
         if t is None:
             assert got[i]["kept_text"] is None and got[i]["n_lines"] == 0
             continue
         mine, gone = t.split("\n"), set()
-        first = {}
-        for k, u, _ in rows:
-            for x in set((u or "").split("\n")):
-                if len(x.split()) >= 5:
-                    first.setdefault(x, k)
-        for k in {first[x] for x in mine if x in first and first[x] < i}:
-            a = dict((j, u) for j, u, _ in rows)[k].split("\n")
-            gone |= set(linededup.doomed([zlib.crc32(x.encode()) for x in a], [zlib.crc32(x.encode()) for x in mine], [len(x.split()) for x in mine], 5))
+        for u in texts[:i]:
+            if u is not None:
+                gone |= set(linededup.doomed(code(u), code(t), [len(x.split()) for x in mine], 5))
+        assert got[i]["kept_text"] == "\n".join(x for k, x in enumerate(mine) if k not in gone), i
         assert got[i]["n_removed"] == len(gone)
-        assert got[i]["kept_text"] == "\n".join(x for k, x in enumerate(mine) if k not in gone)
-    assert got[60]["kept_text"] == ""
+    assert got[70]["kept_text"] == "" and "short x" not in got[75]["kept_text"]
+
+
+def test_copies_are_spared_with_the_blocks_they_share_with_others(spark):
+    rng = random.Random(8)
+    say = words(rng, 9, 3000, "abcdefghijkl")
+    notice, body = [say() for _ in range(3)], [say() for _ in range(12)]
+    near = [x.replace(x.split(" ")[2], "changed", 1) if k % 3 == 0 else x for k, x in enumerate(body)]
+    far = body[:6] + [say() for _ in range(9)]
+    texts = [notice + [say() for _ in range(9)], notice + body, notice + near, far]
+    df = docs_frame(spark, [(i, "\n".join(t), "s") for i, t in enumerate(texts)])
+    got = {r["doc_id"]: r["n_removed"] for r in linededup.drop_blocks(df, spare=0.8).collect()}
+    assert got == {0: 0, 1: 3, 2: 3, 3: 6}
+    assert linededup.drop_blocks(df).filter("doc_id = 2").first()["n_removed"] == 11
 
 
 def test_line_edges(spark):
@@ -252,7 +272,7 @@ def test_decontamination_against_brute_force(spark):
         want = []
         for k, b in bench:
             b = decontam.plain(b)
-            if len(b) >= 40:
+            if b:
                 d = best(b, decontam.plain(t)) if t else 99
                 if d <= int(decontam.RATE * len(b)):
                     want.append((k, d))
@@ -263,6 +283,20 @@ def test_decontamination_against_brute_force(spark):
     assert decontam.contract(docs_frame(spark, rows), spark.createDataFrame([], "item_id long, text string")).filter("contaminated").count() == 0
 
 
+def test_decontamination_of_repeated_rows_and_short_items(spark):
+    rng = random.Random(61)
+    say = words(rng, 14, letters="abcdefghij")
+    bench = [(i, say()) for i in range(6)] + [(7, "a verbatim item of 30 signs ab"), (8, "yes"), (8, "no!"), (9, ""), (10, None)]
+    text = say(9) + " " + bench[2][1] + " " + say(3) + " A verbatim\titem of 30 signs ab. " + say(4)
+    rows = [(5, text, "s")] * 100 + [(None, text, "s")] * 3 + [(None, None, "t")] * 2 + [(1, "yes, it is", "s"), (2, "yesterday", "s"), (3, "say no! now", "s")]
+    df, items = docs_frame(spark, rows).repartition(3), spark.createDataFrame(bench, "item_id long, text string")
+    whole = collections.Counter((r["doc_id"], tuple(r["item_ids"]), tuple(r["distances"]), r["contaminated"]) for r in decontam.contaminated(df, items).collect())
+    assert whole[5, (2, 7), (0, 0), True] == 100 and whole[None, (2, 7), (0, 0), True] == 3 and whole[None, (), (), False] == 2
+    assert whole[1, (8,), (0,), True] == whole[3, (8,), (0,), True] == whole[2, (), (), False] == 1
+    parts = collections.Counter((r["doc_id"], tuple(r["item_ids"]), tuple(r["distances"]), r["contaminated"]) for r in decontam.contaminated(df, items, block_bytes=100).collect())
+    assert parts == whole
+
+
 # 5 mixing
 
 
@@ -297,6 +331,19 @@ def test_mixing_against_a_loop(spark):
     assert (again["taken"].sort_index() == got["taken"].sort_index()).all()
 
 
+def test_mixing_counts_equal_rows(spark):
+    rows = [(7, "one two three four five six seven eight nine ten " * 2, "a")] * 160 + [(None, f"w{i} x", "b") for i in range(300)] + [(9, "y z", "c")] * 5
+    df = docs_frame(spark, rows).repartition(4)
+    for got in (mixing.contract(df).toPandas(), mixing.mix(df).toPandas()):
+        assert len(got) == len(rows)
+        for target, part in got.groupby("target"):
+            assert abs(part["taken"].sum() - target) <= part["size"].max()
+            assert (part["taken"] <= 2 * part["size"]).all()
+    again = mixing.contract(df).toPandas()
+    key = ["doc_id", "size", "source_size", "target", "taken"]
+    assert sorted(map(tuple, again[key].fillna(-1).to_numpy().tolist())) == sorted(map(tuple, got[key].fillna(-1).to_numpy().tolist()))
+
+
 def test_mixing_joins_when_sources_are_many(spark, monkeypatch):
     rows = [(i, "w " * (i % 7), f"s{i % 5}" if i % 11 else None) for i in range(120)]
     broadcast = mixing.contract(docs_frame(spark, rows)).toPandas().sort_values("doc_id").reset_index(drop=True)
@@ -452,6 +499,13 @@ def test_vectors_against_all_pairs(spark):
     assert embeddup.contract(spark.createDataFrame([], df.schema)).count() == 0
 
 
+def test_repeated_vectors_keep_their_rows(spark):
+    v, w = [1.0, 0.0, 0.0], [0.99, 0.05, 0.0]
+    df = spark.createDataFrame([(1, v, 0)] * 100 + [(2, w, 0), (3, v, 1), (None, v, 0), (None, v, 0)], "vec_id long, embedding array<float>, label int")
+    got = collections.Counter(tuple(r) for r in embeddup.contract(df.repartition(3)).collect())
+    assert got == {(1, 1, 1, True): 100, (2, 1, 1, False): 1, (3, 0, 3, True): 1, (None, 0, None, None): 2}
+
+
 def test_vector_tables_keep_recall(spark, monkeypatch):
     rng = np.random.default_rng(12)
     base = rng.standard_normal((300, 24))
@@ -462,10 +516,12 @@ def test_vector_tables_keep_recall(spark, monkeypatch):
     near = 0.935 * base + np.sqrt(1 - 0.935**2) * noise  # barely above the threshold
     rows = [(i, [float(x) for x in v], 0) for i, v in enumerate(np.vstack([base, near]))]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").withColumn("embedding", F.col("embedding").cast("array<float>"))
-    monkeypatch.setattr(embeddup, "plan_tables", lambda n, t, r: (5, 8))
-    got = {r["vec_id"]: r["n_links"] for r in embeddup.near_vectors(df).collect()}
+    asked = []
+    plan = embeddup.plan_tables
+    monkeypatch.setattr(embeddup, "plan_tables", lambda n, t, r: asked.append(plan(n, t, r, bucket=16)) or asked[-1])
+    got = {r["vec_id"]: r["n_links"] for r in embeddup.near_vectors(df, recall=0.95).collect()}
+    assert asked[0][0] >= 5 and asked[0][1] > 1
     assert sum(got[300 + i] > 0 for i in range(300)) / 300 > 0.9
-    assert embeddup.plan_tables.__name__ == "<lambda>"
 
 
 def test_large_labels_lose_no_pair_on_the_threshold(spark):
