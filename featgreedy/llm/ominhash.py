@@ -18,6 +18,7 @@ smallest id of the component.
 
 from __future__ import annotations
 
+import functools
 import zlib
 
 import numpy as np
@@ -60,6 +61,13 @@ def word_numbers(text: str | None) -> np.ndarray:
     return (Words()(text) >> np.uint64(32)).astype(np.uint32)
 
 
+@functools.cache
+def _orders(sketches: int) -> tuple[np.ndarray, np.ndarray]:
+    """Multipliers that order the k-mers, and first values of the keys."""
+    odd = (np.random.default_rng(17).integers(0, 2**63, sketches, np.uint64) << np.uint64(1)) | np.uint64(1)
+    return odd, _mix(np.arange(1, sketches + 1).astype(np.uint64))
+
+
 def sketch(words: np.ndarray, sketches: int, picks: int) -> np.ndarray:
     """Bucket keys of one text."""
     k = min(K, len(words))
@@ -75,8 +83,8 @@ def sketch(words: np.ndarray, sketches: int, picks: int) -> np.ndarray:
     occurrence = np.empty(len(g), np.uint64)
     occurrence[order] = (np.arange(len(g)) - start[np.cumsum(new) - 1]).astype(np.uint64)
     labelled = _mix(grams + occurrence * np.uint64(0xD6E8FEB86659FD93)) | np.uint64(1)
-    odd = (np.random.default_rng(17).integers(0, 2**63, sketches, np.uint64) << np.uint64(1)) | np.uint64(1)
-    key = _mix(np.arange(1, sketches + 1).astype(np.uint64))
+    odd, key = _orders(sketches)
+    key = key.copy()
     step = max(1, 4_000_000 // len(grams))
     for lo in range(0, sketches, step):
         x = labelled[None, :] * odd[lo : lo + step, None]
@@ -271,7 +279,7 @@ def _verify(similarity: float):
     return run
 
 
-def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 48, picks: int = 2, block: int = 2048) -> DataFrame:
+def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 96, picks: int = 2, block: int = 2048) -> DataFrame:
     """``id, class_id`` for every document that has words and an id."""
     slim = docs.filter("doc_id IS NOT NULL").select("doc_id", "text")
     keyed = stored(slim.mapInArrow(_sketches(sketches, picks), "id long, tag binary, keys array<long>"), "sketches")

@@ -582,6 +582,27 @@ def test_sketches_see_order_and_repeats():
     assert len(ominhash.sketch(w(""), 8, 2)) == 0 and len(ominhash.sketch(w("one"), 8, 2)) == 8
 
 
+@pytest.mark.parametrize("n", [60, 150, 400])
+@pytest.mark.parametrize("share", [0.15, 0.17, 0.19])
+def test_pairs_near_the_threshold_meet_in_a_bucket(n, share):
+    import inspect
+
+    m = inspect.signature(ominhash.classes).parameters["sketches"].default
+    rng = np.random.default_rng([n, int(100 * share)])
+    met = pairs = 0
+    while pairs < 200:
+        a = rng.integers(0, 2**63, n, np.uint64)
+        new, at = rng.integers(0, 2**63, n, np.uint64), rng.choice(n, int(share * n), replace=False)
+        words = [[x] for x in a]
+        for i in at:  # deleted, replaced, followed by another
+            words[i] = [[], [new[i]], [a[i], new[i]]][rng.integers(3)]
+        b = np.array([x for w in words for x in w], np.uint64)
+        if ominhash.alike(a, b, 0.8):
+            pairs += 1
+            met += bool((ominhash.sketch(a, m, 2) == ominhash.sketch(b, m, 2)).any())
+    assert met / pairs >= 0.9
+
+
 def test_shapes_read_whole_words():
     assert quality.shape("a" * 60 + "!9") == "a!0" and quality.shape("Word!!") == "Aa!"
 
