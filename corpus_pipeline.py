@@ -21,8 +21,8 @@ def reject_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def remove_common_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Aligned common blocks go from the later document; a document that loses all its lines goes too."""
-    out = linededup.drop_blocks(docs).filter("n_removed = 0 OR n_removed < n_lines")
+    """Aligned common blocks go from the later document, near copies of a whole are left to the next stage; a document that loses all its lines goes too."""
+    out = linededup.drop_blocks(docs, spare=0.8).filter("n_removed = 0 OR n_removed < n_lines")
     held = {c: F.col(f"_{c}") if c in linededup.ADDED else F.col(c) for c in docs.columns}
     held["text"] = F.col("kept_text")
     if "n_chars" in held:
