@@ -10,13 +10,12 @@ from featgreedy.baselines import lowrank, sparse
 from featgreedy.functions import draws
 from featgreedy.functions.arrays import doubles
 from featgreedy.functions.families import LOGIT, POISSON
-from featgreedy.operators import glm, grid, layout, measures
-from featgreedy.operators.greedy import default_threshold, rga
+from featgreedy.operators import grid, layout, measures
+from featgreedy.operators.greedy import rga
 from featgreedy.operators.ledger import Ledger, summary
-from featgreedy.operators.model import SRGConfig, fit, from_moments, predict, tune, wired
+from featgreedy.operators.model import SRGConfig, from_moments, tune
 from featgreedy.operators.moments import GramMoments, StateMoments, gram_moments
 from featgreedy.operators.refit import refit
-from featgreedy.plans.cost import Shape, choose, estimates
 from featgreedy.queries.registry import query, t
 from featgreedy.sources import planted
 
@@ -208,10 +207,17 @@ def draws_uniform_normal(spark, d):
     return spark.range(500).select("id", F.conv(F.substring(F.md5(k), 1, 8), 16, 10).cast("long").alias("raw"), F.round(draws.unif(k), 9).alias("u"), (F.round(draws.norm(k), 9) + 0.0).alias("z"))
 
 
-@query()
+_U = "(('0x' || substr(md5({k}), 1, 8))::BIGINT + 0.5) / 4294967296.0"
+_N = "sqrt(-2 * ln(" + _U.replace("{k}", "{k} || 'a'") + ")) * cos(2 * pi() * " + _U.replace("{k}", "{k} || 'b'") + ")"
+
+
+@query(f"""WITH k AS (SELECT i, '7|p|' || i AS k FROM range(2000) r(i)),
+c AS (SELECT i, k, {_U.format(k="k")} AS u, {_N.format(k="k")} AS z, -2 * ln({_U.format(k="k || 'c0'")}) - 2 * ln({_U.format(k="k || 'c1'")}) + pow({_N.format(k="k || 'o'")}, 2) AS chi FROM k),
+f AS (SELECT q, sum(exp(-2.5 + q * ln(2.5) - lgamma(q + 1))) OVER (ORDER BY q) AS upto FROM range(100) p(q))
+SELECT i AS id, round(z / sqrt(chi / 5), 8) + 0.0 AS t5, (SELECT count(*) FROM f WHERE upto < u)::INT AS poisson FROM c""")
 def draws_heavy_poisson(spark, d):
     k = draws.key("7", "p", F.col("id"))
-    return spark.range(2000).select("id", draws.t_draw(k).alias("t5"), draws.poisson(k, F.lit(2.5)).alias("poisson"))
+    return spark.range(2000).select("id", (F.round(draws.t_draw(k), 8) + 0.0).alias("t5"), draws.poisson(k, F.lit(2.5)).alias("poisson"))
 
 
 # multivariate, without SQL
@@ -221,81 +227,6 @@ def _coef(spark, coef):
     return spark.createDataFrame([(int(j), r, c, round(float(v), 6)) for j, b in coef.items() for (r, c), v in np.ndenumerate(b)], "j int, row int, col int, b double")
 
 
-@query()
-def srg_multiview_coef(spark, d):
-    """The two-phase fit of label indicators on eight blocks of the embedding."""
-    b, s = label_blocks(spark, d)
-    return _coef(spark, fit(b, s, SRGConfig(radius=50.0, cap=40)).coef)
-
-
-@query()
-def srg_multiview_ranks(spark, d):
-    b, s = label_blocks(spark, d)
-    m = fit(b, s, SRGConfig(radius=50.0, cap=40))
-    return m.coef_frame(spark).select("j", "q", "d", "rank", "rank_bound", F.round("norm_f", 6).alias("norm_f"))
-
-
-@query()
-def srg_trace(spark, d):
-    b, s = label_blocks(spark, d)
-    return fit(b, s, SRGConfig(radius=50.0, cap=40)).trace_frame(spark).drop("secs")
-
-
-@query()
-def srg_predictions(spark, d):
-    """In-sample label predictions: the largest fitted indicator."""
-    w = label_wide(spark, d)
-    b = layout.to_blocks(w, [8] * 8, 128)
-    m = fit(b, layout.to_segments(w, 128), SRGConfig(radius=50.0, cap=60))
-    p = predict(b, m.coef, 10)
-    rows = p.select("t0", F.posexplode(F.transform(F.sequence(F.lit(0), F.col("n_h") - 1), lambda i: F.slice("yhat", i * 10 + 1, 10))).alias("i", "y"))
-    return rows.select((F.col("t0") + F.col("i")).alias("t"), (F.array_position("y", F.array_max("y")) - 1).cast("int").alias("label"))
-
-
-@query()
-def modes_agree(spark, d):
-    """Winners and losses of the message protocols, the per-block state and the driver's inner products."""
-    b, s = label_blocks(spark, d)
-    b.cache()
-    s.cache()
-    radius, steps = 3 * 10**0.5, 4
-    rows = [("gram", r["k"], int(r["j"]), round(r["loss"], 9)) for r in rga(gram_moments(b, s), radius, steps).trace]
-    rows += [("state", r["k"], int(r["j"]), round(r["loss"], 9)) for r in rga(StateMoments(b, s), radius, steps).trace]
-    for lazy in (False, True):
-        rows += [("lazy" if lazy else "eager", k, int(j), round(loss, 9)) for k, (j, _, loss) in enumerate(wired(b, s, radius, steps, 4, lazy)[0], 1)]
-    return spark.createDataFrame(rows, "mode string, k int, j int, loss double")
-
-
-@query()
-def grid_equals_single(spark, d):
-    """Largest coefficient difference between the joint second phase over four segments and over one."""
-    b, s = label_blocks(spark, d, 125)
-    by = gram_moments(b, s, by_segment=True)
-    ranks = {0: 2, 2: 1, 5: 1}
-    one, four = refit(grid.pooled(by).only(ranks), ranks, 50.0, 40, 0.0), grid.grid_refit(by, ranks, 50.0, 40, 0.0)
-    diff = max(float(np.abs(one.coef()[j] - four.coef()[j]).max()) for j in ranks)
-    return spark.createDataFrame([(len(by), diff < 1e-10, [r["j"] for r in one.trace] == [r["j"] for r in four.trace])], "segments int, same_coefficients boolean, same_winners boolean")
-
-
-@query()
-def grid_screening_votes(spark, d):
-    b, s = label_blocks(spark, d, 125)
-    by = gram_moments(b, s, by_segment=True)
-    rows = [(v, int(j), int(r)) for v in ("intersect", "majority", "union") for j, r in grid.screen(by, 50.0, 20, vote=v).items()]
-    rows += [("segment0", int(j), int(r)) for j, r in grid.screen(by, 50.0, 20, segments=[0]).items()]
-    return spark.createDataFrame(rows, "vote string, j int, rank int")
-
-
-@query()
-def grid_communication(spark, d):
-    b, s = label_blocks(spark, d, 125)
-    by = gram_moments(b, s, by_segment=True)
-    led = Ledger("grid", 4)
-    ranks = grid.screen(by, 50.0, 20, segments=[0])
-    grid.grid_refit(by, ranks, 50.0, 30, 0.0, led)
-    return summary(led.frame(spark))
-
-
 @query()
 def threshold_tuning(spark, d):
     b, s = label_blocks(spark, d, 125)
@@ -305,28 +236,13 @@ def threshold_tuning(spark, d):
     return spark.createDataFrame([(r["grid"], r["threshold"], r["stop_index"], round(r["rmse"], 8)) for r in table], "grid double, threshold double, stop_index int, rmse double")
 
 
-@query()
-def prune_and_refit(spark, d):
-    b, s = label_blocks(spark, d)
-    m = gram_moments(b, s)
-    full = from_moments(m, SRGConfig(radius=50.0, cap=40))
-    cut = from_moments(m, SRGConfig(radius=50.0, cap=40, prune_tau=float(np.median([np.linalg.norm(x) for x in full.coef.values()]))))
-    return spark.createDataFrame([(len(full.coef), len(cut.coef), cut.phase2.trace[-1]["loss"] >= full.phase2.trace[-1]["loss"] - 1e-12)], "blocks int, after_pruning int, loss_not_lower boolean")
-
-
-@query("""WITH e AS (SELECT vec_id, label, list_transform(embedding[1:8], lambda x: x::DOUBLE) AS x FROM embeddings), c AS (SELECT vec_id, unnest(x) AS v, unnest(range(8)) AS i, (label = 3)::INT - (SELECT avg((label = 3)::INT) FROM e) AS y FROM e)
+@query("""WITH e AS (SELECT vec_id, label, list_transform(embedding, lambda x: x::DOUBLE) AS x FROM embeddings), c AS (SELECT vec_id, unnest(x) AS v, unnest(range(64)) AS i, (label = 3)::INT - (SELECT avg((label = 3)::INT) FROM e) AS y FROM e)
 SELECT i::INT AS i, round(sum(v * y), 6) + 0.0 AS xy FROM c GROUP BY 1""")
 def block_response_products(spark, d):
-    w = label_wide(spark, d).select(F.slice("f", 1, 8).alias("f"), F.col("y")[3].alias("y"))
+    w = label_wide(spark, d).select("f", F.col("y")[3].alias("y"))
     return w.select(F.posexplode("f").alias("i", "v"), "y").groupBy("i").agg((F.round(F.sum(F.col("v") * F.col("y")), 6) + 0.0).alias("xy"))
 
 
-@query()
-def oracle_ls_coef(spark, d):
-    b, s = label_blocks(spark, d)
-    return _coef(spark, lowrank.oracle_ls(gram_moments(b, s, [0, 3]), [0, 3]))
-
-
 @query()
 def oracle_by_phase_two(spark, d):
     """Unconstrained phase two on given blocks reaches their least squares."""
@@ -379,27 +295,6 @@ def family_losses(spark, d):
     return e.agg(*[F.round(F.avg(f.loss_column(F.col("y"), F.col("g"))), 6).alias(f"{f.name}_loss") for f in (LOGIT, POISSON, GAUSSIAN)])
 
 
-def _glm_frame(spark, d, family, p: int = 64):
-    x = planted.local(planted.base(spark, d))
-    f = planted.plant_glm(x[:, :p], f"{family.name}|0", family.name)
-    wide = spark.createDataFrame([(i, [float(v) for v in r], [float(y[0])]) for i, (r, y) in enumerate(zip(f.x, f.y, strict=True))], "t long, f array<double>, y array<double>")
-    return layout.to_blocks(wide, [8] * (p // 8), 128), layout.to_segments(wide, 128), f
-
-
-@query()
-def glm_logit_path_5(spark, d):
-    b, s, _ = _glm_frame(spark, d, LOGIT)
-    out = glm.glm_rga(b, s, LOGIT, 20.0, 5, 0.0)
-    return spark.createDataFrame([(r["k"], r["j"], r["l"], round(r["lam"], 5), round(r["loss"], 5)) for r in out["trace"]], "k int, j int, l int, lam double, loss double")
-
-
-@query()
-def glm_poisson_path_5(spark, d):
-    b, s, _ = _glm_frame(spark, d, POISSON)
-    out = glm.glm_rga(b, s, POISSON, 10.0, 5, 0.0)
-    return spark.createDataFrame([(r["k"], r["j"], r["l"], round(r["lam"], 5), round(r["loss"], 5)) for r in out["trace"]], "k int, j int, l int, lam double, loss double")
-
-
 @query()
 def assumption_diagnostics(spark, d):
     x = planted.local(planted.predictors(spark, d, 240))
@@ -423,27 +318,6 @@ def noiseless_companion(spark, d):
     return spark.createDataFrame([(r["k"], round(r["companion_loss"], 8), round(r["actual_loss"], 8)) for r in path], "k int, companion_loss double, actual_loss double")
 
 
-@query()
-def predicted_complexity(spark, d):
-    names = ("two_phase", "per_step", "coordinate", "coordinate_nodes", "sketch", "one_phase", "sparse", "multitask", "multiview")
-    rows = [(m, p, float(measures.predicted_bytes(m, 1000, 10, p, 5, 8, tasks=4, nodes=10, tau=0.25))) for m in names for p in (1000, 2000, 4000)]
-    rows += [(f"grid_{k}", p, float(grid.complexity(500, 5, 10, 0.25, 10.0, k == "printed"))) for k in ("printed", "derived") for p in (1000,)]
-    return spark.createDataFrame(rows, "method string, p int, doubles double")
-
-
-@query()
-def predicted_errors(spark, d):
-    rows = [(m, n, float(measures.predicted_error(m, n, 10, 1000, 3, 8, 4))) for m in ("general", "sparse", "multitask", "multiview") for n in (500, 1000, 2000)]
-    return spark.createDataFrame(rows, "method string, n int, error double")
-
-
-@query()
-def cost_choice(spark, d):
-    shapes = {"small": Shape(500, 10, 64, 8, 16, 20, 5), "wide": Shape(10_000, 10, 1_000_000, 10_000, 100, 50, 20), "huge": Shape(10_000_000, 100, 1_250_000, 12_500, 2000, 100, 25, 64, 1000, 100)}
-    rows = [(n, mode, float(v), choose(s) == mode) for n, s in shapes.items() for mode, v in estimates(s).items()]
-    return spark.createDataFrame(rows, "shape string, mode string, bytes double, chosen boolean")
-
-
 @query()
 def sparse_baselines(spark, d):
     """Test error of the sparse baselines on one planted scalar fixture."""
@@ -473,25 +347,6 @@ def sparse_baselines(spark, d):
     return spark.createDataFrame(rows, "method string, test_rmse double, err_sq double, false_positives int, false_negatives int")
 
 
-@query()
-def auto_threshold(spark, d):
-    return spark.createDataFrame([(n, default_threshold(n)) for n in (100, 1000, 10000)], "n int, threshold double")
-
-
-
-
-@query()
-def udf_leading_triple(spark, d):
-    """The scalar Arrow function on per-block products, through SQL."""
-    from featgreedy.functions import registered
-    from featgreedy.operators.moments import cross
-
-    registered.register(spark)
-    b, s = label_blocks(spark, d)
-    cross(b, s.select("h", F.col("d").alias("k"), F.col("y").alias("a"))).createOrReplaceTempView("fg_products")
-    return spark.sql("SELECT j, round(r.s, 6) AS s1, size(r.u) AS q, size(r.v) AS d FROM (SELECT j, leading_triple(c, q) AS r FROM fg_products)")
-
-
 @query("SELECT 8::BIGINT AS rows, 4::BIGINT AS columns, 28.0::DOUBLE AS total")
 def udtf_explode_block(spark, d):
     from featgreedy.functions import registered
@@ -544,39 +399,6 @@ def rank_k_atoms(spark, d):
     return spark.createDataFrame(rows, "atom_rank int, loss double, doubles_per_step int")
 
 
-@query()
-def leading_pair_against_full(spark, d):
-    """Whether the leading pair takes less time than a full soft-thresholding decomposition, on wide blocks."""
-    import time
-
-    from featgreedy.operators.kernel import soft_singular, top_triple
-
-    rng = np.random.default_rng(0)
-    mats = [rng.standard_normal((200, 150)) + 20 * np.outer(rng.standard_normal(200), rng.standard_normal(150)) / 12 for _ in range(8)]
-    t0 = time.perf_counter()
-    lead = [top_triple(m)[0] for m in mats]
-    t1 = time.perf_counter()
-    full = [np.linalg.norm(soft_singular(m, 1.0), 2) + 1.0 for m in mats]
-    t2 = time.perf_counter()
-    return spark.createDataFrame([(t1 - t0 < t2 - t1, bool(np.allclose(lead, full)))], "leading_is_faster boolean, same_value boolean")
-
-
-@query()
-def node_maps_agree(spark, d):
-    """Hashed, ranged and random assignments of blocks to nodes give one path; only who ships the atom differs."""
-    import zlib
-
-    b, s = label_blocks(spark, d)
-    m = gram_moments(b, s)
-    rows = []
-    for name, of in (("hash", lambda j: zlib.crc32(str(j).encode()) % 4), ("range", lambda j: j // 2), ("modulo", lambda j: j % 4)):
-        m.reset()
-        led = Ledger(name, 4)
-        f = rga(m, 3 * 10**0.5, 6, None, led, "lazy", of)
-        rows.append((name, ",".join(str(int(r["j"])) for r in f.trace), led.total()))
-    return spark.createDataFrame(rows, "node_map string, path string, bytes long")
-
-
 @query()
 def lasso_two_solvers(spark, d):
     """The library's L1 regression and covariance updates reach one solution (levels scaled alike)."""
