@@ -44,13 +44,11 @@ def rank_select(g: np.ndarray, c: np.ndarray, mu: float) -> int:
     return int((np.linalg.eigvalsh(c.T @ np.linalg.pinv(g, hermitian=True) @ c) > mu).sum())
 
 
-def multiview_admm(moments: GramMoments, levels, rho: float = 1.0, rounds: int = 400, tol: float = 1e-5, limit: int = 8000):
+def multiview_admm(moments: GramMoments, levels, rho: float = 1.0, rounds: int = 400, tol: float = 1e-5):
     """Nuclear norms of all views' coefficients by splitting; warm starts over ``levels``. Yields (level, coefficients).
 
-    Weights are ``s1(X_j) (sqrt(d) + sqrt(rank)) / n``. More than ``limit`` columns are not run.
+    Weights are ``s1(X_j) (sqrt(d) + sqrt(rank)) / n``. All inner products are decomposed once, as a matrix.
     """
-    if sum(moments.widths) > limit:
-        return
     n, d = moments.n, moments.d
     s, c = moments.g / n, moments.c0 / n
     vals, vecs = np.linalg.eigh(s)
@@ -123,7 +121,7 @@ def hessian_sketch(x: np.ndarray, y: np.ndarray, m: int, iters: int = 12, seed:
 
 
 def feature_sgd(x: np.ndarray, y: np.ndarray, lam: float = 0.0, batch: int = 64, epochs: int = 30, rate: float = 0.5, seed: int = 4) -> np.ndarray:
-    """Synchronous mini-batches over rows; nodes add up partial predictions (the asynchronous form has no place here)."""
+    """Synchronous mini-batches over rows on one array; :func:`featgreedy.baselines.spread.row_sgd` is the distributed form."""
     n, p = x.shape
     b, rng = np.zeros(p), np.random.default_rng(seed)
     top = float((x * x).sum(1).max())

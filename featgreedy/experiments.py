@@ -22,28 +22,58 @@ from featgreedy.operators.refit import refit
 from featgreedy.session import BROADCAST_BYTES, ship
 from featgreedy.sources import planted as pl
 
-PATH = "seed int, method string, k int, value double, secs double"
+PATH = "seed int, shape string, method string, k int, value double, test double, secs double"
 SCORE = "seed int, shape string, method string, measure string, value double"
+#: The published shapes (rows, columns) and (rows, responses, width, blocks, true blocks, ranks).
+SCALAR_SHAPES = ((800, 1200), (1200, 2000), (1500, 3000))
+VIEW_SHAPES = ((200, 10, 12, 20, 1, 2), (400, 15, 18, 50, 2, 2), (600, 20, 25, 400, 3, 2), (1200, 40, 45, 800, 3, 3))
+GLM_SHAPES = ((800, 1200), (1200, 2000))
+#: Shapes on which the published study runs the splitting baseline.
+SPLIT_SHAPES = VIEW_SHAPES[:2]
 
 
-def replicate(spark: SparkSession, x: np.ndarray, fn, seeds, schema: str) -> DataFrame:
-    """``fn(x, seed)`` gives rows; one seed is one unit of work, spread over the executors."""
-    if x.nbytes > BROADCAST_BYTES:
-        raise MemoryError("predictors exceed the broadcast bound")
-    shared = spark.sparkContext.broadcast(x)
+def held(shapes, rows: int) -> list:
+    """The shapes whose training rows a table of ``rows`` holds beside its test quarter; if none, its own rows with twice the columns."""
+    train = rows - rows // 4
+    return [s for s in shapes if s[0] <= train] or [(train, 2 * train)]
+
+
+def replicate(spark: SparkSession, base: np.ndarray, fn, cases, schema: str) -> DataFrame:
+    """``fn(base, case, seed)`` gives rows; a case and seed are one unit of work, spread over the executors."""
+    if base.nbytes > BROADCAST_BYTES:
+        raise MemoryError("the base columns exceed the broadcast bound")
+    shared = spark.sparkContext.broadcast(base)
     names = [c.split()[0] for c in schema.split(", ")]
+    cases = list(cases)
 
     def run(batches):
         for pdf in batches:
-            for s in pdf["seed"]:
-                yield pd.DataFrame(fn(shared.value, int(s)), columns=names)
+            for i in pdf["i"]:
+                case, seed = cases[i]
+                yield pd.DataFrame(fn(shared.value, case, seed), columns=names)
 
-    seeds = list(seeds)
-    return spark.createDataFrame([(s,) for s in seeds], "seed int").repartition(len(seeds)).mapInPandas(run, schema)
+    units = spark.createDataFrame([(i,) for i in range(len(cases))], "i int")
+    return units.repartitionByRange(len(cases), "i").mapInPandas(run, schema)
 
 
-def _errors(fit, truth, every: int = 1):
-    """Squared coefficient error after every step, carried on term by term."""
+def _path(fit, f: pl.Planted, spent: float = 0.0):
+    """Squared coefficient error, test error and seconds after every step, carried on term by term."""
+    coef = {j: np.zeros_like(b) for j, b in f.truth.items()}
+    pred = np.zeros_like(f.y_test)
+    out = []
+    for (j, radius, u, v), row in zip(fit.terms, fit.trace, strict=True):
+        for i in coef:
+            coef[i] *= 1 - row["lam"]
+        coef[j] = coef.get(j, 0) + row["lam"] * radius * np.outer(u, v)
+        z = f.x_test[:, j * f.width : (j + 1) * f.width] @ u
+        pred = (1 - row["lam"]) * pred + row["lam"] * radius * np.outer(z, v)
+        spent += row["secs"]
+        out.append((measures.err_sq(coef, f.truth), measures.rmse(pred, f.y_test), spent))
+    return out
+
+
+def _errors(fit, truth):
+    """Squared coefficient error after every step."""
     coef = {j: np.zeros_like(b) for j, b in truth.items()}
     out = []
     for (j, radius, u, v), row in zip(fit.terms, fit.trace, strict=True):
@@ -54,77 +84,82 @@ def _errors(fit, truth, every: int = 1):
     return out
 
 
-def scalar_paths(correlated: bool, rounds: int = 120, train: int | None = None, with_lasso: bool = True):
-    """Error by iteration of the two-phase fit, phase one alone with two radii, and coordinate descent."""
+def scalar_paths(correlated: bool, rounds: int = 120):
+    """Error, test error and seconds by step of the two-phase fit, phase one alone with two radii, the lasso and coordinate descent."""
 
-    def fn(x, seed):
-        f = pl.plant_scalar(x, f"scalar{int(correlated)}|{seed}", correlated, train)
-        m, n = f.moments(), len(f.y)
+    def fn(base, shape, seed):
+        n, p = shape
+        x = pl.replicas(base, p)
+        f = pl.plant_scalar(x, f"scalar{int(correlated)}|{seed}", correlated, n)
+        m, n, name = f.moments(), len(f.y), f"{n}x{p}"
         rows, truth = [], f.truth
 
-        def add(method, errs, secs):
-            rows.extend((seed, method, k, float(e), secs * k / max(len(errs), 1)) for k, e in enumerate(errs, 1))
+        def add(method, path):
+            rows.extend((seed, name, method, k, float(e), float(t), float(s)) for k, (e, t, s) in enumerate(path, 1))
 
-        t0 = time.perf_counter()
         one = rga(m, 500.0, rounds, PlateauStop(default_threshold(n)))
         ranks = one.screened()
         two = refit(m.only(ranks), ranks, 500.0, max(rounds - one.stop_index, 1), 0.0)
-        add("two_phase", _errors(one, truth) + _errors(two, truth), time.perf_counter() - t0)
-        for name, radius in (("one_phase_500", 500.0), ("one_phase_oracle", float(sum(np.abs(b).sum() for b in truth.values())))):
+        first = _path(one, f)
+        add("two_phase", first + _path(two, f, first[-1][2]))
+        for method, radius in (("one_phase_500", 500.0), ("one_phase_oracle", float(sum(np.abs(b).sum() for b in truth.values())))):
             m.reset()
-            t0 = time.perf_counter()
-            add(name, _errors(rga(m, radius, rounds), truth), time.perf_counter() - t0)
+            add(method, _path(rga(m, radius, rounds), f))
         y, beta = f.y[:, 0], f.beta[:, 0]
-        level = 2.0 * math.sqrt(math.log(x.shape[1]) / n)
-        if with_lasso:
-            b, level = sparse.lasso_cv(f.x, y, count=25)
-            add("lasso_cv", [float(((b - beta) ** 2).sum())], 0.0)
-        for name, frac, accel in (("coordinate_25", 0.25, False), ("coordinate_50", 0.5, False), ("coordinate_50_fast", 0.5, True)):
-            t0 = time.perf_counter()
-            got = sparse.coord_descent(f.x, y, level, frac, rounds=rounds, accel=accel, truth=beta, damp=None if not accel else 16.0)
+        test = lambda b: measures.rmse(f.x_test @ b, f.y_test[:, 0])
+        t0 = time.perf_counter()
+        b, level = sparse.lasso_cv(f.x, y, count=25)
+        add("lasso_cv", [(((b - beta) ** 2).sum(), test(b), time.perf_counter() - t0)])
+        for method, frac, accel in (("coordinate_25", 0.25, False), ("coordinate_50", 0.5, False), ("coordinate_50_fast", 0.5, True)):
+            got = sparse.coord_descent(f.x, y, level, frac, rounds=rounds, accel=accel, truth=beta, damp=None if not accel else 16.0, watch=test)
             if got:
-                add(name, got[1], time.perf_counter() - t0)
+                add(method, zip(got[1], got[2].seen, got[2].secs, strict=True))
         return rows
 
     return fn
 
 
-def view_scores(shape, correlated: bool, radius: float = 1e5, with_admm: bool = True):
-    """Estimation and prediction errors of the tuned two-phase fit, the splitting baseline and oracle least squares."""
-    n, d, q, p, a, r = shape
-    name = "x".join(map(str, shape))
+def view_scores(correlated: bool, radius: float = 1e5):
+    """Estimation and prediction errors of the tuned two-phase fit, the splitting baseline and oracle least squares.
+
+    The splitting baseline's level is chosen on 500 validation rows of their own where the table has them beside the
+    training and test rows, else on the training rows' held third, as the threshold is.
+    """
 
-    def fn(x, seed):
-        f = pl.plant_views(x[:, : p * q], f"view{int(correlated)}|{name}|{seed}", d, q, a, r, correlated, train=n)
+    def fn(base, shape, seed):
+        n, d, q, p, a, r = shape
+        name = "x".join(map(str, shape))
+        f = pl.plant_views(pl.replicas(base, p * q), f"view{int(correlated)}|{name}|{seed}", d, q, a, r, correlated, train=n)
         m, test = f.moments(), f.test_moments()
         rows = []
         fit_rows, held_rows = pl.split_rows(len(f.y), len(f.y) // 3)
         t, _ = tune(f.moments(fit_rows), f.moments(held_rows), SRGConfig(radius=radius, cap=60, refit_iters=300), GRID_PRINTED)
         model = from_moments(m, SRGConfig(radius=radius, cap=60, refit_iters=500), t)
         found = [("two_phase", model.coef), ("oracle_ls", lowrank.oracle_ls(m, f.truth))]
-        if with_admm and p * q <= 1200:
+        if shape in SPLIT_SHAPES:
+            train, judge = (m, f.spare_moments()) if f.spare() >= 500 else (f.moments(fit_rows), f.moments(held_rows))
             top = max(np.linalg.norm(m.block(m.c0, j), 2) for j in m.ids) / m.n
-            best = None
-            for level, coef in lowrank.multiview_admm(f.moments(fit_rows), top * 0.6 ** np.arange(10), rounds=150, tol=1e-4):
-                e = rmse_moments(f.moments(held_rows), coef)
-                best = (e, level) if best is None or e < best[0] else best
-            *_, (_, coef) = lowrank.multiview_admm(m, [lv for lv in top * 0.6 ** np.arange(10) if lv >= best[1]], rounds=150, tol=1e-4)
+            levels = top * 0.6 ** np.arange(12)
+            scored = [(rmse_moments(judge, coef), level) for level, coef in lowrank.multiview_admm(train, levels, rounds=300, tol=1e-4)]
+            best = min(scored)[1]
+            *_, (_, coef) = lowrank.multiview_admm(m, [lv for lv in levels if lv >= best], rounds=300, tol=1e-4)
             found.append(("splitting", coef))
         for method, coef in found:
             rows += [(seed, name, method, "estimation", measures.err_root(coef, f.truth)), (seed, name, method, "prediction", rmse_moments(test, coef))]
         fp, fn_ = measures.fp_fn(model.coef, f.truth)
-        rows += [(seed, name, "two_phase", k, float(v)) for k, v in (("false_positives", fp), ("false_negatives", fn_), ("stop_index", model.stop_index), ("screening_ok", measures.screening_ok(model.ranks, f.truth)))]
+        rows += [(seed, name, "two_phase", k, float(v)) for k, v in (("false_positives", fp), ("false_negatives", fn_), ("stop_index", model.stop_index), ("screening_ok", measures.screening_ok(model.ranks, f.truth)), ("estimation_per_response", measures.err_norm(model.coef, f.truth, d)))]
         return rows
 
     return fn
 
 
-def glm_scores(family_name: str, radius: float, grid, train: int | None = None, with_l1: bool = True):
+def glm_scores(family_name: str, radius: float, grid):
     """Coefficient error, false selections and test error of the greedy and the penalised generalized linear fits."""
     family = LOGIT if family_name == "logit" else POISSON
 
-    def fn(x, seed):
-        f = pl.plant_glm(x, f"{family_name}|{seed}", family_name, train)
+    def fn(base, shape, seed):
+        x = pl.replicas(base, shape[1])
+        f = pl.plant_glm(x, f"{family_name}|{seed}", family_name, shape[0])
         y, beta, n = f.y[:, 0], f.beta[:, 0], len(f.y)
         keep, held = pl.split_rows(n, n // 3)
         best = None
@@ -133,9 +168,7 @@ def glm_scores(family_name: str, radius: float, grid, train: int | None = None,
             loss = float(family.loss(y[held], f.x[held] @ fit["coef"]).mean())
             best = (loss, g) if best is None or loss < best[0] else best
         fit = glm.glm_srg_local(f.x, y, family, radius, best[1] / math.log(n), cap=60)
-        found = [("two_phase", fit["coef"])]
-        if with_l1:
-            found.append(("l1", sparse.l1_glm_cv(f.x, y, family, count=12)[0]))
+        found = [("two_phase", fit["coef"]), ("l1", sparse.l1_glm_cv(f.x, y, family, count=12)[0])]
         rows = []
         for method, b in found:
             fp, fn_ = measures.fp_fn(np.flatnonzero(np.abs(b) > 1e-8), np.flatnonzero(beta))

@@ -10,9 +10,8 @@ import numpy as np
 
 from featgreedy.operators.kernel import line_search, numeric_rank
 
-#: The threshold grid as printed (second entry 0.07), and the one with logarithms throughout.
+#: The threshold grid as printed (its second entry, 0.07, stands where 0.69 continues the logarithms).
 GRID_PRINTED = (0.01, 0.07, 1.10, 1.39, 1.61, 1.79, 1.95, 2.08, 2.20, 2.30)
-GRID_LOG = (0.01, 0.69, 1.10, 1.39, 1.61, 1.79, 1.95, 2.08, 2.20, 2.30)
 #: The tenths over log n of the panel study.
 GRID_PANEL = tuple(k / 10 for k in range(1, 11))
 

@@ -12,11 +12,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from featgreedy.operators import moments
 from featgreedy.operators.greedy import GRID_PRINTED, Fit, PlateauStop, default_threshold, rga
 from featgreedy.operators.kernel import numeric_rank
 from featgreedy.operators.ledger import Ledger
-from featgreedy.operators.moments import GramMoments, StateMoments, arrays, gram_moments, matrix
-from featgreedy.operators.refit import refit
+from featgreedy.operators.moments import ArrayMoments, GramMoments, StateMoments, arrays, gram_moments, matrix
+from featgreedy.operators.refit import refit, refit_state
 from featgreedy.session import ship
 
 
@@ -83,20 +84,20 @@ def load_coef(spark: SparkSession, path: str) -> tuple[dict[int, np.ndarray], np
     return coef, np.array(json.loads(spark.read.parquet(f"{path}/meta").first()["meta"])["intercept"])
 
 
-def auto_radius(moments: GramMoments) -> float:
+def auto_radius(held: GramMoments) -> float:
     """Ten times the nuclear norms of blockwise ridge fits: wide enough not to bind."""
     total = 0.0
-    for j in moments.ids:
-        g = moments.gram(j)
-        b = np.linalg.solve(g + 1e-3 * np.trace(g) / max(len(g), 1) * np.eye(len(g)) + 1e-12 * np.eye(len(g)), moments.block(moments.c0, j))
+    for j in held.ids:
+        g = held.gram(j)
+        b = np.linalg.solve(g + 1e-3 * np.trace(g) / max(len(g), 1) * np.eye(len(g)) + 1e-12 * np.eye(len(g)), held.block(held.c0, j))
         total += np.linalg.svd(b, compute_uv=False).sum()
     return 10 * total
 
 
-def from_moments(moments: GramMoments, config: SRGConfig, threshold: float | None = None, run: str = "srg") -> SRGModel:
+def from_moments(held: GramMoments, config: SRGConfig, threshold: float | None = None, run: str = "srg") -> SRGModel:
     """Both phases on moments that the driver holds."""
     began = time.perf_counter()
-    source = moments.centred() if config.center else moments
+    source = held.centred() if config.center else held
     source.reset()
     radius = auto_radius(source) if config.radius == "auto" else float(config.radius)
     t = threshold if threshold is not None else default_threshold(source.n) if config.threshold == "default" else float(config.threshold)
@@ -124,18 +125,29 @@ def second_phase(one: Fit, source: GramMoments, config: SRGConfig, radius: float
 
 
 def fit(blocks: DataFrame, segments: DataFrame, config: SRGConfig) -> SRGModel:
-    """Fit from Spark: inner products on the driver within the bound, else phase one by per-block state and phase
-    two on the moments of the screened blocks, read with a pruned scan."""
+    """Fit from Spark: inner products on the driver while they are within ``GRAM_BYTES``, else phase one by per-block
+    rows in Spark, and phase two on the moments of the screened blocks, read with a pruned scan, or again by rows."""
     size = blocks.select("j", "q").distinct().agg(F.sum("q").alias("q")).first()["q"] or 0
-    if config.mode == "gram" or config.mode == "auto" and size <= 4000:
+    within = lambda q: (q + 1) ** 2 * 8 <= moments.GRAM_BYTES
+    if config.mode == "gram" or config.mode == "auto" and within(size):
         return from_moments(gram_moments(blocks, segments), config)
     began = time.perf_counter()
     state = StateMoments(blocks, segments)
+    radius = float(config.radius)
     t = default_threshold(state.n) if config.threshold == "default" else float(config.threshold)
     ledger = Ledger("srg", config.nodes)
-    one = rga(state, float(config.radius), config.cap, PlateauStop(t), ledger, config.wire)
-    source = gram_moments(blocks, segments, list(one.screened(tol=config.rank_tol)))
-    return second_phase(one, source, config, float(config.radius), t, ledger, began)
+    one = rga(state, radius, config.cap, PlateauStop(t), ledger, config.wire)
+    ranks = one.screened(tol=config.rank_tol)
+    if not ranks or within(sum(one.widths[j] for j in ranks) + state.d):
+        return second_phase(one, gram_moments(blocks, segments, list(ranks)) if ranks else state, config, radius, t, ledger, began)
+    two = refit_state(state, ranks, radius, config.refit_iters, config.refit_tol, ledger)
+    coef = two.coef()
+    if config.prune_tau:
+        keep = {j: ranks[j] for j, b in coef.items() if np.sqrt((b * b).sum()) >= config.prune_tau}
+        if keep and len(keep) < len(coef):
+            two, ranks = refit_state(state, keep, radius, config.refit_iters, config.refit_tol, ledger), keep
+            coef = two.coef()
+    return SRGModel(coef, one, two, ranks, ledger, np.zeros(state.d), t, time.perf_counter() - began)
 
 
 def wired(blocks: DataFrame, segments: DataFrame, radius: float, cap: int, nodes: int = 4, lazy: bool = False):
@@ -213,6 +225,8 @@ def tune(train: GramMoments, held: GramMoments, config: SRGConfig, grid=GRID_PRI
 
 def rmse_moments(m: GramMoments, coef: dict[int, np.ndarray], intercept: np.ndarray | None = None) -> float:
     """Root mean square error of a coefficient set, from moments of the rows it is measured on."""
+    if isinstance(m, ArrayMoments):
+        m = m.only(coef)
     b = np.zeros_like(m.c0)
     for j, x in coef.items():
         b[slice(*m.range[j])] = x

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from featgreedy.operators.kernel import top_scores, top_triple
-from featgreedy.session import BROADCAST_BYTES, ship, stored
+from featgreedy.session import BROADCAST_BYTES, forget, ship, stored
 
 #: Bytes of inner products that the driver may hold.
 GRAM_BYTES = 512_000_000
@@ -100,6 +100,44 @@ class GramMoments:
         self.c += lam * (self.c0 - radius * np.outer(self.g[:, i:k] @ u, v))
 
 
+class ArrayMoments:
+    """The same answers from arrays, one pass over the columns a step: for local fits whose inner products are too many."""
+
+    def __init__(self, x: np.ndarray, y: np.ndarray, width: int):
+        self.x, self.y, self.width = x, y, width
+        self.n, self.d = y.shape
+        p = x.shape[1] // width
+        self.ids, self.widths = list(range(p)), [width] * p
+        self.range = {j: (j * width, (j + 1) * width) for j in self.ids}
+        self.c0, self.yy = x.T @ y, float((y * y).sum())
+        self.reset()
+
+    def reset(self) -> None:
+        self.c, self.passes = self.c0.copy(), 1
+
+    def block(self, a: np.ndarray, j: int) -> np.ndarray:
+        return a[slice(*self.range[j])]
+
+    best = GramMoments.best
+
+    def only(self, ids) -> GramMoments:
+        ids = sorted(ids)
+        x = np.hstack([self.x[:, slice(*self.range[j])] for j in ids]) if ids else np.zeros((self.n, 0))
+        return GramMoments(ids, [self.width] * len(ids), x.T @ x, x.T @ self.y, self.yy, self.n)
+
+    def fit_norm(self, j: int, u: np.ndarray) -> float:
+        z = self.x[:, slice(*self.range[j])] @ u
+        return float(z @ z)
+
+    def with_response(self, j: int, u: np.ndarray, v: np.ndarray) -> float:
+        return float(u @ self.block(self.c0, j) @ v)
+
+    def advance(self, j: int, u: np.ndarray, v: np.ndarray, lam: float, radius: float) -> None:
+        w = self.x.T @ (self.x[:, slice(*self.range[j])] @ u)
+        self.c *= 1 - lam
+        self.c += lam * (self.c0 - radius * np.outer(w, v))
+
+
 def _segment_moments(ids):
     def run(key, left, right):
         h = key[0].as_py()
@@ -151,16 +189,32 @@ def gram_moments(blocks: DataFrame, segments: DataFrame, ids=None, by_segment: b
     return read(total)
 
 
-def _cross(batches_of):
-    def run(batches):
-        for batch in batches:
-            pay = arrays(batch.column("x"))
-            other = arrays(batch.column("a"))
-            n, q, k = (batch.column(c).to_pylist() for c in ("n_h", "q", "k"))
-            out = [(matrix(x, m, w).T @ o.reshape(m, c)).ravel() for x, o, m, w, c in zip(pay, other, n, q, k, strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("j"), batch.column("q"), batch.column("k"), pa.array(out, pa.list_(pa.float64()))], ["j", "q", "k", "c"])
+#: Bytes of products that a task sums up before it hands them on.
+PARTIAL_BYTES = 64_000_000
 
-    return run
+
+def _cross(batches):
+    """Products of blocks with their segments' matrices, summed over the task's segments of each block."""
+    held: dict[int, list] = {}
+    size = 0
+
+    def flush():
+        cols = [pa.array([f(j, h) for j, h in held.items()], kind) for f, kind in ((lambda j, h: j, pa.int32()), (lambda j, h: h[0], pa.int32()), (lambda j, h: h[1], pa.int32()), (lambda j, h: h[2].ravel(), pa.list_(pa.float64())))]
+        return pa.RecordBatch.from_arrays(cols, ["j", "q", "k", "c"])
+
+    for batch in batches:
+        names = ("j", "n_h", "q", "k")
+        for j, n, q, k, x, a in zip(*[batch.column(c).to_pylist() for c in names], arrays(batch.column("x")), arrays(batch.column("a")), strict=True):
+            got = matrix(x, n, q).T @ a.reshape(n, k)
+            if j in held:
+                held[j][2] += got
+            else:
+                held[j] = [q, k, got]
+                size += got.nbytes
+        if size > PARTIAL_BYTES:
+            yield flush()
+            held, size = {}, 0
+    yield flush()
 
 
 def _sum_by_block(key, table):
@@ -176,7 +230,7 @@ def cross(blocks: DataFrame, vectors: DataFrame) -> DataFrame:
     size = vectors.agg(F.sum(F.size("a")).alias("s")).first()["s"] or 0
     side = F.broadcast(vectors) if size * 8 <= BROADCAST_BYTES else vectors
     pairs = blocks.join(side, "h").select("j", "q", "n_h", "k", "x", "a")
-    parts = pairs.mapInArrow(_cross(None), "j int, q int, k int, c array<double>")
+    parts = pairs.mapInArrow(_cross, "j int, q int, k int, c array<double>")
     return parts.groupBy("j").applyInArrow(_sum_by_block, "j int, q int, k int, c array<double>")
 
 
@@ -210,10 +264,12 @@ def _columns(ids):
 
 
 class StateMoments:
-    """One matrix ``X_j' U`` per block, kept in Spark; a data pass only for winners met for the first time.
+    """Inner products kept in Spark, one row a block: ``X_j' Y`` and ``X_j' X_w`` for every winner ``w`` so far.
 
-    ``lookahead``: a pass for a new winner also fetches the products with the next best blocks not met yet, so fewer
-    passes serve the same path.
+    The residual's product is ``X_j' Y`` less the winners' products times their present coefficients, which are small
+    and travel with the task: a step is one pass over these rows and one row to the driver, and writes nothing. The
+    data are read once more, and the rows written again, only when a block wins for the first time. ``lookahead``: that
+    pass also fetches the products with the next best blocks not met yet, so fewer passes serve the same path.
     """
 
     def __init__(self, blocks: DataFrame, segments: DataFrame, lookahead: int = 1):
@@ -222,15 +278,40 @@ class StateMoments:
         first = segments.agg(F.sum("n_h").alias("n"), F.sum(F.aggregate("y", F.lit(0.0), lambda s, x: s + x * x)).alias("yy")).first()
         self.n, self.yy = int(first["n"]), float(first["yy"])
         start = cross(blocks, segments.select("h", F.col("d").alias("k"), F.col("y").alias("a")))
-        self.state = stored(start.withColumn("c0", F.col("c")), "state")
-        self.grams: dict[int, tuple[DataFrame, int, int, int]] = {}  # table of products, width, column range
+        self.table = stored(start.select("j", "q", "k", F.col("c").alias("c0"), F.array().cast("array<double>").alias("xx")), "state")
+        self.met: dict[int, tuple[int, int]] = {}  # columns of ``xx`` that belong to a winner
         self.own: dict[int, np.ndarray] = {}
         self.start: dict[int, np.ndarray] = {}
+        self.coef: dict[int, np.ndarray] = {}
         self.passes = 1
         self.next: list[int] = []
 
+    def reset(self) -> None:
+        self.coef = {}
+
+    def _held(self) -> np.ndarray:
+        """The winners' coefficients, one below the other in the order of ``xx``."""
+        out = np.zeros((sum(b - a for a, b in self.met.values()), self.d))
+        for j, b in self.coef.items():
+            out[slice(*self.met[j])] = b
+        return out
+
+    def residual_rows(self, only=None) -> DataFrame:
+        """``j, q, k, c``: every block's product with the present residual."""
+        held = self._held()
+
+        def run(batches):
+            for batch in batches:
+                out = []
+                for q, c0, xx in zip(batch.column("q").to_pylist(), arrays(batch.column("c0")), arrays(batch.column("xx")), strict=True):
+                    out.append(c0 - (xx.reshape(q, -1) @ held).ravel() if len(held) else c0)
+                yield pa.RecordBatch.from_arrays([batch.column("j"), batch.column("q"), batch.column("k"), pa.array(out, pa.list_(pa.float64()))], ["j", "q", "k", "c"])
+
+        rows = self.table if only is None else self.table.filter(F.col("j").isin([int(j) for j in only]))
+        return rows.mapInArrow(run, "j int, q int, k int, c array<double>")
+
     def best(self):
-        scores = score_blocks(self.state)
+        scores = score_blocks(self.residual_rows())
         if self.lookahead > 1:
             top = scores.orderBy(F.desc("s1"), "j").limit(self.lookahead).collect()  # a bounded few
             self.next = [r["j"] for r in top]
@@ -239,24 +320,40 @@ class StateMoments:
             w = pick_winner(scores)
         return w["j"], w["s1"], np.array(w["u"]), np.array(w["v"])
 
-    def _meet(self, j: int) -> None:
-        if j in self.grams:
+    def meet(self, *ids: int) -> None:
+        """Fetch the products of all blocks with some blocks not met yet, in one pass."""
+        ids = [i for i in dict.fromkeys(int(i) for i in ids) if i not in self.met]
+        if not ids:
             return
-        ids = [j] + [i for i in self.next if i != j and i not in self.grams]
-        some = self.blocks.filter(F.col("j").isin([int(i) for i in ids])).select("j", "h", "n_h", "q", "x")
+        some = self.blocks.filter(F.col("j").isin(ids)).select("j", "h", "n_h", "q", "x")
         rows = some.groupBy("h").applyInArrow(_columns(ids), "h int, k int, a array<double>")
-        table = stored(cross(self.blocks, rows).select("j", "q", F.col("k").alias("width"), F.col("c").alias("xx")), "gram")
-        mine = {r["j"]: r for r in table.filter(F.col("j").isin([int(i) for i in ids])).collect()}
-        starts = {r["j"]: r for r in self.state.filter(F.col("j").isin([int(i) for i in ids])).select("j", "q", "k", "c0").collect()}
-        at = 0
+        new = cross(self.blocks, rows).select("j", F.col("k").alias("width"), F.col("c").alias("new"))
+
+        def widen(batches):
+            for batch in batches:
+                out = []
+                for q, a, b in zip(batch.column("q").to_pylist(), arrays(batch.column("xx")), arrays(batch.column("new")), strict=True):
+                    out.append(np.hstack([a.reshape(q, -1), b.reshape(q, -1)]).ravel())
+                yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("j", "q", "k", "c0")] + [pa.array(out, pa.list_(pa.float64()))], ["j", "q", "k", "c0", "xx"])
+
+        old = self.table
+        both = old.join(new, "j").select("j", "q", "k", "c0", "xx", "new")
+        self.table = stored(both.mapInArrow(widen, "j int, q int, k int, c0 array<double>, xx array<double>"), "state")
+        forget(old)
+        at = sum(b - a for a, b in self.met.values())
+        mine = {r["j"]: r for r in self.table.filter(F.col("j").isin(ids)).collect()}  # the new winners' rows
         for i in ids:
-            q, width = mine[i]["q"], mine[i]["width"]
-            self.grams[i] = (table, width, at, at + q)
-            self.own[i] = np.array(mine[i]["xx"]).reshape(q, width)[:, at : at + q]
-            self.start[i] = np.array(starts[i]["c0"]).reshape(starts[i]["q"], starts[i]["k"])
+            q = mine[i]["q"]
+            self.met[i] = (at, at + q)
+            self.own[i] = np.array(mine[i]["xx"]).reshape(q, -1)[:, at : at + q]
+            self.start[i] = np.array(mine[i]["c0"]).reshape(q, self.d)
             at += q
         self.passes += 1
 
+    def _meet(self, j: int) -> None:
+        if j not in self.met:
+            self.meet(j, *self.next)
+
     def fit_norm(self, j, u):
         self._meet(j)
         return float(u @ self.own[j] @ u)
@@ -267,20 +364,8 @@ class StateMoments:
 
     def advance(self, j, u, v, lam, radius):
         self._meet(j)
-        table, width, lo, hi = self.grams[j]
-        up, vp, lam, radius = list(map(float, u)), list(map(float, v)), float(lam), float(radius)
-
-        def run(batches):
-            uu, vv = np.array(up), np.array(vp)
-            for batch in batches:
-                new = []
-                for c, c0, xx in zip(arrays(batch.column("c")), arrays(batch.column("c0")), arrays(batch.column("xx")), strict=True):
-                    w = xx.reshape(-1, width)[:, lo:hi] @ uu
-                    new.append((1 - lam) * c + lam * (c0 - radius * np.outer(w, vv).ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column("j"), batch.column("q"), batch.column("k"), pa.array(new, pa.list_(pa.float64())), batch.column("c0")], ["j", "q", "k", "c", "c0"])
-
-        both = self.state.join(table.select("j", "xx"), "j").select("j", "q", "k", "c", "c0", "xx")
-        self.state = stored(both.mapInArrow(run, "j int, q int, k int, c array<double>, c0 array<double>"), "state")
+        self.coef = {i: (1 - lam) * b for i, b in self.coef.items()}
+        self.coef[j] = self.coef.get(j, 0) + lam * radius * np.outer(u, v)
 
 
 ship(__name__)

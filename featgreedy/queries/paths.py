@@ -238,6 +238,77 @@ def oracle_ls_coef(spark, d):
     return spark.createDataFrame([(3, r, k, round(float(c[r, k]), 6) + 0.0) for r in range(2) for k in range(10)], "j int, row long, col long, b double")
 
 
+@query(_ONE + ", " + _stop("1") + ", " + _loop("2", 6, blocks="SELECT blk FROM j1", inverse=True) + """ SELECT 1 AS phase, k, j::INT AS j, round(lam, 6) AS lam, round(loss, 6) AS loss FROM t1, s1 WHERE k BETWEEN 1 AND stop UNION ALL SELECT 2, k, j::INT, round(lam, 6), round(loss, 6) FROM t2 WHERE k > 0""")
+def two_phase_in_rows(spark, d):
+    """Both phases with all inner products left in Spark, one row a block: for blocks beyond what the driver may hold."""
+    from featgreedy.operators.greedy import PlateauStop
+    from featgreedy.operators.refit import refit_state
+
+    state = StateMoments(*pair_blocks(spark, d, 4), lookahead=4)
+    one = rga(state, RADIUS, CAP, PlateauStop(PLATEAU))
+    two = refit_state(state, one.screened(), RADIUS, 6, 0.0)
+    return spark.createDataFrame([(p, r["k"], int(r["j"]), round(float(r["lam"]), 6), round(float(r["loss"]), 6)) for p, f in ((1, one), (2, two)) for r in f.trace], "phase int, k int, j int, lam double, loss double")
+
+
+def _glm_cells(response: str) -> str:
+    return f"""WITH RECURSIVE b AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS t, {response}::DOUBLE AS y, embedding FROM embeddings),
+c AS (SELECT t, y, unnest(range(64)) AS i, unnest(embedding)::DOUBLE AS v FROM b), s AS (SELECT i, avg(v) AS m, stddev_pop(v) AS sd FROM c GROUP BY i), z AS MATERIALIZED (SELECT t, y, c.i, (v - m) / sd AS x FROM c JOIN s USING (i))"""
+
+
+def glm_frames(spark, d, response, width: int, seg: int = 128):
+    """Standardised embedding columns in blocks of ``width`` and a response made of the label."""
+    y = layout.numbered(t(spark, d, "embeddings").select("vec_id", "label"), "vec_id").select("t", F.array(response.cast("double")).alias("y"))
+    w = planted.base(spark, d).join(y, "t")
+    return layout.to_blocks(w, [width] * (64 // width), seg), layout.to_segments(w, seg)
+
+
+# baselines on blocks that stay in Spark
+
+
+def _descent_sql(steps: int, new: str, curve: str, zero: str = "") -> str:
+    return f"""r(k, i, b) AS (SELECT 0, i, 0.0::DOUBLE FROM range(64) s(i) UNION ALL SELECT * FROM (
+ WITH w AS (SELECT k, i, b FROM r WHERE k < {steps}), fit AS (SELECT t, sum(x * b) AS g FROM z JOIN w USING (i) GROUP BY t),
+ p AS (SELECT i, sum(x * (y - {new})) / count(*) AS s, {curve} AS curve FROM z JOIN fit USING (t) GROUP BY i)
+ SELECT k + 1, i, sign(b + s / curve) * greatest(abs(b + s / curve) - 0.02 / curve, 0) FROM w JOIN p USING (i)))
+SELECT i::INT AS column, round(b, 6) + 0.0 AS b FROM r WHERE k = {steps}"""
+
+
+@query(_glm_cells("label::DOUBLE - (SELECT avg(label) FROM embeddings)") + ", " + _descent_sql(4, "g", "16 * sum(x * x) / count(*)"))
+def spread_coordinate_descent(spark, d):
+    """Four damped rounds over all coordinates on blocks that stay in Spark."""
+    from featgreedy.baselines import spread
+
+    mean = t(spark, d, "embeddings").agg(F.avg("label")).first()[0]
+    b, s = glm_frames(spark, d, F.col("label") - F.lit(mean), 8)
+    got = spread.coord_descent(b, s, 0.02, 1.0, 16.0, 4, pick=lambda k: True)[0]
+    return spark.createDataFrame([(i, round(float(v), 6) + 0.0) for i, v in enumerate(got)], "column int, b double")
+
+
+@query(_glm_cells("(label < 5)::INT") + ", " + _descent_sql(4, "1 / (1 + exp(-g))", "4.0"))
+def spread_l1_logit(spark, d):
+    """Four proximal steps of the penalised logit on blocks that stay in Spark."""
+    from featgreedy.baselines import spread
+
+    b, s = glm_frames(spark, d, F.col("label") < 5, 8)
+    got = spread.l1_glm(b, s, LOGIT, 0.02, 4, 4.0)[0]
+    return spark.createDataFrame([(i, round(float(v), 6) + 0.0) for i, v in enumerate(got)], "column int, b double")
+
+
+@query()
+def spread_other_baselines(spark, d):
+    """Sharing-form splitting, row mini-batches and the sketched dual on blocks that stay in Spark: sizes and training errors."""
+    from featgreedy.baselines import spread
+    from featgreedy.operators.model import rmse_moments
+
+    mean = t(spark, d, "embeddings").agg(F.avg("label")).first()[0]
+    b, s = glm_frames(spark, d, F.col("label") - F.lit(mean), 8)
+    one, whole = glm_frames(spark, d, F.col("label") - F.lit(mean), 8, 1 << 15)
+    m = gram_moments(b, s)
+    found = {"sharing": spread.sharing_admm(b, s, 0.01, rounds=6), "row_sgd": spread.row_sgd(b, s, epochs=1), "sketch_ridge": spread.sketch_ridge(one, whole, 0.01, 4, 6)[0]}
+    rows = [(k, int((abs(v) > 1e-9).sum()), round(rmse_moments(m, {j: v[8 * j : 8 * j + 8, None] for j in range(8)}), 6)) for k, v in found.items()]
+    return spark.createDataFrame(rows, "method string, nonzero int, rmse double")
+
+
 # generalized linear forms on the standardised embedding
 
 
@@ -259,18 +330,6 @@ def _glm_sql(family: str, radius: float, steps: int, response: str, tag: str = "
 t{tag} AS MATERIALIZED (SELECT k, any_value(i) AS i, any_value(lam) AS lam, any_value(loss) AS loss FROM r{tag} WHERE k > 0 GROUP BY k)"""
 
 
-def _glm_cells(response: str) -> str:
-    return f"""WITH RECURSIVE b AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS t, {response}::DOUBLE AS y, embedding FROM embeddings),
-c AS (SELECT t, y, unnest(range(64)) AS i, unnest(embedding)::DOUBLE AS v FROM b), s AS (SELECT i, avg(v) AS m, stddev_pop(v) AS sd FROM c GROUP BY i), z AS MATERIALIZED (SELECT t, y, c.i, (v - m) / sd AS x FROM c JOIN s USING (i))"""
-
-
-def glm_frames(spark, d, response, width: int, seg: int = 128):
-    """Standardised embedding columns in blocks of ``width`` and a response made of the label."""
-    y = layout.numbered(t(spark, d, "embeddings").select("vec_id", "label"), "vec_id").select("t", F.array(response.cast("double")).alias("y"))
-    w = planted.base(spark, d).join(y, "t")
-    return layout.to_blocks(w, [width] * (64 // width), seg), layout.to_segments(w, seg)
-
-
 def _glm_rows(spark, trace, phase: int, width: int):
     return [(phase, r["k"], int(r["j"]) * width + int(r["l"]), round(r["lam"], 5), round(r["loss"], 5)) for r in trace]
 

@@ -221,37 +221,39 @@ def stream_refit(spark, d):
 # experiments
 
 
-def _size(spark, d):
-    return t(spark, d, "embeddings").count()
+SEEDS = range(5)
+
+
+def _base(spark, d):
+    return planted.local(planted.base(spark, d))
+
+
+def _cases(shapes, rows):
+    return [(s, seed) for s in ex.held(shapes, rows) for seed in SEEDS]
 
 
 def _scalar(spark, d, correlated):
-    p = 1200 if _size(spark, d) >= 2000 else 768
-    x = planted.local(planted.predictors(spark, d, p))
-    return ex.replicate(spark, x, ex.scalar_paths(correlated, 100, with_lasso=p <= 800), range(2), ex.PATH)
+    x = _base(spark, d)
+    out = ex.replicate(spark, x, ex.scalar_paths(correlated, 100), _cases(ex.SCALAR_SHAPES, len(x)), ex.PATH)
+    out = out.filter("k IN (1, 5, 10, 25, 50, 100)").groupBy("shape", "method", "k")
+    return out.agg(F.round(F.avg("value"), 5).alias("err_sq"), F.round(F.avg("test"), 5).alias("test_rmse"), F.round(F.avg("secs"), 4).alias("secs"), F.count("*").alias("runs"))
 
 
 @query()
 def workload_scalar_independent(spark, d):
-    """Error by iteration, independent heavy-tailed columns: mean over replications at chosen steps."""
-    out = _scalar(spark, d, False)
-    return out.groupBy("method", "k").agg(F.round(F.avg("value"), 5).alias("err_sq"), F.round(F.avg("secs"), 4).alias("secs")).filter("k IN (1, 5, 10, 25, 50, 100)")
+    """Error, test error and seconds by step, independent heavy-tailed columns: means over replications at chosen steps."""
+    return _scalar(spark, d, False)
 
 
 @query()
 def workload_scalar_correlated(spark, d):
-    out = _scalar(spark, d, True)
-    return out.groupBy("method", "k").agg(F.round(F.avg("value"), 5).alias("err_sq"), F.round(F.avg("secs"), 4).alias("secs")).filter("k IN (1, 5, 10, 25, 50, 100)")
+    return _scalar(spark, d, True)
 
 
 def _views(spark, d, correlated):
-    big = _size(spark, d) >= 2000
-    shapes = [(200, 10, 12, 20, 1, 2), (400, 15, 18, 50, 2, 2)] if big else [(200, 10, 12, 20, 1, 2)]
-    x = planted.local(planted.predictors(spark, d, max(s[2] * s[3] for s in shapes)))
-    out = None
-    for s in shapes:
-        one = ex.replicate(spark, x, ex.view_scores(s, correlated), range(3), ex.SCORE)
-        out = one if out is None else out.union(one)
+    x = _base(spark, d)
+    cases = [((len(x) - len(x) // 4, 10, 12, 20, 1, 2), s) for s in SEEDS] if len(x) < 267 else _cases(ex.VIEW_SHAPES, len(x))
+    out = ex.replicate(spark, x, ex.view_scores(correlated), cases, ex.SCORE)
     return out.groupBy("shape", "method", "measure").agg(F.round(F.avg("value"), 4).alias("mean"), F.count("*").alias("runs"))
 
 
@@ -266,18 +268,20 @@ def workload_views_correlated(spark, d):
     return _views(spark, d, True)
 
 
+def _glm(spark, d, family, radius, grid):
+    x = _base(spark, d)
+    out = ex.replicate(spark, x, ex.glm_scores(family, radius, grid), _cases(ex.GLM_SHAPES, len(x)), ex.SCORE)
+    return out.groupBy("shape", "method", "measure").agg(F.round(F.avg("value"), 4).alias("mean"), F.count("*").alias("runs"))
+
+
 @query()
 def workload_logit(spark, d):
-    x = planted.local(planted.predictors(spark, d, 1200 if _size(spark, d) >= 2000 else 320))
-    out = ex.replicate(spark, x, ex.glm_scores("logit", 30.0, (0.05, 0.1, 0.3)), range(2), ex.SCORE)
-    return out.groupBy("shape", "method", "measure").agg(F.round(F.avg("value"), 4).alias("mean"))
+    return _glm(spark, d, "logit", 30.0, (0.05, 0.1, 0.3))
 
 
 @query()
 def workload_poisson(spark, d):
-    x = planted.local(planted.predictors(spark, d, 1200 if _size(spark, d) >= 2000 else 320))
-    out = ex.replicate(spark, x, ex.glm_scores("poisson", 10.0, (0.1, 0.3, 1.0, 2.0)), range(2), ex.SCORE)
-    return out.groupBy("shape", "method", "measure").agg(F.round(F.avg("value"), 4).alias("mean"))
+    return _glm(spark, d, "poisson", 10.0, (0.1, 0.3, 1.0, 2.0))
 
 
 @query()
@@ -314,20 +318,21 @@ def large_frames(spark, d, n: int, q: int, p: int, dim: int):
     return b, s, truth
 
 
+def large_shape(spark, d) -> tuple[int, int, int, int]:
+    """Rows (one of 30 lines of ``lineitem``), width, blocks, responses."""
+    return t(spark, d, "lineitem").count() // 30, 20, 64, 20
+
+
 @query()
 def workload_large(spark, d):
-    """The large-scale shape, scaled down: seconds and error of both phases, and of given blocks without rank bound."""
-    b, s, truth = large_frames(spark, d, 600, 6, 12, 6)
-    import time
-
-    t0 = time.perf_counter()
-    m = fit(b, s, SRGConfig(radius=1e5, threshold=0.05, cap=60, refit_iters=300))
-    secs = time.perf_counter() - t0
-    g = gram_moments(b, s, list(truth))
+    """The large-scale shape on rows in proportion to ``lineitem``, in per-block rows: both phases, and given blocks without rank bound."""
+    b, s, truth = large_frames(spark, d, *large_shape(spark, d))
+    m = fit(b, s, SRGConfig(radius=1e5, threshold=0.05, cap=60, refit_iters=300, mode="state"))
     from featgreedy.baselines.lowrank import oracle_ls
 
-    rows = [("two_phase", round(measures.err_root(m.coef, truth), 5), len(m.coef), round(secs, 2)), ("oracle_ls", round(measures.err_root(oracle_ls(g, list(truth)), truth), 5), len(truth), 0.0)]
-    return spark.createDataFrame(rows, "method string, error double, blocks int, secs double").drop("secs")
+    g = gram_moments(b, s, list(truth))
+    rows = [("two_phase", round(measures.err_root(m.coef, truth), 5), len(m.coef), m.phase1.passes), ("oracle_ls", round(measures.err_root(oracle_ls(g, list(truth)), truth), 5), len(truth), 1)]
+    return spark.createDataFrame(rows, "method string, error double, blocks int, passes int")
 
 
 @query()
@@ -417,7 +422,7 @@ def workload_large_trajectory(spark, d):
     from featgreedy.operators.greedy import PlateauStop, rga
     from featgreedy.operators.refit import refit
 
-    b, s, truth = large_frames(spark, d, 600, 6, 12, 6)
+    b, s, truth = large_frames(spark, d, *large_shape(spark, d))
     m = gram_moments(b, s)
     one = rga(m, 1e5, 60, PlateauStop(0.05))
     two = refit(m.only(one.screened()), one.screened(), 1e5, 100, 0.0)

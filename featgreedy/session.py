@@ -19,9 +19,11 @@ def ship(name: str) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all machines share, from ``spark.checkpoint.dir``; a local one only where none is set."""
+    """The folder all machines share, from ``spark.checkpoint.dir``; in local mode one of its own where none is set."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="featgreedy")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -32,7 +34,18 @@ def stored(df: DataFrame, note: str, *partition_by: str) -> DataFrame:
     path = f"{shared_dir(df.sparkSession)}/featgreedy/{note}-{uuid.uuid4().hex}"
     writer = df.write.partitionBy(*partition_by) if partition_by else df.write
     writer.parquet(path)
-    return df.sparkSession.read.parquet(path)
+    out = df.sparkSession.read.parquet(path)
+    out.stored_path = path
+    return out
+
+
+def forget(df: DataFrame) -> None:
+    """Delete a table of :func:`stored` that nothing reads any more."""
+    path = getattr(df, "stored_path", None)
+    if path:
+        spark = df.sparkSession
+        p = spark._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
 ship(__name__)

@@ -3,6 +3,7 @@ replicas, coefficients and noise from seeded draws."""
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -11,11 +12,13 @@ from pyspark.sql import functions as F
 
 from featgreedy.functions.draws import orthonormal, py_norm, py_unif
 from featgreedy.operators.layout import numbered
-from featgreedy.operators.moments import GramMoments
+from featgreedy.operators.moments import ArrayMoments, GramMoments
 from featgreedy.session import ship
 from featgreedy.sources.tables import table
 
 WIDTH = 64
+#: Columns up to which a local fit holds all inner products; beyond, it reads the columns each step, with equal results.
+GRAM_COLUMNS = 4000
 
 
 def base(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -40,6 +43,15 @@ def predictors(spark: SparkSession, sf_dir: str, columns: int, seed: str = "perm
     return g.select(F.col("n").cast("long").alias("t"), F.slice(F.flatten("x.f"), 1, columns).alias("f"))
 
 
+def replicas(b: np.ndarray, columns: int, seed: str = "perm") -> np.ndarray:
+    """The matrix of :func:`predictors` from its base columns, where it is needed: only the base travels."""
+    n, out = len(b), [b]
+    for r in range(1, -(-columns // WIDTH)):
+        order = sorted(range(n), key=lambda t: (hashlib.md5(f"{seed}|{r}|{t}".encode()).hexdigest(), t))
+        out.append(b[order])
+    return np.hstack(out)[:, :columns]
+
+
 def local(wide: DataFrame) -> np.ndarray:
     """A bounded wide table as a matrix, rows by ``t``."""
     got = wide.select("t", "f").toArrow()
@@ -57,15 +69,25 @@ class Planted:
     y_test: np.ndarray
     truth: dict[int, np.ndarray]
     width: int
+    x_spare: np.ndarray | None = None  # rows of neither part
+    y_spare: np.ndarray | None = None
 
-    def moments(self, rows=None) -> GramMoments:
+    def moments(self, rows=None) -> GramMoments | ArrayMoments:
         x, y = (self.x, self.y) if rows is None else (self.x[rows], self.y[rows])
         p = x.shape[1] // self.width
+        if x.shape[1] > GRAM_COLUMNS:
+            return ArrayMoments(x, y, self.width)
         return GramMoments(range(p), [self.width] * p, x.T @ x, x.T @ y, (y * y).sum(), len(y), x.sum(0), y.sum(0))
 
     def test_moments(self) -> GramMoments:
         return Planted(self.x_test, self.y_test, self.x_test, self.y_test, self.truth, self.width).moments()
 
+    def spare(self) -> int:
+        return 0 if self.x_spare is None else len(self.x_spare)
+
+    def spare_moments(self, rows: int = 500) -> GramMoments:
+        return Planted(self.x_spare[:rows], self.y_spare[:rows], self.x_test, self.y_test, self.truth, self.width).moments()
+
     @property
     def beta(self) -> np.ndarray:
         out = np.zeros((self.x.shape[1], self.y.shape[1]))
@@ -146,9 +168,9 @@ def plant_glm(x: np.ndarray, seed: str, family: str, train: int | None = None) -
 
 def _split(x, y, truth, width, train) -> Planted:
     fit, test = split_rows(len(x))
-    if train is not None:
-        fit = fit[:train]
-    return Planted(x[fit], y[fit], x[test], y[test], truth, width)
+    spare = fit[:0] if train is None else fit[train:]
+    fit = fit if train is None else fit[:train]
+    return Planted(x[fit], y[fit], x[test], y[test], truth, width, x[spare], y[spare])
 
 
 def two_factor(fail: bool = False, n: int = 500, d: int = 6, q: int = 8) -> Planted:
