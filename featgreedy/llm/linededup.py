@@ -3,12 +3,14 @@ common blocks are deleted from the later document.
 
 Later means larger ``(doc_id, digest of the text)``. Keys are lines of at least ``min_line_words`` words and, from each
 shorter line on and up to it, the shortest windows of neighbouring lines that reach ``min_block_words``; characters of
-scripts without blanks count by twos. A key in more than one document nominates the pair (first document that has it, each
-later one), so a key of ``n`` documents gives ``n - 1`` pairs at first and no frequency cap is needed. Where the
-alignment leaves a key in place, its next holders are asked, 1, 2, 4, ... more, until it is aligned or none is left.
+scripts without blanks count by twos. A key in more than one document nominates the pair (first document that has it,
+each later one), so a key of ``n`` documents gives ``n - 1`` pairs, none of them more than a row, and no frequency cap is
+needed: the rare keys of a pair and the frequent ones are treated alike. Every line of a block that two documents share
+lies in a key inside that block, and the first holder of that key is asked; so a block goes whoever holds it first.
 Both documents of a pair are aligned whole, as sequences of hashes of trimmed lines: lines unique in both are matched,
 the longest increasing chain is kept, and gaps are aligned likewise, with equal ends joined on; a gap without such
-lines is split at its longest common run. An aligned run of neighbouring lines is a block; blocks of at least
+lines is split at its longest common run. Where a key of the pair stays unaligned, because blocks changed their order
+or repeat, all runs of neighbouring lines that both have are aligned. An aligned run is a block; blocks of at least
 ``min_block_words`` words go from the later document. All pairs are judged on the input texts.
 
 With ``spare``, a pair whose texts are near copies by that word similarity is no pair of a text and a shared block:
@@ -25,7 +27,7 @@ import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from featgreedy.llm.common import ship, slices, stored, utf8
@@ -158,6 +160,21 @@ def windows(lines: np.ndarray, words: np.ndarray, line_words: int, block_words:
     return key, first, last
 
 
+def moved(a: list[int], b: list[int], words: list[int], least: int) -> list[int]:
+    """Lines of ``b`` in runs of neighbouring lines, of at least ``least`` words, that ``a`` holds too, in any order."""
+    at: dict[int, list[int]] = {}
+    for x, c in enumerate(a):
+        at.setdefault(c, []).append(x)
+    upto, out, runs = np.concatenate([[0], np.cumsum(words)]), set(), {}
+    for y in range(len(b) + 1):
+        here = {x: runs.get(x - 1, 0) + 1 for x in at.get(b[y], ())} if y < len(b) else {}
+        for x, n in runs.items():  # runs that end before ``y``
+            if x + 1 not in here and upto[y] - upto[y - n] >= least:
+                out.update(range(y - n, y))
+        runs = here
+    return sorted(out)
+
+
 def _arrays(lines, words) -> tuple[np.ndarray, np.ndarray]:
     return np.asarray(lines, np.int64), np.asarray(words, np.int64)
 
@@ -217,34 +234,22 @@ def _align(line_words: int, block_words: int, similarity: float | None):
             out = []
             for i, t, f, a, v, b, w in zip(*(pdf[c] for c in ("doc_id", "_t", "first", "a_lines", "a_words", "lines", "words")), strict=True):
                 gone = doomed(list(a), list(b), list(w), block_words)
-                left = _open(b, w, gone, line_words, block_words)
-                left = left[np.isin(left, windows(*_arrays(a, v), line_words, block_words)[0])]
+                if np.isin(_open(b, w, gone, line_words, block_words), windows(*_arrays(a, v), line_words, block_words)[0]).any():
+                    gone = sorted({*gone, *moved(list(a), list(b), list(w), block_words)})  # blocks in another order, or repeated
                 copy = False
                 if similarity and gone:
                     mine, other, same = int(w.sum()), int(v.sum()), int(w[gone].sum())
                     most = (1 - similarity) * max(mine, other)
                     copy = True if mine + other - 2 * same <= most else None if abs(mine - other) <= most and same >= 0.05 * max(mine, other) else False
-                if copy is not True and (gone or len(left)):
-                    out.append((i, t, (f["doc_id"], f["_t"]), gone, left.tolist(), copy is None))
-            yield pd.DataFrame(out, columns=["doc_id", "_t", "first", "gone", "left", "doubt"])
-
-    return run
-
-
-def _still(line_words: int, block_words: int):
-    def run(batches):
-        for pdf in batches:
-            out = []
-            for i, t, x, w, g, asked in zip(pdf["doc_id"], pdf["_t"], pdf["lines"], pdf["words"], pdf["gone"], pdf["asked"], strict=True):
-                left = np.intersect1d(_open(x, w, [] if g is None else g, line_words, block_words), asked)
-                out += [(i, t, int(h)) for h in left]
-            yield pd.DataFrame(out, columns=["doc_id", "_t", "h"])
+                if copy is not True and gone:
+                    out.append((i, t, (f["doc_id"], f["_t"]), gone, copy is None))
+            yield pd.DataFrame(out, columns=["doc_id", "_t", "first", "gone", "doubt"])
 
     return run
 
 
 _ROWS = "doc_id long, _t long, lines array<long>, words array<int>, keys array<long>"
-_PAIRS = "doc_id long, _t long, first struct<doc_id:long,_t:long>, gone array<int>, left array<long>, doubt boolean"
+_PAIRS = "doc_id long, _t long, first struct<doc_id:long,_t:long>, gone array<int>, doubt boolean"
 
 
 def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int = 5, spare: float | None = None) -> DataFrame:
@@ -259,40 +264,15 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
     a = rows.select(F.struct("doc_id", "_t").alias("first"), F.col("lines").alias("a_lines"), F.col("words").alias("a_words"))
     b = rows.select(F.struct("doc_id", "_t").alias("me"), "lines", "words")
 
-    def align(pairs: DataFrame) -> DataFrame:
-        both = pairs.join(a, "first").join(b, "me").select("me.doc_id", "me._t", "first", "a_lines", "a_words", "lines", "words")
-        got = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
-        if not spare or not got.filter("doubt").limit(1).count():
-            return got
-        doubt = got.filter("doubt").select("first", me.alias("me"))
-        copies = stored(alike_pairs(slim, doubt, spare).select("first", "me.doc_id", "me._t"), "copies")
-        return stored(got.join(copies, ["first", "doc_id", "_t"], "left_anti").select(got.columns), "blocks")
-
-    def union(parts: DataFrame) -> DataFrame:
-        each = parts.select("doc_id", "_t", F.explode("gone").alias("g"))
-        return stored(each.groupBy("doc_id", "_t").agg(F.sort_array(F.collect_set("g")).alias("gone")), "gone")
-
-    def unsettled(keys: DataFrame, gone: DataFrame) -> DataFrame:
-        mine = keys.groupBy("me").agg(F.collect_set("h").alias("asked")).select("me.doc_id", "me._t", "asked")
-        mine = mine.join(rows, ["doc_id", "_t"]).join(gone, ["doc_id", "_t"], "left").drop("keys")
-        return stored(mine.mapInPandas(_still(*sizes), "doc_id long, _t long, h long").select("h", me.alias("me")), "unsettled")
-
-    got = align(asked.select("first", "me").distinct())
-    gone = union(got)
-    left = got.select(me.alias("me"), F.explode("left").alias("h")).distinct().join(asked.select("me", "h"), ["me", "h"], "left_semi")
-    left = unsettled(left, gone)
-    # a key that its first holder did not settle asks the next ones, twice as many each time
-    rank = F.row_number().over(Window.partitionBy("h").orderBy("me"))
-    holders = stored(each.join(left.select("h").distinct(), "h", "left_semi").select("h", F.col("me").alias("first"), rank.alias("rank")), "holders")
-    done, step = 1, 1
-    while True:
-        more = left.join(holders.filter((F.col("rank") > done) & (F.col("rank") <= done + step)), "h").filter("first < me")
-        more = stored(more.select("first", "me").distinct(), "more")
-        if not more.limit(1).count():
-            return gone
-        gone = union(align(more).select("doc_id", "_t", "gone").unionByName(gone))
-        left = unsettled(left, gone)
-        done, step = done + step, 2 * step
+    both = asked.select("first", "me").distinct().join(a, "first").join(b, "me")
+    both = both.select("me.doc_id", "me._t", "first", "a_lines", "a_words", "lines", "words")
+    got = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
+    if spare and got.filter("doubt").limit(1).count():
+        copies = alike_pairs(slim, got.filter("doubt").select("first", me.alias("me")), spare)
+        copies = stored(copies.select("first", "me.doc_id", "me._t"), "copies")
+        got = got.join(copies, ["first", "doc_id", "_t"], "left_anti")
+    gone = got.select("doc_id", "_t", F.explode("gone").alias("g")).groupBy("doc_id", "_t").agg(F.sort_array(F.collect_set("g")).alias("gone"))
+    return stored(gone, "gone")
 
 
 def alike_pairs(docs: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
