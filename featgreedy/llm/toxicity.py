@@ -85,16 +85,38 @@ class NoisyOr:
             n += 1
         return n, found
 
-    def score(self, text: str | None) -> float:
+    def judge(self, text: str | None, least: float = 0.5) -> tuple[float, list[int]]:
+        """The document's score and the indexes of the sentences that offend, from one reading."""
         n, found = self.parts(text)
-        return 1 - math.exp((n - len(found)) * self.base + sum(math.log1p(-min(p, 1 - 1e-12)) for _, p in found))
+        score = 1 - math.exp((n - len(found)) * self.base + sum(math.log1p(-min(p, 1 - 1e-12)) for _, p in found))
+        return score, [i for i, p in found if p >= least]
+
+    def score(self, text: str | None) -> float:
+        return self.judge(text)[0]
 
     def locate(self, text: str | None, least: float = 0.5) -> list[int]:
-        """Indexes of the sentences that offend."""
-        return [i for i, p in self.parts(text)[1] if p >= least]
+        return self.judge(text, least)[1]
+
+
+def ascent(sent: np.ndarray, word: np.ndarray, owner: np.ndarray, y: np.ndarray, w: np.ndarray, bias: float) -> tuple[float, np.ndarray]:
+    """Mean log-likelihood of the documents' labels, and its gradient by weights and bias.
+
+    ``sent, word`` are the pairs of a sentence and a feature in it, ``owner`` the document of each sentence.
+    """
+    p = 1 / (1 + np.exp(-np.clip(bias + np.bincount(sent, w[word], len(owner)), -30, 30)))
+    clear = np.bincount(owner, np.log1p(-np.minimum(p, 1 - 1e-9)), len(y))
+    q = np.clip(-np.expm1(clear), 1e-9, 1)
+    # d loglik / d z of a sentence: p (y / q - 1) with q the document's probability, since 1 - q cancels
+    g = p * (y[owner] / q[owner] - 1)
+    value = float((y * np.log(q) + (1 - y) * clear).mean()) if len(y) else 0.0
+    return value, np.append(np.bincount(word, g[sent], len(w)), g.sum()) / max(len(y), 1)
+
+
+#: Weights of at most this size are left out of the model that travels: they move a sentence's log-odds by less.
+LEAST_WEIGHT = 0.3
 
 
-def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000, steps: int = 120, shrink: float = 2e-4, max_share: float = 0.4) -> NoisyOr:
+def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000, steps: int = 120, shrink: float = 2e-4, max_share: float = 0.4, least_weight: float = LEAST_WEIGHT) -> NoisyOr:
     y = np.array([r[1] for r in rows], np.float64)
     if not len(y) or y.min() == y.max():
         rate = float(np.clip(y.mean() if len(y) else 0.0, 1e-3, 1 - 1e-3))
@@ -130,7 +152,7 @@ def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000
         pairs = np.unique(np.repeat(sent[i:j].astype(np.int64), c.shape[1])[ok.ravel()] << 32 | at[ok])
         sents.append((pairs >> 32).astype(np.int32))
         words.append((pairs & 0xFFFFFFFF).astype(np.int32))
-    sent, word, k = np.concatenate(sents), np.concatenate(words), len(owner)
+    sent, word = np.concatenate(sents), np.concatenate(words)
     del words, sents, token, code, value, count
     vocab = {}
     chosen = {int(c): j for j, c in enumerate(keep)}
@@ -142,26 +164,21 @@ def fit(rows: list[tuple[str, int]], min_docs: int = 6, max_words: int = 100_000
     del known
     w, bias, m, v = np.zeros(len(keep)), -6.0, np.zeros(len(keep) + 1), np.zeros(len(keep) + 1)
     for step in range(1, steps + 1):
-        p = 1 / (1 + np.exp(-np.clip(bias + np.bincount(sent, w[word], k), -30, 30)))
-        clear = np.bincount(owner, np.log1p(-np.minimum(p, 1 - 1e-9)), len(y))
-        q = np.clip(-np.expm1(clear), 1e-9, 1)
-        # d loglik / d z of a sentence: p (y / q - 1) with q the document's probability, since 1 - q cancels
-        g = p * (y[owner] / q[owner] - 1)
-        grad = np.append(np.bincount(word, g[sent], len(w)), g.sum()) / len(y)
+        grad = ascent(sent, word, owner, y, w, bias)[1]
         m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad * grad
         move = 0.15 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-5)
         w, bias = w + move[:-1], bias + move[-1]
         w = np.sign(w) * np.maximum(0, np.abs(w) - 0.15 * shrink / (np.sqrt(v[:-1] / (1 - 0.99**step)) + 1e-5))
-    return NoisyOr(float(bias), {x: float(w[i]) for x, i in vocab.items() if abs(w[i]) > 0.3})
+    return NoisyOr(float(bias), {x: float(w[i]) for x, i in vocab.items() if abs(w[i]) > least_weight})
 
 
 def _score(model, column: str):
     def run(batches):
         scorer = NoisyOr(*model.value)
         for pdf in batches:
-            texts = pdf.pop("text")
-            pdf["score"] = [scorer.score(t) for t in texts]
-            pdf["offending"] = [scorer.locate(t) for t in texts]
+            judged = [scorer.judge(t) for t in pdf.pop("text")]
+            pdf["score"] = [s for s, _ in judged]
+            pdf["offending"] = [o for _, o in judged]
             yield pdf
 
     return run
