@@ -9,7 +9,11 @@ digests under partial aggregates and are encoded once.
 A miss is encoded chunk by chunk between blanks, since no token of this tokenizer family spans one; each
 worker remembers the counts of chunks it has met, in a table of bounded size.
 
-Null text counts as empty: 0 bytes, 0 tokens. Repeated rows each get their row back.
+Only digests are grouped: a text is encoded where it lies, if its digest is new and its row has the smallest id
+of those that share it (rows equal in text and id encode each; their counts agree).
+
+Null text counts as empty: 0 bytes, 0 tokens. Repeated rows each get their row back. The query keeps its cache at
+``CACHE_SETTING`` of the session where that is set, else in a folder of its own.
 """
 
 from __future__ import annotations
@@ -21,8 +25,10 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import shared_dir, ship, stored
+from featgreedy.llm.common import shared_dir, ship, small, stored
 
+#: Session setting that names a lasting cache.
+CACHE_SETTING = "spark.featgreedy.tokenCache"
 SCHEMA = "tokenizer string, digest string, n_tokens long"
 #: Chunk counts that one worker remembers before it starts anew.
 REMEMBERED = 400_000
@@ -88,12 +94,17 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, cache_path: str, limit: i
     """All columns of ``docs`` but the text, plus ``n_bytes, n_tokens, over_limit``; appends to the cache."""
     spark, version = docs.sparkSession, tokenizer_version(tokenizer_path)
     docs = docs.withColumnsRenamed({c: f"_{c}" for c in docs.columns if c in ("n_bytes", "n_tokens", "over_limit", "digest", "content")})
-    marked = docs.withColumn("content", normalise("text")).withColumn("digest", F.sha2("content", 256))
-    known = read_cache(spark, cache_path).filter(F.col("tokenizer") == version).select("digest", "n_tokens").groupBy("digest").agg(F.max("n_tokens").alias("n_tokens"))
-    keys = stored(marked.withColumn("n_bytes", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long")).drop("text", "content"), "keys")
-    misses = marked.select("digest", "content").join(known, "digest", "left_anti")
-    misses = misses.groupBy("digest").agg(F.max("content").alias("content"))
-    fresh = misses.mapInPandas(_encode(tokenizer_path), "digest string, n_tokens long")
+    marked = docs.withColumn("digest", F.sha2(normalise("text"), 256))
+    known = read_cache(spark, cache_path).filter(F.col("tokenizer") == version).select("digest").distinct()
+    keys = stored(marked.withColumn("n_bytes", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long")).drop("text"), "keys")
+    # digests travel, texts stay: of equal texts one holder is encoded where it lies, of known ones none
+    held = keys.groupBy("digest").agg(F.min("doc_id").alias("holder"), F.count("*").alias("n"))
+    skip = held.join(known.withColumn("old", F.lit(True)), "digest", "left").filter("old OR n > 1")
+    skip = stored(skip.select(F.col("digest").alias("__fg_x"), F.when(~F.coalesce("old", F.lit(False)), F.col("holder")).alias("__fg_h"), F.coalesce("old", F.lit(False)).alias("__fg_old")), "repeats")
+    texts = docs.select("doc_id", normalise("text").alias("content")).withColumn("digest", F.sha2("content", 256))
+    texts = texts.join(small(skip), F.col("digest") == F.col("__fg_x"), "left")
+    texts = texts.filter(F.col("__fg_x").isNull() | (~F.col("__fg_old") & F.col("doc_id").eqNullSafe(F.col("__fg_h")))).select("digest", "content")
+    fresh = texts.mapInPandas(_encode(tokenizer_path), "digest string, n_tokens long")
     fresh.select(F.lit(version).alias("tokenizer"), "digest", "n_tokens").write.mode("append").parquet(cache_path)
     counts = read_cache(spark, cache_path).filter(F.col("tokenizer") == version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens"))
     out = keys.join(counts, "digest").drop("digest")
@@ -105,7 +116,7 @@ def contract(docs: DataFrame, cache_path: str | None = None) -> DataFrame:
 
     import public_tokenizers
 
-    cache = cache_path or f"{shared_dir(docs.sparkSession)}/featgreedy/token-cache-{uuid.uuid4().hex}"
+    cache = cache_path or docs.sparkSession.conf.get(CACHE_SETTING, None) or f"{shared_dir(docs.sparkSession)}/featgreedy/token-cache-{uuid.uuid4().hex}"
     out = count_tokens(docs.select("doc_id", "text"), public_tokenizers.path("word_bpe_49k.json"), cache)
     return out.select("doc_id", "n_bytes", "n_tokens", "over_limit")
 
