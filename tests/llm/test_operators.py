@@ -56,31 +56,52 @@ def conversations(spark, rows):
 def test_chat_recovers_roles_in_every_style(spark):
     rows, rng = [], random.Random(1)
     say = words(rng, 12)
-    for c in range(30):
-        order = (["system"] if c % 3 == 0 else []) + ["user", "assistant"] * (1 + c % 3)
+    for c in range(40):
+        order = (["system"] if c % 3 == 0 else []) + ["user", "assistant", "tool" if c % 4 == 0 else "user", "assistant"] * (1 + c % 3)
         rows += [(c, i, r, "\n".join(say() for _ in range(1 + (i + c) % 3)) + ("?" if r == "user" else ".")) for i, r in enumerate(order)]
+    rows += [(100, i, ("user", "assistant")[i % 2], say()) for i in range(600)]  # several parts
     df = conversations(spark, rows)
-    got = chat.parse(chat.transcripts(df), chat.fit(chat.sample(df))).collect()
-    for g in got:
-        true = [(r, t) for c, _, r, t in rows if c == g["conv_id"]]
-        assert list(zip(g["roles"], g["texts"], strict=True)) == true
-        assert g["rendered"] == chat.render(true)
+    raw = chat.transcripts(df)
+    assert raw.filter("conv_id = 100").count() == 3 and raw.filter("context IS NOT NULL").count() == 2
+    got = chat.contract(df).collect()
+    want = collections.Counter((c, i, r, hashlib.sha256(t.encode()).hexdigest()) for c, i, r, t in rows)
+    assert collections.Counter((r["conv_id"], r["turn"], r["role"], r["text_sha256"]) for r in got) == want
+    one = chat.parse(raw, chat.fit(chat.sample(df), chat.role_names(df))).filter("conv_id = 8").first()
+    assert one["rendered"] == chat.render([(r, t) for c, _, r, t in rows if c == 8])
+
+
+def test_lines_that_look_like_markers_of_another_style_are_text(spark):
+    rng = random.Random(5)
+    say = words(rng, 9)
+    rows = []
+    for c in range(60):
+        rows += [(c, 0, "user", say() + "?"), (c, 1, "assistant", "Q: " + say() + "\nA: " + say() + "\nHuman: " + say())]
+        rows += [(c, 2, "user", say()), (c, 3, "assistant", say())]
+    df = conversations(spark, rows)
+    raw = chat.transcripts(df)
+    model = chat.fit(chat.sample(df))
+    for r in raw.filter("transcript NOT LIKE 'Q: %' AND transcript NOT LIKE 'User: %'").collect():
+        assert [x for x, _ in chat.turns(model, r["transcript"])] == ["user", "assistant"] * 2
+    for r in raw.filter("transcript LIKE 'User: %'").collect():  # here ``Human:`` is of the transcript's own style
+        assert "Q: " in dict(enumerate(t for _, t in chat.turns(model, r["transcript"])))[1]
 
 
 def test_chat_unmarked_turn_is_found_by_line_features():
-    model = chat.Model()
+    model, pattern = chat.Model(), chat.marker_pattern()
     for _ in range(20):
-        lines = ["User: short?", "a long answer " * 20]
-        model.add(np.array([2, 4]), chat.observe(lines))
+        kinds, rest, _ = chat.observe(["User: short?", "a long answer " * 20], pattern)
+        model.add(np.array([2, 4]), np.column_stack([kinds[:, 0], rest]))
     assert [r for r, _ in chat.turns(model.tables(), "User: again?\n" + "a long answer " * 20)] == ["user", "assistant"]
 
 
 def test_chat_edges(spark):
-    df = conversations(spark, [(1, 0, None, None), (None, 0, "user", "x"), (2, None, "user", ""), (2, None, "user", "")])
-    got = {r["conv_id"]: r for r in chat.contract(df).collect()}
-    assert set(got) == {1, 2}
+    df = conversations(spark, [(1, 0, None, None), (None, 0, "user", "x"), (2, None, "user", ""), (2, None, "user", ""), (3, 1, " Human ", "y"), (3, 2, "", "z")])
+    got = sorted((r["conv_id"], r["turn"], r["role"]) for r in chat.contract(df).collect())
+    assert got == [(1, 0, "unknown"), (2, 0, "user"), (2, 1, "user"), (3, 0, "user"), (3, 1, "unknown")]
     assert chat.contract(conversations(spark, [])).count() == 0
     assert chat.turns(chat.Model().tables(), None) == []
+    crowd = conversations(spark, [(1, 0, "user", f"t{i}") for i in range(50)])
+    assert chat.transcripts(crowd, most=20).count() > 1 and chat.parse(chat.transcripts(crowd, most=20), chat.Model().tables()).agg(F.sum(F.size("roles"))).first()[0] == 50
 
 
 def test_viterbi_equals_enumeration():
@@ -88,17 +109,21 @@ def test_viterbi_equals_enumeration():
 
     rng = np.random.default_rng(2)
     model = chat.Model()
-    model.move += rng.random((6, 6))
+    model.move += rng.random((chat.STATES, chat.STATES))
     tables = model.tables()
-    seen = np.column_stack([rng.integers(0, n, 4) for n in chat.SIZES])
-    start, move, see = tables
+    start, move, see, _ = tables
+    kinds = rng.integers(0, chat.SIZES[0], (3, len(chat.STYLES)))
+    rest = np.column_stack([rng.integers(0, n, 3) for n in chat.SIZES[1:]])
 
-    def total(path):
+    def total(path, style):
+        seen = np.column_stack([kinds[:, style], rest])
         s = start[path[0]] + sum(t[path[0], seen[0, f]] for f, t in enumerate(see))
         return s + sum(move[a, b] + sum(t[b, seen[i, f]] for f, t in enumerate(see)) for i, (a, b) in enumerate(zip(path, path[1:], strict=False), 1))
 
-    best = max(itertools.product(range(6), repeat=4), key=total)
-    assert total(chat.viterbi(tables, seen)) == pytest.approx(total(best))
+    paths = itertools.product(range(chat.STATES), repeat=3)
+    best = max(total(p, s) for p in paths for s in range(len(chat.STYLES)))
+    found = chat.viterbi(tables, kinds, rest)
+    assert max(total(found, s) for s in range(len(chat.STYLES))) == pytest.approx(best)
 
 
 # 2 lines
