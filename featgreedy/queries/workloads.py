@@ -63,14 +63,15 @@ def lsi_new_documents(spark, d):
     return text.lsi_project(text.tfidf(new, table), left).select("doc", F.transform("x", lambda v: F.round(v, 5)).alias("x"))
 
 
-@query()
+@query(f"""WITH {_TOKENS}, v AS (SELECT token, row_number() OVER (ORDER BY df DESC, token) - 1 AS i FROM idf ORDER BY df DESC, token LIMIT 16), docs AS (SELECT DISTINCT doc FROM tok)
+SELECT doc, string_agg(CASE WHEN tok.token IS NULL THEN '0' ELSE '1' END, '' ORDER BY i) AS bits FROM docs CROSS JOIN v LEFT JOIN tok USING (doc, token) GROUP BY doc""")
 def onehot_terms(spark, d):
     tok = text.tokenise(t(spark, d, "documents"))
     vocab = text.idf(tok).orderBy(F.col("df").desc(), "token").limit(16)
     from pyspark.sql import Window
 
     vocab = vocab.select("token", (F.row_number().over(Window.orderBy(F.col("df").desc(), "token")) - 1).alias("i"))
-    return text.onehot(tok, vocab)
+    return text.onehot(tok, vocab).select("doc", F.array_join(F.transform("f", lambda x: x.cast("int").cast("string")), "").alias("bits"))
 
 
 @query("""WITH h AS (SELECT user_id AS id, hour(ts) / 24.0 AS s, value AS v FROM events) SELECT id, round(sum(v * cos(2 * pi() * s)) / count(*), 5) + 0.0 AS c1, round(sum(v * sin(2 * pi() * s)) / count(*), 5) + 0.0 AS s1 FROM h GROUP BY id""")
@@ -113,7 +114,10 @@ def panel_lagged_design(spark, d):
     return y.join(before, ["entity", "year"])
 
 
-@query()
+@query(f"""WITH {_DAYS}, a AS (SELECT a.entity, a.year, a.v, a.b, a.volume - p.volume AS m, a.level - lag(a.level) OVER (PARTITION BY a.entity ORDER BY a.year, a.month) AS r FROM mo a LEFT JOIN mo p ON p.entity = a.entity AND p.year = a.year - 1 AND p.month = a.month),
+l AS (SELECT entity, unnest(['v', 'm', 'b', 'r']) AS k, unnest([v, m, b, r]) AS x FROM a WHERE year BETWEEN 1996 AND 2000),
+q AS (SELECT k, quantile_cont(x, 0.25) AS q1, quantile_cont(x, 0.5) AS q2, quantile_cont(x, 0.75) AS q3 FROM l GROUP BY k)
+SELECT DISTINCT entity FROM l WHERE entity NOT IN (SELECT entity FROM l JOIN q USING (k) WHERE x < q2 - 5 * (q3 - q1) OR x > q2 + 5 * (q3 - q1))""")
 def panel_outliers(spark, d):
     return panel.fences(panel.measures_by_month(_months(spark, d)).filter(F.col("year").between(1996, 2000)))
 
@@ -179,9 +183,14 @@ def stream_stateful_moments(spark, d):
     return out.groupBy("event_type").agg(F.max("n").alias("n"), F.max("x").alias("x"))
 
 
-@query()
+_FILES = """s AS (SELECT floor(epoch(min(ts))) AS a, (epoch(max(ts)) - epoch(min(ts))) / 4 AS w FROM events),
+f AS (SELECT *, least(floor((floor(epoch(ts)) - a) / w), 3) AS p FROM events, s)"""
+
+
+@query(f"""WITH {_FILES}, g AS (SELECT ts, CASE WHEN event_id % 7 = 0 THEN least(p + 2, 3) ELSE p END AS p FROM f), h AS (SELECT ts, p, date_trunc('hour', ts) + INTERVAL 1 HOUR AS closing, (SELECT max(o.ts) FROM g o WHERE o.p < g.p - 1) AS mark FROM g)
+SELECT (count(*) FILTER (WHERE (mark IS NULL OR closing > mark) AND closing <= (SELECT max(ts) FROM events)))::BIGINT AS kept, count(*) AS sent FROM h""")
 def stream_late_dropped(spark, d):
-    """With a zero watermark, rows that arrive a file late are dropped from closed windows."""
+    """With a zero watermark, rows of windows that the mark of the batch before had closed are dropped; those come two files late."""
     s = _stream(spark, d, "late", 7).withWatermark("ts", "0 seconds").groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n"))
     kept = st.drain(s, "late", "append").agg(F.sum("n").alias("kept"))
     return kept.select("kept", F.lit(t(spark, d, "events").count()).alias("sent"))
@@ -210,7 +219,9 @@ def stream_stream_join(spark, d):
     return st.drain(j, "pair", "append").agg(F.count("*").alias("pairs"))
 
 
-@query()
+@query(f"""WITH {_FILES}, b AS (SELECT p, count(*) AS n, sum(hour(ts))::DOUBLE AS x, sum(hour(ts) * hour(ts))::DOUBLE AS xx, sum(value) AS y, sum(hour(ts) * value) AS xy FROM f GROUP BY p),
+c AS (SELECT p, sum(n) OVER w AS n, sum(x) OVER w AS x, sum(xx) OVER w AS xx, sum(y) OVER w AS y, sum(xy) OVER w AS xy FROM b WINDOW w AS (ORDER BY p))
+SELECT p::INT AS batch, n::INT AS n, round((xy - x * y / n) / (xx - x * x / n), 8) AS slope FROM c""")
 def stream_refit(spark, d):
     """``foreachBatch``: slope of value on hour after each micro-batch."""
     done: list = []

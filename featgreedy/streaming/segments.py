@@ -12,8 +12,8 @@ from featgreedy.session import shared_dir, ship
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
-def split_files(events: DataFrame, note: str, files: int = 5, late_every: int = 0) -> str:
-    """Write events as files in time order, for a file stream; every ``late_every``-th row goes to the next file."""
+def split_files(events: DataFrame, note: str, files: int = 5, late_every: int = 0, late_by: int = 2) -> str:
+    """Write events as files in time order, for a file stream; every ``late_every``-th row goes ``late_by`` files on."""
     import uuid
 
     path = f"{shared_dir(events.sparkSession)}/featgreedy/stream-{note}-{uuid.uuid4().hex}"
@@ -21,7 +21,7 @@ def split_files(events: DataFrame, note: str, files: int = 5, late_every: int =
     width = max((span["b"] - span["a"]).total_seconds(), 1.0) / files
     part = F.least(F.floor((F.unix_timestamp("ts") - F.lit(int(span["a"].timestamp()))) / width), F.lit(files - 1)).cast("int")
     if late_every:
-        part = F.when(F.col("event_id") % late_every == 0, F.least(part + 1, F.lit(files - 1))).otherwise(part)
+        part = F.when(F.col("event_id") % late_every == 0, F.least(part + late_by, F.lit(files - 1))).otherwise(part)
     split = events.withColumn("_f", part)
     for i in range(files):
         split.filter(F.col("_f") == i).drop("_f").coalesce(1).write.mode("append").parquet(path)

@@ -394,3 +394,22 @@ def test_decreasing_recursion_is_bounded(seed):
     for m in range(1, 200):
         a = max(0.0, a * (1 - c * a))
         assert a <= max(1 / (c * m), 0) + 1e-9 or a * c < 1 / m + 1e-9
+
+
+def test_speed_up_and_normalised_error():
+    assert measures.speed_up({4: 2.0, 1: 6.0, 2: 4.0}) == {1: 1.0, 2: 1.5, 4: 3.0}
+    assert measures.err_norm({0: np.ones((2, 3))}, {0: np.zeros((2, 3))}, 3) == 2.0
+
+
+def test_shapes_that_a_table_holds():
+    from featgreedy import experiments as ex
+
+    assert ex.held(ex.SCALAR_SHAPES, 2000) == list(ex.SCALAR_SHAPES) and ex.held(ex.SCALAR_SHAPES, 500) == [(375, 750)]
+    assert ex.held(ex.VIEW_SHAPES, 2000) == list(ex.VIEW_SHAPES) and ex.held(ex.VIEW_SHAPES, 500) == [ex.VIEW_SHAPES[0]]
+
+
+def test_replicas_are_permuted_copies():
+    base = np.arange(20 * planted.WIDTH, dtype=float).reshape(20, planted.WIDTH)
+    x = planted.replicas(base, 150)
+    assert x.shape == (20, 150) and np.array_equal(x[:, : planted.WIDTH], base)
+    assert np.array_equal(np.sort(x[:, planted.WIDTH]), base[:, 0]) and not np.array_equal(x[:, planted.WIDTH], base[:, 0])
