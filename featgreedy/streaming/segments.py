@@ -33,15 +33,27 @@ def read_stream(spark: SparkSession, path: str, schema, per_trigger: int = 1) ->
 
 
 def drain(stream: DataFrame, name: str, mode: str) -> DataFrame:
-    """Run to the end of the available files and return the sink's final table."""
+    """Run to the end of the available files and return what the stream gave, from Parquet in the shared folder.
+
+    Each micro-batch overwrites a folder of its own, so a repeated batch leaves nothing twice. In complete mode the last
+    batch is the result, else all of them.
+    """
     import uuid
 
     spark = stream.sparkSession
-    table = f"{name}_{uuid.uuid4().hex[:8]}"
-    place = f"{shared_dir(spark)}/featgreedy/checkpoints/{table}"
-    query = stream.writeStream.format("memory").queryName(table).outputMode(mode).option("checkpointLocation", place).trigger(availableNow=True).start()
+    place = f"{shared_dir(spark)}/featgreedy/streams/{name}-{uuid.uuid4().hex}"
+    done: list[int] = []
+
+    def keep(batch, i):
+        batch.write.mode("overwrite").parquet(f"{place}/out/{i:06d}")
+        done.append(i)
+
+    query = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(table)
+    if not done:
+        return spark.createDataFrame([], stream.schema)
+    batches = [max(done)] if mode == "complete" else sorted(set(done))
+    return spark.read.schema(stream.schema).parquet(*[f"{place}/out/{i:06d}" for i in batches])
 
 
 def tumbling(stream: DataFrame, width: str = "1 day") -> DataFrame:
