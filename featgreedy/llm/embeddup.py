@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import components, ship, stored
+from featgreedy.llm.common import components, forget, ship, stored
 
 THRESHOLD = 0.93
 
@@ -154,6 +154,7 @@ def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, eps: float =
     tasks = tasks.select("*", "ij.i", "ij.j").drop("ij")
     linked = tasks.groupBy("label", "dim", "t", "key", "i", "j").applyInPandas(_link(threshold, eps), "rep long, n long, root long")
     linked = stored(linked, "links")
+    forget(keyed)
     n = linked.groupBy("rep").agg(F.sum("n").alias("n"))
     comp = components(linked.select("rep", "root"), "rep", "root")
     reps_out = reps.join(n, "rep", "left").join(comp.withColumnRenamed("node", "rep"), "rep", "left")

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship, slices, stored, utf8
+from featgreedy.llm.common import forget, ship, slices, stored, utf8
 
 #: Numbers in the table of deletions that may be broadcast (eight bytes each at most); beyond it a shuffle join is used.
 BROADCAST_CELLS = 4_000_000
@@ -266,13 +266,16 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
 
     both = asked.select("first", "me").distinct().join(a, "first").join(b, "me")
     both = both.select("me.doc_id", "me._t", "first", "a_lines", "a_words", "lines", "words")
-    got = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
+    got = aligned = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
     if spare and got.filter("doubt").limit(1).count():
         copies = alike_pairs(slim, got.filter("doubt").select("first", me.alias("me")), spare)
         copies = stored(copies.select("first", "me.doc_id", "me._t"), "copies")
         got = got.join(copies, ["first", "doc_id", "_t"], "left_anti")
     gone = got.select("doc_id", "_t", F.explode("gone").alias("g")).groupBy("doc_id", "_t").agg(F.sort_array(F.collect_set("g")).alias("gone"))
-    return stored(gone, "gone")
+    gone = stored(gone, "gone")
+    for done in (rows, asked, aligned):
+        forget(done)
+    return gone
 
 
 def alike_pairs(docs: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:

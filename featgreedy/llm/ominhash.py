@@ -314,6 +314,8 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 96, picks:
     tasks = tasks.join(seqs.join(open_keys, "id"), "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "id")
     found = stored(tasks.mapInPandas(_merge(similarity), "ca long, cb long"), "merged")
     two = components(found, "ca", "cb")
+    for done in (shared, involved, seqs, first, pool, found):
+        forget(done)
     top = one.join(two.select(F.col("node").alias("component"), F.col("component").alias("top")), "component", "left").select("node", F.coalesce("top", "component").alias("component"))
     lone = two.join(one.select("node"), "node", "left_anti")
     final = top.unionByName(lone)
