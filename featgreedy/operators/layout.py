@@ -17,6 +17,8 @@ from featgreedy.session import ship, stored
 
 BLOCKS = "j int, h int, t0 long, n_h int, q int, x array<double>"
 SEGMENTS = "h int, t0 long, n_h int, d int, y array<double>"
+#: Bytes of all columns of a row segment, which one task packs or multiplies.
+SEGMENT_BYTES = 128_000_000
 NULL_POLICIES = ("error", "drop_row", "zero", "mean")
 
 
@@ -67,13 +69,23 @@ def _pack(ranges, seg_rows):
     return run
 
 
-def to_blocks(wide: DataFrame, widths: list[int], seg_rows: int = 1 << 20) -> DataFrame:
-    """One shuffle by row segment; each segment is cut into all its column groups."""
+def segment_rows(columns: int) -> int:
+    """Rows of a segment of so many columns."""
+    return max(1024, SEGMENT_BYTES // (8 * max(columns, 1)))
+
+
+def to_blocks(wide: DataFrame, widths: list[int], seg_rows: int | None = None) -> DataFrame:
+    """One shuffle by row segment; each segment, bounded in bytes unless its rows are given, is cut into all its column groups."""
+    seg_rows = seg_rows or segment_rows(sum(widths))
     h = F.floor(F.col("t") / seg_rows).cast("int")
     return wide.select(h.alias("h"), "t", "f").groupBy("h").applyInArrow(_pack(manifest(widths), seg_rows), BLOCKS)
 
 
-def to_segments(wide: DataFrame, seg_rows: int = 1 << 20) -> DataFrame:
+def to_segments(wide: DataFrame, seg_rows: int | None = None) -> DataFrame:
+    """The response in the segments of :func:`to_blocks`."""
+    if not seg_rows:
+        one = wide.select(F.size("f").alias("n")).first()
+        seg_rows = segment_rows(one["n"] if one else 1)
     h = F.floor(F.col("t") / seg_rows).cast("int")
     g = wide.select(h.alias("h"), F.struct("t", "y").alias("r")).groupBy("h").agg(F.sort_array(F.collect_list("r")).alias("r"))
     return g.select("h", (F.col("h").cast("long") * seg_rows).alias("t0"), F.size("r").alias("n_h"), F.size(F.col("r")[0]["y"]).alias("d"), F.flatten("r.y").alias("y"))

@@ -78,7 +78,7 @@ def label_wide(spark, d, centred: bool = True):
     return w.join(F.broadcast(m)).select("t", "f", F.zip_with("y", "m", lambda a, b: a - b["m"]).alias("y"))
 
 
-def label_blocks(spark, d, seg: int = 1 << 20):
+def label_blocks(spark, d, seg: int | None = None):
     w = label_wide(spark, d)
     return layout.to_blocks(w, [8] * 8, seg), layout.to_segments(w, seg)
 
