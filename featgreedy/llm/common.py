@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import sys
 import tempfile
 import uuid
@@ -92,6 +94,21 @@ def components(edges: DataFrame, a: str, b: str) -> DataFrame:
     return stored(both, "components")
 
 
+def tidied(fn):
+    """``fn`` of batches, after whose last batch the worker gives its free memory back: workers outlive their tasks."""
+
+    def run(batches):
+        yield from fn(batches)
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL(None).malloc_trim(0)
+        except (OSError, AttributeError):  # another C library
+            pass
+
+    return run
+
+
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of a string column and its offsets (nulls are empty), without copying."""
     column = column.cast(pa.large_binary()) if not pa.types.is_large_binary(column.type) else column

@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship, small, stored
+from featgreedy.llm.common import ship, small, stored, tidied
 
 RATE = 0.06
 
@@ -153,12 +153,12 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE, bloc
     blocks = _blocks(benchmark, block_bytes)
     block, after = next(blocks), next(blocks, None)
     if after is None:
-        out = slim.mapInPandas(_scan(spark.sparkContext.broadcast(block), rate, False), _FOUND)
+        out = slim.mapInPandas(tidied(_scan(spark.sparkContext.broadcast(block), rate, False)), _FOUND)
         return out.withColumn("contaminated", F.size("item_ids") > 0)
     hits = None
     while block is not None:
         held = spark.sparkContext.broadcast(block)
-        part = stored(slim.mapInPandas(_scan(held, rate, True), _FOUND), "hits")
+        part = stored(slim.mapInPandas(tidied(_scan(held, rate, True)), _FOUND), "hits")
         held.destroy()
         hits = part if hits is None else hits.union(part)
         block, after = after, next(blocks, None) if after else None

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import forget, ship, slices, stored, utf8
+from featgreedy.llm.common import forget, ship, slices, stored, tidied, utf8
 
 #: Numbers in the table of deletions that may be broadcast (eight bytes each at most); beyond it a shuffle join is used.
 BROADCAST_CELLS = 4_000_000
@@ -203,7 +203,7 @@ def _read(line_words: int, block_words: int):
 
     def run(batches):
         for batch in batches:
-            for i, j in slices(utf8(batch.column("text"))[1], 4_000_000):
+            for i, j in slices(utf8(batch.column("text"))[1], 2_000_000):
                 part = batch.slice(i, j - i)
                 lines, words, at = measured(part.column("text"))
                 owner = np.repeat(np.arange(len(part)), np.diff(at))
@@ -256,7 +256,7 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
     """``doc_id, _t, gone`` (sorted line numbers to delete) for documents that lose lines."""
     sizes = (min_line_words, min_block_words)
     slim = docs.filter("text IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", F.xxhash64("text").alias("_t"), "text")
-    rows = stored(slim.mapInArrow(_read(*sizes), _ROWS).distinct(), "lines")
+    rows = stored(slim.mapInArrow(tidied(_read(*sizes)), _ROWS).distinct(), "lines")
     me = F.struct("doc_id", "_t")
     each = rows.select(F.explode("keys").alias("h"), me.alias("me"))
     first = each.groupBy("h").agg(F.min("me").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
@@ -266,7 +266,7 @@ def find_blocks(docs: DataFrame, min_line_words: int = 5, min_block_words: int =
 
     both = asked.select("first", "me").distinct().join(a, "first").join(b, "me")
     both = both.select("me.doc_id", "me._t", "first", "a_lines", "a_words", "lines", "words")
-    got = aligned = stored(both.mapInPandas(_align(*sizes, spare), _PAIRS), "aligned")
+    got = aligned = stored(both.mapInPandas(tidied(_align(*sizes, spare)), _PAIRS), "aligned")
     if spare and got.filter("doubt").limit(1).count():
         copies = alike_pairs(slim, got.filter("doubt").select("first", me.alias("me")), spare)
         copies = stored(copies.select("first", "me.doc_id", "me._t"), "copies")
@@ -294,10 +294,10 @@ def alike_pairs(docs: DataFrame, pairs: DataFrame, similarity: float) -> DataFra
     kind = pairs.schema["me"].dataType.simpleString()
     some = stored(pairs.select(F.explode(F.array("first", "me")).alias("k")).distinct(), "named")
     texts = docs.select(F.struct("doc_id", "_t").alias("k"), "text").join(some, "k", "left_semi").groupBy("k").agg(F.max("text").alias("text"))
-    seqs = stored(texts.mapInArrow(numbers, f"k {kind}, seq binary"), "numbers")
+    seqs = stored(texts.mapInArrow(tidied(numbers), f"k {kind}, seq binary"), "numbers")
     by = lambda c, s: seqs.select(F.col("k").alias(c), F.col("seq").alias(s))
     both = pairs.join(by("first", "a_seq"), "first").join(by("me", "b_seq"), "me").select("first", "me", "a_seq", "b_seq")
-    return both.mapInPandas(check, f"first {kind}, me {kind}")
+    return both.mapInPandas(tidied(check), f"first {kind}, me {kind}")
 
 
 #: Columns that :func:`drop_blocks` adds; input columns of these names keep their values under a leading underscore.

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import components, forget, ship, small, stored
+from featgreedy.llm.common import components, forget, ship, small, stored, tidied
 
 K = 5
 #: Counters of a bag of words.
@@ -49,7 +49,7 @@ class Words:
     def __call__(self, text: str | None) -> np.ndarray:
         words = (text or "").lower().split()
         known = self.known
-        if len(known) > 400_000:
+        if len(known) > 200_000:
             known.clear()
         for w in set(words).difference(known):
             known[w] = xxhash.xxh3_64_intdigest(w)
@@ -282,19 +282,19 @@ def _verify(similarity: float):
 def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 96, picks: int = 2, block: int = 2048) -> DataFrame:
     """``id, class_id`` for every document that has words and an id."""
     slim = docs.filter("doc_id IS NOT NULL").select("doc_id", "text")
-    keyed = stored(slim.mapInArrow(_sketches(sketches, picks), "id long, tag binary, keys array<long>"), "sketches")
+    keyed = stored(slim.mapInArrow(tidied(_sketches(sketches, picks)), "id long, tag binary, keys array<long>"), "sketches")
     reps = stored(keyed.groupBy("tag").agg(F.min("id").alias("rep"), F.count("*").alias("n")), "reps")
     each = keyed.join(reps.select(F.col("rep").alias("id"), "tag"), ["id", "tag"]).select("id", F.explode("keys").alias("key"))
     counts = each.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).filter("lo < hi").select("key")
     shared = stored(each.join(counts, "key"), "buckets")
     involved = stored(shared.select("id").distinct(), "involved")
     seqs = slim.join(small(involved.withColumnRenamed("id", "doc_id")), "doc_id", "left_semi")
-    seqs = stored(seqs.mapInArrow(_sequences, "id long, seq binary, n int, bag binary").groupBy("id").agg(F.max(F.struct("seq", "n", "bag")).alias("s")).select("id", "s.*"), "sequences")
+    seqs = stored(seqs.mapInArrow(tidied(_sequences), "id long, seq binary, n int, bag binary").groupBy("id").agg(F.max(F.struct("seq", "n", "bag")).alias("s")).select("id", "s.*"), "sequences")
     by = lambda c: seqs.select(F.col("id").alias(c), F.col("seq").alias(f"{c}_seq"))
 
     def links(pairs: DataFrame) -> DataFrame:
         both = pairs.join(by("a"), "a").join(by("b"), "b")
-        return stored(both.mapInPandas(_verify(similarity), "a long, b long, ok boolean"), "checked")
+        return stored(both.mapInPandas(tidied(_verify(similarity)), "a long, b long, ok boolean"), "checked")
 
     pair = (F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b"))
     # first round: the smallest id leads its bucket
@@ -312,7 +312,7 @@ def classes(docs: DataFrame, similarity: float = 0.8, sketches: int = 96, picks:
     tasks = each.filter("nb = 1").select("key", "c", "id", "led", "own", F.lit(0).alias("i"), F.lit(0).alias("j")).unionByName(wide)
     open_keys = each.groupBy("id").agg(F.collect_set("key").alias("keys"))  # at most one a sketch
     tasks = tasks.join(seqs.join(open_keys, "id"), "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "id")
-    found = stored(tasks.mapInPandas(_merge(similarity), "ca long, cb long"), "merged")
+    found = stored(tasks.mapInPandas(tidied(_merge(similarity)), "ca long, cb long"), "merged")
     two = components(found, "ca", "cb")
     for done in (shared, involved, seqs, first, pool, found):
         forget(done)

@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship
+from featgreedy.llm.common import ship, tidied
 from featgreedy.llm.toxicity import held_out, training_rows
 
 BUCKETS = 2048
@@ -44,7 +44,7 @@ class Terms:
         self.known: dict[str, int] = {}
 
     def bucket(self, word: str) -> int:
-        if len(self.known) > 300_000:
+        if len(self.known) > 150_000:
             self.known.clear()
         kind = zlib.crc32(b"s" + shape(word).encode("utf-8", "replace")) % (BUCKETS // 4)
         own = BUCKETS // 4 + zlib.crc32(word.encode("utf-8", "replace")) % (BUCKETS - BUCKETS // 4 - 1)
@@ -114,7 +114,7 @@ def trained(docs: DataFrame, labels: DataFrame, max_docs: int, seed: str):
             pdf["v"] = [terms.vector(t).astype(np.float32).tobytes() for t in pdf.pop("text")]
             yield pdf[["doc_id", "y", "v"]]
 
-    rows = training_rows(docs, labels, "quality", max_docs, seed).mapInPandas(run, "doc_id long, y int, v binary")
+    rows = training_rows(docs, labels, "quality", max_docs, seed).mapInPandas(tidied(run), "doc_id long, y int, v binary")
     got = sorted(((r["doc_id"], r["y"], r["v"]) for r in rows.toLocalIterator()), key=lambda r: (r[0], r[2]))
     x = np.frombuffer(b"".join(r[2] for r in got), np.float32).reshape(len(got), BUCKETS).copy()
     return docs.sparkSession.sparkContext.broadcast(fit(x, np.array([r[1] for r in got], np.float32)))
@@ -130,7 +130,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, max_docs: int = 3000, se
             pdf["score"] = _scores(pdf.pop("text").tolist(), model, terms)
             yield pdf
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, score double")
+    return docs.select("doc_id", "text").mapInPandas(tidied(run), "doc_id long, score double")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.7, max_docs: int = 3000, seed: str = "quality") -> DataFrame:
@@ -144,7 +144,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, least: float = 0.7, max_docs:
         for batch in batches:
             yield batch.filter(pa.array(_scores(batch.column("text").to_pylist(), model, terms) >= least))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidied(run), docs.schema)
 
 
 def contract(docs: DataFrame, labels: DataFrame) -> DataFrame:

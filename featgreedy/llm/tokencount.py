@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import shared_dir, ship, small, stored
+from featgreedy.llm.common import shared_dir, ship, small, stored, tidied
 
 #: Session setting that names a lasting cache.
 CACHE_SETTING = "spark.featgreedy.tokenCache"
@@ -104,7 +104,7 @@ def count_tokens(docs: DataFrame, tokenizer_path: str, cache_path: str, limit: i
     texts = docs.select("doc_id", normalise("text").alias("content")).withColumn("digest", F.sha2("content", 256))
     texts = texts.join(small(skip), F.col("digest") == F.col("__fg_x"), "left")
     texts = texts.filter(F.col("__fg_x").isNull() | (~F.col("__fg_old") & F.col("doc_id").eqNullSafe(F.col("__fg_h")))).select("digest", "content")
-    fresh = texts.mapInPandas(_encode(tokenizer_path), "digest string, n_tokens long")
+    fresh = texts.mapInPandas(tidied(_encode(tokenizer_path)), "digest string, n_tokens long")
     fresh.select(F.lit(version).alias("tokenizer"), "digest", "n_tokens").write.mode("append").parquet(cache_path)
     counts = read_cache(spark, cache_path).filter(F.col("tokenizer") == version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens"))
     out = keys.join(counts, "digest").drop("digest")

@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import ship
+from featgreedy.llm.common import ship, tidied
 
 SENTENCE = re.compile(r"(?<=[.!?])\s+|\n+")
 #: Fixed value: lengths of the stems that are features beside the whole word.
@@ -189,7 +189,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, max_docs: int = 5000, se
     rows = [(r["text"], r["y"]) for r in training_rows(docs, labels, "toxic", max_docs, seed).toLocalIterator()]
     model = fit(rows)
     shared = docs.sparkSession.sparkContext.broadcast((model.bias, model.weights))
-    return docs.select("doc_id", "text").mapInPandas(_score(shared, "text"), "doc_id long, score double, offending array<int>")
+    return docs.select("doc_id", "text").mapInPandas(tidied(_score(shared, "text")), "doc_id long, score double, offending array<int>")
 
 
 def contract(docs: DataFrame, labels: DataFrame) -> DataFrame:
