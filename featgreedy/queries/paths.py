@@ -262,6 +262,46 @@ def glm_frames(spark, d, response, width: int, seg: int = 128):
     return layout.to_blocks(w, [width] * (64 // width), seg), layout.to_segments(w, seg)
 
 
+@query("WITH RECURSIVE " + _CELLS + ", " + _moments("") + ", " + _loop("1", 6, blocks="SELECT 3 AS blk") + " SELECT k, round(lam, 6) AS lam, round(s, 5) AS score, round(loss, 6) AS loss FROM t1 WHERE k > 0")
+def single_block_path(spark, d):
+    """One block alone: a multivariate regression by rank-one terms."""
+    f = rga(gram_moments(*pair_blocks(spark, d), [3]), RADIUS, 6)
+    return spark.createDataFrame([(r["k"], round(float(r["lam"]), 6), round(float(r["score"]), 5), round(float(r["loss"]), 6)) for r in f.trace], "k int, lam double, score double, loss double")
+
+
+@query("WITH " + _CELLS + ", " + _moments("") + """, s AS (SELECT p.i // 2 AS blk, p.g + 0.0005 * (p.g + q.g) + 1e-12 AS a, h.g AS b, q.g + 0.0005 * (p.g + q.g) + 1e-12 AS c FROM g p JOIN g h ON h.i = p.i AND h.k = p.i + 1 JOIN g q ON q.i = p.i + 1 AND q.k = q.i WHERE p.i = p.k AND p.i % 2 = 0),
+f AS (SELECT blk, (c * x.c0 - b * y.c0) / (a * c - b * b) AS b0, (a * y.c0 - b * x.c0) / (a * c - b * b) AS b1 FROM s JOIN c x ON x.i = 2 * blk JOIN c y ON y.i = 2 * blk + 1 AND y.m = x.m),
+v AS (SELECT blk, sum(b0 * b0) AS p, sum(b1 * b1) AS q, sum(b0 * b1) AS h FROM f GROUP BY blk)
+SELECT round(10 * sum(sqrt(p + q + 2 * sqrt(greatest(p * q - h * h, 0)))), 4) AS radius FROM v""")
+def automatic_radius(spark, d):
+    """Ten times the nuclear norms of blockwise ridge fits."""
+    from featgreedy.operators.model import auto_radius
+
+    return spark.createDataFrame([(round(float(auto_radius(gram_moments(*pair_blocks(spark, d)))), 4),)], "radius double")
+
+
+@query("""SELECT blocks, rank, ceil(blocks * greatest(CASE WHEN least(width, 10) <= rank THEN least(width, 10) ELSE rank END, 1) * ln(greatest(500.0 * 500 * 10 / (xi * xi), exp(1))))::INT AS steps
+FROM (VALUES (3, 4, 2, 5.0), (5, 8, 12, 1.0), (1, 20, 3, 40.0)) r(blocks, width, rank, xi)""")
+def refit_step_bound(spark, d):
+    """Steps after which phase two is within the noise of its limit."""
+    from featgreedy.operators.refit import required_iters
+
+    rows = [(b, r, required_iters(dict.fromkeys(range(b), w), 10, r, xi, 500)) for b, w, r, xi in ((3, 4, 2, 5.0), (5, 8, 12, 1.0), (1, 20, 3, 40.0))]
+    return spark.createDataFrame(rows, "blocks int, rank int, steps int")
+
+
+@query(_TWO + """ SELECT 'gain_over_coordinate_descent' AS measure, 32.0 / (SELECT count(*) FROM j1) AS value UNION ALL SELECT 'node_memory', rows * 80.0 FROM (SELECT count(*) AS rows FROM embeddings)
+UNION ALL SELECT 'squared_size_per_response', (SELECT round(sum(b * b) / 10, 4) FROM f2)""")
+def small_measures(spark, d):
+    """Gain in bytes, memory a node, and the coefficients' squared error against none, per response."""
+    from featgreedy.operators import measures
+
+    m = fit(*pair_blocks(spark, d), CONFIG)
+    n = t(spark, d, "embeddings").count()
+    rows = [("gain_over_coordinate_descent", measures.comm_gain(32, len(m.ranks))), ("node_memory", float(measures.node_memory(n, 10))), ("squared_size_per_response", round(measures.err_norm(m.coef, {}, 10), 4))]
+    return spark.createDataFrame(rows, "measure string, value double")
+
+
 # baselines on blocks that stay in Spark
 
 
