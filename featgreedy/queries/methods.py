@@ -356,7 +356,9 @@ def udtf_explode_block(spark, d):
     return g.agg(F.count("*").alias("rows"), F.count_distinct("l").alias("columns"), F.sum("v").alias("total"))
 
 
-@query()
+@query("""WITH RECURSIVE r(k, a, b, s) AS (SELECT 0, 3.0::DOUBLE, 0.0::DOUBLE, 0.0::DOUBLE UNION ALL SELECT k + 1, (3 * u + w) / l, 2 * w / l, sqrt((3 * u + w) * (3 * u + w) + 4 * w * w) / l
+FROM (SELECT k, u, w, sqrt(u * u + w * w) AS l FROM (SELECT k, 3 * a / sqrt(a * a + b * b) AS u, (a + 2 * b) / sqrt(a * a + b * b) AS w FROM r WHERE k < 12)))
+SELECT k, round(s, 8) AS s FROM r WHERE k > 0""")
 def udtf_power_trace(spark, d):
     from featgreedy.functions import registered
 
