@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from featgreedy.llm.common import forget, ship, slices, stored, tidied, utf8
+from featgreedy.llm.common import forget, ship, slices, small, stored, tidied, utf8
 
 #: Numbers in the table of deletions that may be broadcast (eight bytes each at most); beyond it a shuffle join is used.
 BROADCAST_CELLS = 4_000_000
@@ -293,8 +293,9 @@ def alike_pairs(docs: DataFrame, pairs: DataFrame, similarity: float) -> DataFra
 
     kind = pairs.schema["me"].dataType.simpleString()
     some = stored(pairs.select(F.explode(F.array("first", "me")).alias("k")).distinct(), "named")
-    texts = docs.select(F.struct("doc_id", "_t").alias("k"), "text").join(some, "k", "left_semi").groupBy("k").agg(F.max("text").alias("text"))
-    seqs = stored(texts.mapInArrow(tidied(numbers), f"k {kind}, seq binary"), "numbers")
+    texts = docs.select(F.struct("doc_id", "_t").alias("k"), "text").join(small(some), "k", "left_semi")
+    seqs = texts.mapInArrow(tidied(numbers), f"k {kind}, seq binary")  # words as numbers travel, texts stay
+    seqs = stored(seqs.groupBy("k").agg(F.max("seq").alias("seq")), "numbers")
     by = lambda c, s: seqs.select(F.col("k").alias(c), F.col("seq").alias(s))
     both = pairs.join(by("first", "a_seq"), "first").join(by("me", "b_seq"), "me").select("first", "me", "a_seq", "b_seq")
     return both.mapInPandas(tidied(check), f"first {kind}, me {kind}")
