@@ -35,11 +35,12 @@ def tally(picks: list[dict[int, int]], vote: str) -> dict[int, int]:
     return {j: fold(p[j] for p in picks if j in p) for j in sorted(count) if count[j] >= need}
 
 
-def grid_refit(by_segment: dict, ranks: dict[int, int], radius: float, iters: int = 500, tol: float = 1e-10, ledger=None) -> Fit:
+def grid_refit(by_segment: dict, ranks: dict[int, int], radius: float, iters: int = 500, tol: float = 1e-10, ledger=None, total_rank: float | None = None) -> Fit:
     """Phase two over segments; ``by_segment`` maps a segment to moments that hold the blocks of ``ranks``."""
     parts = {h: m.only(ranks) for h, m in sorted(by_segment.items())}
     some = next(iter(parts.values()))
-    n, d, ids, total = sum(m.n for m in parts.values()), some.d, some.ids, float(sum(ranks.values()))
+    n, d, ids = sum(m.n for m in parts.values()), some.d, some.ids
+    total = total_rank if total_rank is not None else float(sum(ranks.values()))
     yy = sum(m.yy for m in parts.values())
     spaces = {j: Subspace(sum(m.gram(j) for m in parts.values()), sum(m.block(m.c0, j) for m in parts.values()), n, total) for j in ids}
     widths = {j: some.range[j][1] - some.range[j][0] for j in ids}
@@ -93,7 +94,7 @@ def grid_refit(by_segment: dict, ranks: dict[int, int], radius: float, iters: in
                     ledger.send(2, k, f"seg{h}", "coordinator", "projected", spaces[i].t.shape[1] * spaces[i].v.shape[1])
                 ledger.send(2, k, f"seg{h}", "coordinator", "search", 2)
                 ledger.send(2, k, f"seg{h}", f"seg{h}", "fit", m.n + d)
-        if before - loss <= tol * before and k > 1:
+        if tol > 0 and before - loss <= tol * before and k > 1:
             break
         before = loss
     fit.spaces = spaces

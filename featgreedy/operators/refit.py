@@ -42,7 +42,7 @@ class Subspace:
 
 
 def refit(moments, ranks: dict[int, int] | None, radius: float, iters: int = 500, tol: float = 1e-10, ledger=None, total_rank: float | None = None) -> Fit:
-    """The second loop on moments of the screened blocks alone (see :meth:`GramMoments.only`)."""
+    """The second loop on moments of the screened blocks alone (see :meth:`GramMoments.only`); with ``tol`` 0, all ``iters`` steps."""
     n, d = moments.n, moments.d
     total = total_rank if total_rank is not None else float(sum(ranks.values()))
     spaces = {j: Subspace(moments.gram(j), moments.block(moments.c0, j), n, total) for j in moments.ids}
@@ -74,7 +74,7 @@ def refit(moments, ranks: dict[int, int] | None, radius: float, iters: int = 500
         fit.stop_index = k
         if ledger is not None:
             ledger.eager(2, k, n, d)
-        if before - loss <= tol * before and k > 1:
+        if tol > 0 and before - loss <= tol * before and k > 1:
             break
         before = loss
     fit.passes = 1
@@ -82,13 +82,13 @@ def refit(moments, ranks: dict[int, int] | None, radius: float, iters: int = 500
     return fit
 
 
-def refit_state(state, ranks: dict[int, int], radius: float, iters: int = 500, tol: float = 1e-10, ledger=None) -> Fit:
+def refit_state(state, ranks: dict[int, int], radius: float, iters: int = 500, tol: float = 1e-10, ledger=None, total_rank: float | None = None) -> Fit:
     """The second loop where the screened blocks' inner products stay in Spark, one row a block.
 
     ``state`` is a :class:`~featgreedy.operators.moments.StateMoments` that has met the blocks of ``ranks``. A step maps
     each row's residual product into the block's frozen subspace and brings the best pair, in the block's coordinates.
     """
-    n, d, total = state.n, state.d, float(sum(ranks.values()))
+    n, d, total = state.n, state.d, total_rank if total_rank is not None else float(sum(ranks.values()))
     state.meet(*ranks)
     state.reset()
     ids = sorted(ranks)
@@ -126,7 +126,7 @@ def refit_state(state, ranks: dict[int, int], radius: float, iters: int = 500, t
         fit.stop_index = k
         if ledger is not None:
             ledger.eager(2, k, n, d)
-        if before - loss <= tol * before and k > 1:
+        if tol > 0 and before - loss <= tol * before and k > 1:
             break
         before = loss
     fit.passes, fit.spaces = state.passes, spaces
